@@ -1 +1,136 @@
-"""To be written."""
+"""Mixing sources to target weights by entropy balancing.
+
+The mix with the least relative entropy to the corpus, among all mixes that
+give every source its target number of words, weighs each word of document i by
+exp(lambda of its source). The lambdas solve the convex dual
+
+    minimise  sum_s W_s exp(lambda_s) - T_s lambda_s
+
+(W_s words of source s, T_s its target). Its gradient and Hessian need only the
+word totals, which one partial aggregate over the documents delivers, so the
+Newton iterations run over one row per source, all sources at once, as a
+column expression. A document is then taken rate = exp(lambda) times on
+average: everyone gets the whole part, and the fractional part goes to the
+documents whose reproducible random key is lowest, as long as the source's words
+stay within its target; what is missing then goes to the document whose size
+comes nearest. The last key is found in two steps (sums per bin of keys, then
+exact order within the one bin that holds it), so no task gets a whole source.
+
+Targets: sources ordered by code point, null last, weigh 1, 2, 3, repeating, and
+share all words; no target exceeds ``most`` times its source's words, the
+excess goes to the others by weight until none is above.
+
+Defined results: null and empty texts have size 0 and never count towards a
+target; they follow the same rule (whole part of the rate, so 0 words taken).
+A null source is a source of its own; null ids and repeated rows are rows like
+any other, but equal (id, text size) rows share one key and are ordered by the id only, so
+they are taken together. An empty table gives an empty result.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import functions as F
+
+from .common import spool, uniform, word_count
+
+#: Fixed weights of the contract, by rank of the source.
+CYCLE = (1.0, 2.0, 3.0)
+
+
+def sized(docs: DataFrame) -> DataFrame:
+    """doc_id, source, size, key of every row, written once: the only pass over the texts."""
+    picked = docs.select("doc_id", "source", word_count(F.col("text")).alias("size"))
+    return spool(picked.withColumn("key", uniform(F.col("doc_id"), F.col("size"), salt="mix")), "sized")
+
+
+def targets(sizes: DataFrame, cycle: tuple[float, ...] = CYCLE, most: float = 3.0) -> DataFrame:
+    """source, source_size, weight, target: one row per source.
+
+    The resharing ends where every source that isn't capped holds level *
+    weight words. Sources are capped in order of cap / weight, so the level follows
+    from running sums over the sources in that order.
+    """
+    per = sizes.groupBy("source").agg(F.sum("size").alias("source_size"))
+    ranked = per.withColumn("place", F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())))
+    weight = F.element_at(F.array(*[F.lit(c) for c in cycle]), ((F.col("place") - 1) % len(cycle) + 1).cast("int"))
+    capped = ranked.withColumn("weight", weight).withColumn("cap", most * F.col("source_size"))
+    order = Window.orderBy(F.col("cap") / F.col("weight"), "place")
+    before, all_rows = order.rowsBetween(Window.unboundedPreceding, -1), Window.partitionBy()
+    level = (F.sum("source_size").over(all_rows) - F.coalesce(F.sum("cap").over(before), F.lit(0.0))) / (
+        F.sum("weight").over(all_rows) - F.coalesce(F.sum("weight").over(before), F.lit(0.0))
+    )
+    stepped = capped.withColumn("level", level).withColumn("open", F.col("level") * F.col("weight") < F.col("cap"))
+    # The level of the first source that stays below its cap holds for all that follow.
+    final = F.min(F.when(F.col("open"), F.struct(F.col("cap") / F.col("weight"), "place", "level"))).over(all_rows)
+    target = F.when(final.isNull(), F.col("cap")).otherwise(F.least("cap", final["level"] * F.col("weight")))
+    return stepped.select("source", "source_size", "weight", target.alias("target"))
+
+
+def dual_rate(words: Column, target: Column, rounds: int = 60) -> Column:
+    """exp(lambda) at the dual's minimum, by Newton's method from lambda = 0.
+
+    A step is gradient / Hessian = (W e^l - T) / (W e^l); steps are held to
+    one unit, which keeps the convex descent monotone from any start.
+    """
+    step = lambda lam, _: lam - F.greatest(F.lit(-1.0), F.least(F.lit(1.0), 1 - target / (words * F.exp(lam))))
+    lam = F.aggregate(F.sequence(F.lit(1), F.lit(rounds)), F.lit(0.0), step)
+    return F.when((words > 0) & (target > 0), F.exp(lam)).otherwise(F.lit(0.0))
+
+
+def mixed(docs: DataFrame, cycle: tuple[float, ...] = CYCLE, most: float = 3.0, bins: int = 4096, small_sources: int = 2000) -> DataFrame:
+    """doc_id, source, size, source_size, target, rate, copies of every row."""
+    sizes = sized(docs)
+    goal = targets(sizes, cycle, most).withColumn("rate", dual_rate(F.col("source_size").cast("double"), F.col("target")))
+    goal = goal.withColumn("rate", F.least(F.col("rate"), F.lit(float(most))))
+    whole = F.floor(F.col("rate") + 1e-9)
+    goal = spool(goal.withColumn("whole", whole.cast("int")).withColumn("rest", F.col("target") - F.col("whole") * F.col("source_size")), "goal")
+    bin_ = F.floor(F.col("key") * bins).cast("int")
+
+    # The bin of keys in which each source passes its rest, and the words below that bin.
+    sums = sizes.groupBy("source", bin_.alias("bin")).agg(F.sum("size").alias("words"))
+    run = Window.partitionBy("source").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
+    sums = sums.withColumn("below", F.coalesce(F.sum("words").over(run), F.lit(0)))
+    goal_for = goal.withColumnRenamed("source", "of")
+    passed = sums.join(goal_for, F.col("source").eqNullSafe(F.col("of"))).where("below + words > rest")
+    edge = passed.groupBy(F.col("of").alias("edge_of")).agg(F.min(F.struct("bin", "below")).alias("e"))
+    goal_edge = goal_for.join(edge, F.col("of").eqNullSafe(F.col("edge_of")), "left").select(
+        *goal_for.columns, F.coalesce("e.bin", F.lit(bins)).alias("edge_bin"), F.coalesce("e.below", F.lit(0)).alias("below")
+    )
+    goal_edge = _side(goal_edge, "edge", small_sources)
+    rows = sizes.withColumn("bin", bin_).join(goal_edge, F.col("source").eqNullSafe(F.col("of"))).drop("of")
+    upto = F.sum("size").over(Window.partitionBy("source").orderBy("key", "doc_id").rangeBetween(Window.unboundedPreceding, 0))
+    inside = rows.where("bin = edge_bin").withColumn("extra", (F.col("below") + upto <= F.col("rest")).cast("int"))
+    outside = rows.where("bin <> edge_bin").withColumn("extra", (F.col("bin") < F.col("edge_bin")).cast("int"))
+    rows = spool(outside.unionByName(inside), "rounded")
+
+    # What is still missing goes to the one document left out whose size is nearest the gap.
+    gap = rows.groupBy(F.col("source").alias("of")).agg((F.first("rest") - F.sum(F.col("extra") * F.col("size"))).alias("gap"))
+    gap = _side(gap, "gap", small_sources)
+    near = rows.where("extra = 0").join(gap, F.col("source").eqNullSafe(F.col("of"))).where("abs(size - gap) < gap")
+    fill = near.groupBy("of").agg(F.min(F.struct(F.abs(F.col("size") - F.col("gap")), "key", "doc_id")).alias("f"))
+    fill = _side(fill.select("of", F.col("f.key").alias("fill_key"), F.col("f.doc_id").alias("fill_id")), "fill", small_sources)
+    done = rows.join(fill, F.col("source").eqNullSafe(F.col("of")), "left")
+    filled = (F.col("key") == F.col("fill_key")) & F.col("doc_id").eqNullSafe(F.col("fill_id"))
+    copies = F.least(F.col("whole") + F.col("extra") + F.when(filled, 1).otherwise(0), F.lit(int(most)))
+    return done.select("doc_id", "source", "size", "source_size", "target", "rate", copies.alias("copies"))
+
+
+def _side(per_source: DataFrame, tag: str, small: int) -> DataFrame:
+    """A table of one row per source: broadcast behind a check of its count, else joined with splitting of hot sources."""
+    written = spool(per_source, tag)
+    return F.broadcast(written) if written.count() <= small else written
+
+
+def take_copies(docs: DataFrame, **options) -> DataFrame:
+    """``docs`` with each row repeated as often as the mix takes it; rows not taken go.
+
+    The decision depends on id, source and text size alone, so it is joined back by these.
+    """
+    keys = ["doc_id", "source", "mix_size"]
+    taken = mixed(docs, **options).select("doc_id", "source", F.col("size").alias("mix_size"), "copies").where("copies > 0").dropDuplicates(keys)
+    taken = spool(taken.select(*[F.col(k).alias(f"of_{k}") for k in keys], "copies"), "copies")
+    with_size = docs.withColumn("mix_size", word_count(F.col("text")))
+    same = [F.col(k).eqNullSafe(F.col(f"of_{k}")) for k in keys]
+    joined = with_size.join(taken, same[0] & same[1] & same[2])
+    return joined.select(*docs.columns, F.explode(F.sequence(F.lit(1), "copies")).alias("mix_copy")).select(*docs.columns)
