@@ -65,3 +65,12 @@ def op10_word_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op10_word_bpe"] = op10_word_bpe
+
+
+def op8_transport_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .mpegts import stored_and_read
+
+    return stored_and_read(table(spark, sf_dir, "documents")).drop("units")
+
+
+QUERIES["op8_transport_stream"] = op8_transport_stream
