@@ -74,3 +74,13 @@ def op8_transport_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op8_transport_stream"] = op8_transport_stream
+
+
+def op3_warc_bundles(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .warc import read, write
+
+    folder, index = write(table(spark, sf_dir, "pages"))
+    return read(folder, index).drop("url")
+
+
+QUERIES["op3_warc_bundles"] = op3_warc_bundles
