@@ -84,3 +84,24 @@ def op3_warc_bundles(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op3_warc_bundles"] = op3_warc_bundles
+
+
+def op5_pivot_top5(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .pivot_search import top_k
+
+    vectors = table(spark, sf_dir, "embeddings")
+    return top_k(vectors, vectors.where("vec_id % 50 = 0"), k=5)
+
+
+QUERIES["op5_pivot_top5"] = op5_pivot_top5
+
+ORACLE_SQL["op5_pivot_top5"] = """
+WITH good AS (
+  SELECT vec_id, list_transform(embedding, lambda x: floor(256 * x::DOUBLE)) AS v FROM embeddings
+  WHERE vec_id IS NOT NULL AND embedding IS NOT NULL AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
+scored AS (
+  SELECT q.vec_id AS query_id, c.vec_id, list_inner_product(q.v, c.v)::BIGINT AS score
+  FROM good q JOIN good c ON q.vec_id <> c.vec_id AND len(q.v) = len(c.v) WHERE q.vec_id % 50 = 0),
+ranked AS (SELECT *, (row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id))::INTEGER AS rank FROM scored)
+SELECT query_id, rank, vec_id, score FROM ranked WHERE rank <= 5
+"""
