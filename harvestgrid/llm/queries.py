@@ -105,3 +105,15 @@ scored AS (
 ranked AS (SELECT *, (row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id))::INTEGER AS rank FROM scored)
 SELECT query_id, rank, vec_id, score FROM ranked WHERE rank <= 5
 """
+
+
+def op6_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .common import fold
+    from .langid_crf import fit, predict
+
+    docs = table(spark, sf_dir, "documents")
+    found = predict(docs, fit(docs))
+    return found.select("doc_id", (fold(F.col("doc_id"), 4) == 2).alias("held_out"), "lang_pred", "score")
+
+
+QUERIES["op6_crf_language"] = op6_crf_language
