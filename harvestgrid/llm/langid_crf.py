@@ -118,7 +118,7 @@ class LanguageModel:
         """For each document its (words, labels) posteriors."""
         flat = list(itertools.chain.from_iterable(documents))
         index = np.concatenate([[0], np.cumsum([len(d) for d in documents])]).astype(int)
-        if not flat:
+        if not flat or not self.labels:
             return [np.zeros((0, len(self.labels))) for _ in documents]
         kept = {} if kept is None else kept
         if len(kept) > WORDS_KEPT:
