@@ -117,3 +117,15 @@ def op6_crf_language(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op6_crf_language"] = op6_crf_language
+
+
+def op2_compression_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .common import fold
+    from .compress_quality import fit, score
+
+    docs = table(spark, sf_dir, "documents")
+    found = score(docs, fit(docs, table(spark, sf_dir, "labels")))
+    return found.select("doc_id", (fold(F.col("doc_id"), 3) == 1).alias("held_out"), "score", "predicted")
+
+
+QUERIES["op2_compression_quality"] = op2_compression_quality
