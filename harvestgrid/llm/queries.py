@@ -129,3 +129,12 @@ def op2_compression_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op2_compression_quality"] = op2_compression_quality
+
+
+def op7_boosted_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .html_gbt import main_text
+
+    return main_text(table(spark, sf_dir, "pages"))
+
+
+QUERIES["op7_boosted_main_text"] = op7_boosted_main_text
