@@ -1 +1,226 @@
-"""To be written."""
+"""Personal data: pattern spans, and terms that disclose them.
+
+Base spans come from fixed patterns (addresses of mail and machines, payment cards,
+phone numbers). Around them an information-theoretic test adds terms: a word t
+seen near a protected value e discloses it when their pointwise mutual
+information reaches a share of what there is to learn about e,
+
+    PMI(t; e) = ln( p(t, e) / (p(t) p(e)) ) >= disclosure * IC(e),   IC(e) = -ln p(e),
+
+with probabilities counted over the distinct texts of the whole corpus, and only
+if at least ``support`` texts have t near e, so that a chance meeting of rare
+words in one text tells nothing. Such terms become spans too; ``sanitise``
+replaces spans by the name of their kind.
+
+Everything is DataFrame expressions. Patterns are written so that the matcher
+never rescans a run of characters (possessive repeats, a start only at the
+beginning of a run or where the last match ended), which changes no match but
+keeps long runs linear. Positions are sums of the lengths between matches.
+
+Defined results: null and empty texts have no spans. Copies of a text count once as evidence and
+get equal spans. Overlapping spans are all reported; ``sanitise`` replaces their
+union. Other columns pass through.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
+
+from .common import spool
+
+KINDS = ("email", "ip", "card", "phone")
+#: Fixed patterns of the contract, in linear form.
+PATTERNS = {
+    "email": r"(?:\G|(?<![A-Za-z0-9._%+-]))[A-Za-z0-9._%+-]++@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++",
+    "ip": r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++",
+    "card": r"[0-9](?:[ -]?[0-9])++",
+    "phone": r"\+[0-9][ ().0-9-]+[0-9]",
+}
+#: What a text needs to have any valid match at all.
+_POSSIBLE = {"email": "@", "ip": r"[0-9]\.[0-9]++\.[0-9]", "card": r"[0-9](?:[ -]?[0-9]){11}", "phone": r"\+[0-9]"}
+_BYTE = r"0*+(?:25[0-5]|2[0-4][0-9]|1?[0-9]?[0-9]|)"
+_IP = rf"^(?!\.)(?:{_BYTE})\.(?:{_BYTE})\.(?:{_BYTE})\.(?:{_BYTE})$"
+_TERM = r"\p{L}{2,}+"
+#: Code points on both sides of a span in which terms are looked for.
+CONTEXT, SUPPORT, DISCLOSURE = 48, 3, 0.9
+
+
+def located(text: Column, pattern: str) -> Column:
+    """All matches with their places: array<struct<start, end, value>>, in code points."""
+    gaps = F.zip_with(F.split(text, pattern, -1), F.regexp_extract_all(text, F.lit(pattern), F.lit(0)), lambda g, h: F.struct(F.char_length(g).alias("gap"), h.alias("hit")))
+    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int,value:string>>").alias("out"))
+
+    def step(acc, x):
+        a = acc["at"] + x["gap"]
+        b = a + F.char_length(x["hit"])
+        grown = F.concat(acc["out"], F.array(F.struct(a.alias("start"), b.alias("end"), x["hit"].alias("value"))))
+        return F.when(x["hit"].isNull(), acc).otherwise(F.struct(b.alias("at"), grown.alias("out")))
+
+    return F.aggregate(gaps, start, step, lambda acc: acc["out"])
+
+
+def luhn(digits: Column) -> Column:
+    """Whether a string of digits passes the mod-10 check."""
+    n = F.char_length(digits)
+
+    def part(i):
+        d = F.substring(digits, n - i, F.lit(1)).cast("int")
+        twice = d * 2
+        return F.when(i % 2 == 1, twice - F.when(twice > 9, 9).otherwise(0)).otherwise(d)
+
+    return F.aggregate(F.transform(F.sequence(F.lit(0), n - 1), part), F.lit(0), lambda a, x: a + x) % 10 == 0
+
+
+def _valid(kind: str, value: Column) -> Column:
+    digits = F.regexp_replace(value, "[^0-9]", "")
+    if kind == "ip":
+        return value.rlike(_IP)
+    if kind == "card":
+        return F.when(F.char_length(digits).between(12, 19), luhn(digits)).otherwise(False)
+    if kind == "phone":
+        return F.char_length(digits).between(9, 15)
+    return F.lit(True)
+
+
+_SPAN = "array<struct<start:int,rank:int,end:int,kind:string,value:string>>"
+
+
+def base_spans(text: Column) -> Column:
+    """Valid matches of all patterns, by start, then kind."""
+    return F.array_sort(F.concat(*[_kind_spans(text, rank, kind) for rank, kind in enumerate(KINDS)]))
+
+
+def _kind_spans(text: Column, rank: int, kind: str) -> Column:
+    possible = text.contains("@") if kind == "email" else text.rlike(_POSSIBLE[kind])
+    hits = F.filter(located(text, PATTERNS[kind]), lambda s: _valid(kind, s["value"]))
+    parts = lambda s: F.struct(s["start"].alias("start"), F.lit(rank).alias("rank"), s["end"].alias("end"), F.lit(kind).alias("kind"), s["value"].alias("value"))
+    return F.when(possible, F.transform(hits, parts).cast(_SPAN)).otherwise(F.array().cast(_SPAN))
+
+
+def _masked(text: Column, spans: Column) -> Column:
+    """The text, as long as before, with every code point of a span made a sign that is no letter."""
+    start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+
+    def step(acc, s):
+        low, high = F.greatest(acc["at"], s["start"]), F.greatest(acc["at"], s["end"])
+        out = F.concat(acc["out"], F.substring(text, acc["at"] + 1, low - acc["at"]), F.repeat(F.lit("#"), high - low))
+        return F.struct(high.alias("at"), out.alias("out"))
+
+    return F.aggregate(spans, start, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, F.char_length(text) - acc["at"])))
+
+
+def _contexts(text: Column, spans: Column, width: int) -> Column:
+    """For each span the whole words around it: array<struct<entity, terms>>; words inside any span don't count.
+
+    The outer transform over one element binds what all spans share, so that it is computed once a row.
+    """
+    shared = F.array(F.struct(_masked(text, spans).alias("text"), F.char_length(text).alias("size"), spans.alias("spans")))
+
+    def of_row(z):
+        def around(s):
+            low = F.greatest(F.lit(0), s["start"] - width)
+            high = F.least(z["size"], s["end"] + width)
+            words = located(F.substring(z["text"], low + 1, high - low), _TERM)
+            moved = F.transform(words, lambda w: F.struct((w["start"] + low).alias("start"), (w["end"] + low).alias("end"), F.lower(w["value"]).alias("term")))
+            whole = F.filter(moved, lambda w: ((w["start"] > low) | (low == 0)) & ((w["end"] < high) | (high == z["size"])))
+            plain = F.when(s["kind"] == "email", F.lower(s["value"])).when(s["kind"] == "ip", s["value"]).otherwise(F.regexp_replace(s["value"], "[^0-9]", ""))
+            return F.struct(F.concat(s["kind"], F.lit(":"), plain).alias("entity"), whole.alias("terms"))
+
+        return F.transform(z["spans"], around)
+
+    return F.transform(shared, of_row)[0]
+
+
+def scanned(docs: DataFrame, context: int = CONTEXT) -> DataFrame:
+    """doc_id, text_key, spans, contexts of every row, written once."""
+    text = F.coalesce(F.col("text").cast("string"), F.lit(""))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
+    both = F.transform(
+        F.array(base_spans(F.col("text"))),
+        lambda spans: F.struct(spans.alias("spans"), F.when(F.size(spans) > 0, _contexts(F.col("text"), spans, context)).alias("contexts")),
+    )[0]
+    return spool(rows.select("doc_id", F.md5(F.col("text").cast("binary")).alias("text_key"), both.alias("b")).select("doc_id", "text_key", "b.spans", "b.contexts"), "scanned")
+
+
+def disclosing_terms(docs: DataFrame, found: DataFrame, support: int = SUPPORT, disclosure: float = DISCLOSURE) -> DataFrame:
+    """text_key and its term spans (array<struct<start, end>>), for texts that have any."""
+    mentions = found.where("size(spans) > 0").select("text_key", F.explode("contexts").alias("c"))
+    mentions = mentions.select("text_key", F.col("c.entity").alias("entity"), F.explode("c.terms").alias("t"))
+    mentions = spool(mentions.select("text_key", "entity", "t.term", "t.start", "t.end").distinct(), "mentions")
+    joint = mentions.select("text_key", "entity", "term").distinct().groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_both"))
+    joint = spool(joint.where(F.col("n_both") >= support), "joint")
+    keys = found.select("text_key", F.transform("contexts", lambda c: c["entity"]).alias("entities"))
+    n_texts = keys.groupBy("text_key").agg(F.lit(1)).count()
+    entity = keys.where("entities is not null").select("text_key", F.explode("entities").alias("entity")).distinct()
+    entity = entity.groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
+    # Texts that hold a candidate term, counted over the whole corpus.
+    wanted = spool(joint.select("term").distinct(), "wanted")
+    words = docs.where(F.col("text").isNotNull()).select(
+        F.md5(F.col("text").cast("binary")).alias("text_key"), F.explode(F.array_distinct(F.split(F.lower("text"), r"\P{L}++"))).alias("term")
+    )
+    seen = words.join(wanted, "term", "left_semi").distinct().groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
+    scored = joint.join(seen, "term").join(entity, "entity")
+    n = F.lit(float(max(1, n_texts)))
+    pmi = F.log(F.col("n_both") * n / (F.col("n_term") * F.col("n_entity")))
+    told = scored.where((pmi >= disclosure * F.log(n / F.col("n_entity"))) & (pmi > 0)).select("entity", "term")
+    told = spool(told, "told")
+    hits = mentions.join(told, ["entity", "term"]).groupBy("text_key").agg(F.collect_set(F.struct("start", "end")).alias("terms"))
+    return spool(hits.withColumnRenamed("text_key", "term_key"), "terms")
+
+
+def _line(spans: Column) -> Column:
+    return F.concat_ws(",", F.transform(spans, lambda s: F.concat_ws(":", s["kind"], s["start"].cast("string"), s["end"].cast("string"))))
+
+
+def _all_spans(spans: Column, terms: Column) -> Column:
+    extra = F.transform(terms, lambda t: F.struct(t["start"].alias("start"), F.lit(len(KINDS)).alias("rank"), t["end"].alias("end"), F.lit("term").alias("kind"), F.lit("").alias("value")))
+    return F.array_sort(F.concat(spans, F.coalesce(extra.cast(_SPAN), F.array().cast(_SPAN))))
+
+
+def detect(docs: DataFrame, **options) -> DataFrame:
+    """doc_id, n_email, n_ip, n_card, n_phone, n_term, base_sha256, spans of every row."""
+    found = scanned(docs)
+    terms = disclosing_terms(docs, found, **options)
+    rows = found.join(terms, F.col("text_key") == F.col("term_key"), "left")
+    counts = [_count_of(k).alias(f"n_{k}") for k in KINDS]
+    return rows.select(
+        "doc_id", *counts, _size("terms").alias("n_term"),
+        F.sha2(_line(F.col("spans")).cast("binary"), 256).alias("base_sha256"), _line(_all_spans(F.col("spans"), F.col("terms"))).alias("spans"),
+    )
+
+
+def _count_of(kind: str) -> Column:
+    return F.size(F.filter("spans", lambda s: s["kind"] == kind)).cast("long")
+
+
+def _size(name: str) -> Column:
+    return F.when(F.col(name).isNull(), 0).otherwise(F.size(name)).cast("long")
+
+
+def replaced(text: Column, spans: Column) -> Column:
+    """The text with the union of its spans replaced by the kinds' names."""
+    start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
+
+    def step(acc, s):
+        fresh = s["start"] >= acc["at"]
+        before = F.substring(text, acc["at"] + 1, s["start"] - acc["at"])
+        out = F.when(fresh, F.concat(acc["out"], before, F.lit("["), F.upper(s["kind"]), F.lit("]"))).otherwise(acc["out"])
+        return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), out.alias("out"))
+
+    end = F.char_length(text)
+    return F.aggregate(spans, start, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, end - acc["at"])))
+
+
+def sanitise(docs: DataFrame, **options) -> DataFrame:
+    """``docs`` with personal data and disclosing terms replaced; n_chars, where present, follows the text."""
+    found = scanned(docs)
+    terms = disclosing_terms(docs, found, **options)
+    spans = found.where("size(spans) > 0").select("text_key", "spans").dropDuplicates(["text_key"])
+    spans = spool(spans.join(terms, F.col("text_key") == F.col("term_key"), "left").select("text_key", _all_spans(F.col("spans"), F.col("terms")).alias("pii_spans")), "spans")
+    joined = docs.withColumn("pii_key", F.md5(F.col("text").cast("binary"))).join(spans, F.col("pii_key") == F.col("text_key"), "left")
+    changed = F.col("pii_spans").isNotNull()
+    joined = joined.withColumn("pii_text", F.when(changed, replaced(F.col("text"), F.col("pii_spans"))).otherwise(F.col("text")))
+    size = F.when(changed, F.char_length("pii_text")).otherwise(F.col("n_chars")) if "n_chars" in docs.columns else None
+    new = {"text": F.col("pii_text"), "n_chars": size.cast(docs.schema["n_chars"].dataType) if size is not None else None}
+    return joined.select(*[new[c].alias(c) if c in new else F.col(c) for c in docs.columns])

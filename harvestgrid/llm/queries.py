@@ -138,3 +138,12 @@ def op7_boosted_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op7_boosted_main_text"] = op7_boosted_main_text
+
+
+def op9_disclosure_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    from .pii import detect
+
+    return detect(table(spark, sf_dir, "documents"))
+
+
+QUERIES["op9_disclosure_pii"] = op9_disclosure_pii
