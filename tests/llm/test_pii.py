@@ -81,8 +81,11 @@ def test_patterns(spark):
 
 
 def test_long_runs_stay_linear(spark):
-    texts = ["a" * 120_000, "1" * 120_000, "1." * 8_000, "1 " * 60_000, "+1 " * 40_000, "a.b" * 40_000 + "@x" + ".y" * 40_000, "a@b.co " * 1000, "@" * 50_000, "+" + "1(" * 50_000]
-    check(spark, texts)
+    runs = [("a", 1), ("1", 1), ("1.", 1), ("1 ", 1), ("+1 ", 1), ("a@b.co ", 1), ("@", 1), ("1(", 1), (".y", 1)]
+    check(spark, [x * 400 for x, _ in runs] + ["a.b" * 200 + "@x" + ".y" * 200])  # brute force is quadratic: short runs
+    long = ["a" * 120_000, "1" * 120_000, "1." * 8_000, "1 " * 60_000, "+1 " * 40_000, "a.b" * 40_000 + "@x" + ".y" * 40_000, "a@b.co " * 1000, "@" * 50_000, "+" + "1(" * 50_000]
+    got = pii.scanned(spark.createDataFrame(list(enumerate(long)), "doc_id long, text string")).selectExpr("doc_id", "size(spans) n").collect()
+    assert {r.doc_id: r.n for r in got} == {0: 0, 1: 0, 2: 2000, 3: 0, 4: 0, 5: 1, 6: 1000, 7: 0, 8: 0}
 
 
 def test_disclosing_terms(spark):
