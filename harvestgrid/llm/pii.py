@@ -7,9 +7,9 @@ information reaches a share of what there is to learn about e,
 
     PMI(t; e) = ln( p(t, e) / (p(t) p(e)) ) >= disclosure * IC(e),   IC(e) = -ln p(e),
 
-with probabilities counted over the distinct texts of the whole corpus, and only
-if at least ``support`` texts have t near e, so that a chance meeting of rare
-words in one text tells nothing. Such terms become spans too; ``sanitise``
+with probabilities counted over the rows of the whole corpus, and only
+if at least ``support`` distinct texts have t near e, so that a chance meeting of rare
+words in one text, however often copied, tells nothing. Such terms become spans too; ``sanitise``
 replaces spans by the name of their kind.
 
 Everything is DataFrame expressions. Patterns are written so that the matcher
@@ -17,8 +17,7 @@ never rescans a run of characters (possessive repeats, a start only at the
 beginning of a run or where the last match ended), which changes no match but
 keeps long runs linear. Positions are sums of the lengths between matches.
 
-Defined results: null and empty texts have no spans. Copies of a text count once as evidence and
-get equal spans. Overlapping spans are all reported; ``sanitise`` replaces their
+Defined results: null and empty texts have no spans. Copies of a text get equal spans. Overlapping spans are all reported; ``sanitise`` replaces their
 union. Other columns pass through.
 """
 
@@ -148,20 +147,19 @@ def disclosing_terms(docs: DataFrame, found: DataFrame, support: int = SUPPORT,
     mentions = found.where("size(spans) > 0").select("text_key", F.explode("contexts").alias("c"))
     mentions = mentions.select("text_key", F.col("c.entity").alias("entity"), F.explode("c.terms").alias("t"))
     mentions = spool(mentions.select("text_key", "entity", "t.term", "t.start", "t.end").distinct(), "mentions")
-    joint = mentions.select("text_key", "entity", "term").distinct().groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_both"))
-    joint = spool(joint.where(F.col("n_both") >= support), "joint")
-    keys = found.select("text_key", F.transform("contexts", lambda c: c["entity"]).alias("entities"))
-    n_texts = keys.groupBy("text_key").agg(F.lit(1)).count()
-    entity = keys.where("entities is not null").select("text_key", F.explode("entities").alias("entity")).distinct()
+    # Probabilities count rows; the support counts distinct texts, so that copies are no evidence of their own.
+    copies = found.where("size(spans) > 0").groupBy(F.col("text_key").alias("of")).agg(F.count(F.lit(1)).alias("copies"))
+    met = mentions.select("text_key", "entity", "term").distinct().join(spool(copies, "copies"), F.col("text_key") == F.col("of"))
+    joint = met.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_texts"), F.sum("copies").alias("n_both"))
+    joint = spool(joint.where(F.col("n_texts") >= support), "joint")
+    entity = found.where("size(spans) > 0").select(F.explode(F.array_distinct(F.transform("contexts", lambda c: c["entity"]))).alias("entity"))
     entity = entity.groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
-    # Texts that hold a candidate term, counted over the whole corpus.
+    # Rows that hold a candidate term, over the whole corpus; summed in each task before the shuffle.
     wanted = spool(joint.select("term").distinct(), "wanted")
-    words = docs.where(F.col("text").isNotNull()).select(
-        F.md5(F.col("text").cast("binary")).alias("text_key"), F.explode(F.array_distinct(F.split(F.lower("text"), r"\P{L}++"))).alias("term")
-    )
-    seen = words.join(wanted, "term", "left_semi").distinct().groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
+    words = docs.where(F.col("text").isNotNull()).select(F.explode(F.array_distinct(F.split(F.lower("text"), r"\P{L}++"))).alias("term"))
+    seen = words.join(wanted, "term", "left_semi").groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
     scored = joint.join(seen, "term").join(entity, "entity")
-    n = F.lit(float(max(1, n_texts)))
+    n = F.lit(float(max(1, found.count())))
     pmi = F.log(F.col("n_both") * n / (F.col("n_term") * F.col("n_entity")))
     told = scored.where((pmi >= disclosure * F.log(n / F.col("n_entity"))) & (pmi > 0)).select("entity", "term")
     told = spool(told, "told")

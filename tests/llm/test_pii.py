@@ -32,27 +32,27 @@ def line(spans):
 
 def terms(texts):
     """Term spans per distinct text, straight from the definition."""
-    distinct = sorted({t or "" for t in texts})
+    rows = [t or "" for t in texts]
     near, has, words = {}, {}, {}
-    for t in distinct:
+    for k, t in enumerate(rows):
         spans = base(t)
         for a, _, b, kind, v in spans:
             e = kind + ":" + (v.lower() if kind == "email" else v if kind == "ip" else re.sub(r"[^0-9]", "", v))
-            has.setdefault(e, set()).add(t)
+            has.setdefault(e, set()).add(k)
             low, high = max(0, a - 48), min(len(t), b + 48)
             for m in re.finditer(r"[^\W\d_]{2,}", t[low:high]):
                 s, z = m.start() + low, m.end() + low
                 if (s > low or low == 0) and (z < high or high == len(t)) and not any(o[0] < z and s < o[2] for o in spans):
-                    near.setdefault((e, m[0].lower()), {}).setdefault(t, set()).add((s, z))
+                    near.setdefault((e, m[0].lower()), {}).setdefault(k, set()).add((s, z))
         for w in set(re.split(r"[\W\d_]+", t.lower())):
-            words.setdefault(w, set()).add(t)
-    out, n = {}, len(distinct)
+            words.setdefault(w, set()).add(k)
+    out, n = {}, len(rows)
     for (e, w), where in near.items():
-        if len(where) >= 3:
+        if len({rows[k] for k in where}) >= 3:
             pmi = math.log(len(where) * n / (len(words[w]) * len(has[e])))
             if pmi > 0 and pmi >= 0.9 * math.log(n / len(has[e])):
-                for t, places in where.items():
-                    out.setdefault(t, set()).update(places)
+                for k, places in where.items():
+                    out.setdefault(rows[k], set()).update(places)
     return out
 
 
