@@ -78,42 +78,67 @@ def dual_rate(words: Column, target: Column, rounds: int = 60) -> Column:
     return F.when((words > 0) & (target > 0), F.exp(lam)).otherwise(F.lit(0.0))
 
 
-def mixed(docs: DataFrame, cycle: tuple[float, ...] = CYCLE, most: float = 3.0, bins: int = 4096, small_sources: int = 2000) -> DataFrame:
-    """doc_id, source, size, source_size, target, rate, copies of every row."""
+def rules(docs: DataFrame, cycle: tuple[float, ...] = CYCLE, most: float = 3.0, bins: int = 4096, small_sources: int = 2000) -> DataFrame:
+    """One row per source: size, target, rate, and all that decides a document's copies by its key alone."""
     sizes = sized(docs)
     goal = targets(sizes, cycle, most).withColumn("rate", dual_rate(F.col("source_size").cast("double"), F.col("target")))
-    goal = goal.withColumn("rate", F.least(F.col("rate"), F.lit(float(most))))
-    whole = F.floor(F.col("rate") + 1e-9)
-    goal = spool(goal.withColumn("whole", whole.cast("int")).withColumn("rest", F.col("target") - F.col("whole") * F.col("source_size")), "goal")
-    bin_ = F.floor(F.col("key") * bins).cast("int")
+    goal = goal.withColumn("rate", F.least(F.col("rate"), F.lit(float(most)))).withColumn("most", F.lit(int(most)))
+    goal = goal.withColumn("whole", F.floor(F.col("rate") + 1e-9).cast("int")).withColumn("bins", F.lit(bins))
+    goal = goal.withColumn("rest", F.col("target") - F.col("whole") * F.col("source_size")).withColumnRenamed("source", "of").drop("weight")
+    goal = spool(goal, "goal")
 
     # The bin of keys in which each source passes its rest, and the words below that bin.
-    sums = sizes.groupBy("source", bin_.alias("bin")).agg(F.sum("size").alias("words"))
+    sums = sizes.groupBy("source", _bin(bins).alias("bin")).agg(F.sum("size").alias("words"))
     run = Window.partitionBy("source").orderBy("bin").rowsBetween(Window.unboundedPreceding, -1)
     sums = sums.withColumn("below", F.coalesce(F.sum("words").over(run), F.lit(0)))
-    goal_for = goal.withColumnRenamed("source", "of")
-    passed = sums.join(goal_for, F.col("source").eqNullSafe(F.col("of"))).where("below + words > rest")
+    passed = sums.join(goal, F.col("source").eqNullSafe(F.col("of"))).where("below + words > rest")
     edge = passed.groupBy(F.col("of").alias("edge_of")).agg(F.min(F.struct("bin", "below")).alias("e"))
-    goal_edge = goal_for.join(edge, F.col("of").eqNullSafe(F.col("edge_of")), "left").select(
-        *goal_for.columns, F.coalesce("e.bin", F.lit(bins)).alias("edge_bin"), F.coalesce("e.below", F.lit(0)).alias("below")
+    goal = goal.join(edge, F.col("of").eqNullSafe(F.col("edge_of")), "left").select(
+        *goal.columns, F.coalesce("e.bin", F.lit(bins)).alias("edge_bin"), F.coalesce("e.below", F.lit(0)).alias("below")
     )
-    goal_edge = _side(goal_edge, "edge", small_sources)
-    rows = sizes.withColumn("bin", bin_).join(goal_edge, F.col("source").eqNullSafe(F.col("of"))).drop("of")
+    goal = _side(goal, "edge", small_sources)
+
+    # Within that bin, the last key that still fits.
+    inside = sizes.withColumn("bin", _bin(bins)).join(goal, F.col("source").eqNullSafe(F.col("of"))).where("bin = edge_bin")
     upto = F.sum("size").over(Window.partitionBy("source").orderBy("key", "doc_id").rangeBetween(Window.unboundedPreceding, 0))
-    inside = rows.where("bin = edge_bin").withColumn("extra", (F.col("below") + upto <= F.col("rest")).cast("int"))
-    outside = rows.where("bin <> edge_bin").withColumn("extra", (F.col("bin") < F.col("edge_bin")).cast("int"))
-    rows = spool(outside.unionByName(inside), "rounded")
+    fits = inside.withColumn("upto", upto).where("below + upto <= rest").groupBy(F.col("of").alias("cut_of")).agg(F.max(F.struct("key", "doc_id")).alias("cut"))
+    goal = goal.join(fits, F.col("of").eqNullSafe(F.col("cut_of")), "left").drop("cut_of", "below")
+    goal = _side(goal, "cut", small_sources)
 
     # What is still missing goes to the one document left out whose size is nearest the gap.
-    gap = rows.groupBy(F.col("source").alias("of")).agg((F.first("rest") - F.sum(F.col("extra") * F.col("size"))).alias("gap"))
+    rows = sizes.join(goal, F.col("source").eqNullSafe(F.col("of"))).withColumn("extra", _extra())
+    gap = rows.groupBy(F.col("of").alias("gap_of")).agg((F.first("rest") - F.sum(F.col("extra") * F.col("size"))).alias("gap"))
     gap = _side(gap, "gap", small_sources)
-    near = rows.where("extra = 0").join(gap, F.col("source").eqNullSafe(F.col("of"))).where("abs(size - gap) < gap")
-    fill = near.groupBy("of").agg(F.min(F.struct(F.abs(F.col("size") - F.col("gap")), "key", "doc_id")).alias("f"))
-    fill = _side(fill.select("of", F.col("f.key").alias("fill_key"), F.col("f.doc_id").alias("fill_id")), "fill", small_sources)
-    done = rows.join(fill, F.col("source").eqNullSafe(F.col("of")), "left")
-    filled = (F.col("key") == F.col("fill_key")) & F.col("doc_id").eqNullSafe(F.col("fill_id"))
-    copies = F.least(F.col("whole") + F.col("extra") + F.when(filled, 1).otherwise(0), F.lit(int(most)))
-    return done.select("doc_id", "source", "size", "source_size", "target", "rate", copies.alias("copies"))
+    near = rows.where("extra = 0").join(gap, F.col("of").eqNullSafe(F.col("gap_of"))).where("abs(size - gap) < gap")
+    fill = near.groupBy(F.col("of").alias("fill_of")).agg(F.min(F.struct(F.abs(F.col("size") - F.col("gap")), "key", "doc_id")).alias("fill"))
+    done = goal.join(fill, F.col("of").eqNullSafe(F.col("fill_of")), "left").drop("fill_of")
+    return _side(done, "rules", small_sources)
+
+
+def _bin(bins) -> Column:
+    return F.floor(F.col("key") * bins).cast("int")
+
+
+def _extra() -> Column:
+    """1 for documents up to the source's cut."""
+    upto = F.coalesce(F.struct("key", "doc_id") <= F.col("cut"), F.lit(False))
+    at = F.floor(F.col("key") * F.col("bins")).cast("int")
+    return ((at < F.col("edge_bin")) | ((at == F.col("edge_bin")) & upto)).cast("int")
+
+
+def _copies() -> Column:
+    filled = (F.col("key") == F.col("fill.key")) & F.col("doc_id").eqNullSafe(F.col("fill.doc_id"))
+    return F.least(F.col("whole") + _extra() + F.when(filled, 1).otherwise(0), F.col("most"))
+
+
+def _keyed(docs: DataFrame) -> DataFrame:
+    return docs.withColumn("size", word_count(F.col("text"))).withColumn("key", uniform(F.col("doc_id"), F.col("size"), salt="mix"))
+
+
+def mixed(docs: DataFrame, **options) -> DataFrame:
+    """doc_id, source, size, source_size, target, rate, copies of every row."""
+    rows = _keyed(docs.select("doc_id", "source", "text")).drop("text").join(rules(docs, **options), F.col("source").eqNullSafe(F.col("of")))
+    return rows.select("doc_id", "source", "size", "source_size", "target", "rate", _copies().alias("copies"))
 
 
 def _side(per_source: DataFrame, tag: str, small: int) -> DataFrame:
@@ -123,14 +148,8 @@ def _side(per_source: DataFrame, tag: str, small: int) -> DataFrame:
 
 
 def take_copies(docs: DataFrame, **options) -> DataFrame:
-    """``docs`` with each row repeated as often as the mix takes it; rows not taken go.
-
-    The decision depends on id, source and text size alone, so it is joined back by these.
-    """
-    keys = ["doc_id", "source", "mix_size"]
-    taken = mixed(docs, **options).select("doc_id", "source", F.col("size").alias("mix_size"), "copies").where("copies > 0").dropDuplicates(keys)
-    taken = spool(taken.select(*[F.col(k).alias(f"of_{k}") for k in keys], "copies"), "copies")
-    with_size = docs.withColumn("mix_size", word_count(F.col("text")))
-    same = [F.col(k).eqNullSafe(F.col(f"of_{k}")) for k in keys]
-    joined = with_size.join(taken, same[0] & same[1] & same[2])
-    return joined.select(*docs.columns, F.explode(F.sequence(F.lit(1), "copies")).alias("mix_copy")).select(*docs.columns)
+    """``docs`` with each row repeated as often as the mix takes it; rows not taken go. The texts are not shuffled."""
+    columns = docs.columns
+    packed = docs.select("doc_id", "source", "text", F.struct(*columns).alias("row"))
+    rows = _keyed(packed).join(rules(docs, **options), F.col("source").eqNullSafe(F.col("of"))).withColumn("copies", _copies()).where("copies > 0")
+    return rows.select("row.*", F.explode(F.sequence(F.lit(1), "copies")).alias("mix_copy")).drop("mix_copy").select(*columns)
