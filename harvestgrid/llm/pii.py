@@ -214,11 +214,12 @@ def sanitise(docs: DataFrame, **options) -> DataFrame:
     """``docs`` with personal data and disclosing terms replaced; n_chars, where present, follows the text."""
     found = scanned(docs)
     terms = disclosing_terms(docs, found, **options)
-    spans = found.where("size(spans) > 0").select("text_key", "spans").dropDuplicates(["text_key"])
-    spans = spool(spans.join(terms, F.col("text_key") == F.col("term_key"), "left").select("text_key", _all_spans(F.col("spans"), F.col("terms")).alias("pii_spans")), "spans")
-    joined = docs.withColumn("pii_key", F.md5(F.col("text").cast("binary"))).join(spans, F.col("pii_key") == F.col("text_key"), "left")
-    changed = F.col("pii_spans").isNotNull()
-    joined = joined.withColumn("pii_text", F.when(changed, replaced(F.col("text"), F.col("pii_spans"))).otherwise(F.col("text")))
-    size = F.when(changed, F.char_length("pii_text")).otherwise(F.col("n_chars")) if "n_chars" in docs.columns else None
-    new = {"text": F.col("pii_text"), "n_chars": size.cast(docs.schema["n_chars"].dataType) if size is not None else None}
-    return joined.select(*[new[c].alias(c) if c in new else F.col(c) for c in docs.columns])
+    # Only rows with spans meet the table of terms; the texts of all others never move.
+    marked = docs.withColumn("pii_spans", base_spans(F.coalesce(F.col("text").cast("string"), F.lit(""))))
+    clean = marked.where(F.size("pii_spans") == 0).select(*docs.columns)
+    held = marked.where(F.size("pii_spans") > 0).withColumn("pii_key", F.md5(F.col("text").cast("binary")))
+    held = held.join(terms, F.col("pii_key") == F.col("term_key"), "left").withColumn("pii_text", replaced(F.col("text"), _all_spans(F.col("pii_spans"), F.col("terms"))))
+    new = {"text": F.col("pii_text")}
+    if "n_chars" in docs.columns:
+        new["n_chars"] = F.char_length("pii_text").cast(docs.schema["n_chars"].dataType)
+    return clean.unionByName(held.select(*[new[c].alias(c) if c in new else F.col(c) for c in docs.columns]))
