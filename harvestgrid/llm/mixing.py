@@ -12,8 +12,8 @@ Newton iterations run over one row per source, all sources at once, as a
 column expression. A document is then taken rate = exp(lambda) times on
 average: everyone gets the whole part, and the fractional part goes to the
 documents whose reproducible random key is lowest, as long as the source's words
-stay within its target; what is missing then goes to the document whose size
-comes nearest. The last key is found in two steps (sums per bin of keys, then
+stay within its target; what is missing then is filled from the documents left
+out, one of each class of sizes at most, larger first. The last key is found in two steps (sums per bin of keys, then
 exact order within the one bin that holds it), so no task gets a whole source.
 
 Targets: sources ordered by code point, null last, weigh 1, 2, 3, repeating, and
@@ -105,12 +105,21 @@ def rules(docs: DataFrame, cycle: tuple[float, ...] = CYCLE, most: float = 3.0,
     goal = goal.join(fits, F.col("of").eqNullSafe(F.col("cut_of")), "left").drop("cut_of", "below")
     goal = _side(goal, "cut", small_sources)
 
-    # What is still missing goes to the one document left out whose size is nearest the gap.
+    # What is still missing is filled from documents left out: of each class of sizes the one of lowest key, larger first.
     rows = sizes.join(goal, F.col("source").eqNullSafe(F.col("of"))).withColumn("extra", _extra())
     gap = rows.groupBy(F.col("of").alias("gap_of")).agg((F.first("rest") - F.sum(F.col("extra") * F.col("size"))).alias("gap"))
     gap = _side(gap, "gap", small_sources)
-    near = rows.where("extra = 0").join(gap, F.col("of").eqNullSafe(F.col("gap_of"))).where("abs(size - gap) < gap")
-    fill = near.groupBy(F.col("of").alias("fill_of")).agg(F.min(F.struct(F.abs(F.col("size") - F.col("gap")), "key", "doc_id")).alias("fill"))
+    near = rows.where("extra = 0 and size > 0").join(gap, F.col("of").eqNullSafe(F.col("gap_of"))).where("size <= gap")
+    best = near.groupBy("of", F.length(F.bin("size")).alias("sizes")).agg(F.min(F.struct("key", "doc_id", "size")).alias("b"), F.first("gap").alias("gap"))
+    each = best.groupBy(F.col("of").alias("fill_of")).agg(F.array_sort(F.collect_list(F.struct((-F.col("b.size")).alias("n"), "b.key", "b.doc_id"))).alias("c"), F.first("gap").alias("gap"))
+    none = F.array().cast("array<struct<key:double,doc_id:" + sizes.schema["doc_id"].dataType.simpleString() + ">>")
+    taken = F.aggregate(
+        "c",
+        F.struct(F.col("gap"), none.alias("ids")),
+        lambda acc, x: F.when(-x["n"] <= acc["gap"], F.struct((acc["gap"] + x["n"]).alias("gap"), F.concat(acc["ids"], F.array(F.struct(x["key"].alias("key"), x["doc_id"].alias("doc_id")))).alias("ids"))).otherwise(acc),
+        lambda acc: acc["ids"],
+    )
+    fill = each.select("fill_of", taken.alias("fill"))
     done = goal.join(fill, F.col("of").eqNullSafe(F.col("fill_of")), "left").drop("fill_of")
     return _side(done, "rules", small_sources)
 
@@ -127,7 +136,7 @@ def _extra() -> Column:
 
 
 def _copies() -> Column:
-    filled = (F.col("key") == F.col("fill.key")) & F.col("doc_id").eqNullSafe(F.col("fill.doc_id"))
+    filled = F.exists("fill", lambda f: (f["key"] == F.col("key")) & f["doc_id"].eqNullSafe(F.col("doc_id")))
     return F.least(F.col("whole") + _extra() + F.when(filled, 1).otherwise(0), F.col("most"))
 
 
