@@ -10,6 +10,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from ..plans.shared import keep
+
 
 def _staged_solve(df: DataFrame, degree: int, s: list[str], r: list[str]) -> DataFrame:
     """+ c{degree} (array of coefficients, lowest first). Each elimination column is a projection, which keeps expressions small."""
@@ -53,8 +55,8 @@ def fit_polynomials(df: DataFrame, by, y: str = "y", w: str = "w", max_degree: i
     power = lambda k: F.lit(1.0) if k == 0 else F.pow("_u", F.lit(float(k)))
     sums = [F.sum(power(k)).alias(f"s{k}") for k in range(2 * max_degree + 1)]
     mixed = [F.sum(power(k) * F.col("_v")).alias(f"m{k}") for k in range(max_degree + 1)]
-    keep = ("y_min", "y_max", "centre", "half", "n", "n_distinct", "w_mean")
-    fits = rows.groupBy(*by).agg(*sums, *mixed, F.sum(F.col("_v") * F.col("_v")).alias("vv"), *[F.first(c).alias(c) for c in keep])
+    held = ("y_min", "y_max", "centre", "half", "n", "n_distinct", "w_mean")
+    fits = rows.groupBy(*by).agg(*sums, *mixed, F.sum(F.col("_v") * F.col("_v")).alias("vv"), *[F.first(c).alias(c) for c in held])
     s, r = [f"s{k}" for k in range(2 * max_degree + 1)], [f"m{k}" for k in range(max_degree + 1)]
     for d in range(1, max_degree + 1):
         fits = _staged_solve(fits, d, s, r)
@@ -62,7 +64,8 @@ def fit_polynomials(df: DataFrame, by, y: str = "y", w: str = "w", max_degree: i
         explained = sum((F.col(f"c{d}")[k] * F.col(f"m{k}") for k in range(d + 1)), F.lit(0.0))
         score = F.when(F.col("n_distinct") <= d, None).when(F.col("vv") <= 1e-12, F.lit(1.0)).otherwise(F.least(F.lit(1.0), explained / F.col("vv")))
         fits = fits.withColumn(f"r{d}", score)
-    return fits.drop(*s, *r, "vv")
+    # One row per group: written once, as the elimination's expressions would grow with every use.
+    return keep(fits.drop(*s, *r, "vv"))
 
 
 def choose_degree(fits: DataFrame, score: float = 0.94, max_degree: int = 3, fixed: int | None = None) -> DataFrame:
@@ -83,10 +86,13 @@ def choose_degree(fits: DataFrame, score: float = 0.94, max_degree: int = 3, fix
     return out.withColumns({"score": pick("r"), "coef": pick("c")})
 
 
-def poly_at(y: Column) -> Column:
-    """Mass at a position, by Horner's rule on the centred and scaled variable."""
+def poly_at(y: Column, max_degree: int = 3) -> Column:
+    """Mass at a position, by Horner's rule on the centred and scaled variable; plain arithmetic, so it stays in generated code."""
     u = F.when(F.col("half") > 0, (y - F.col("centre")) / F.col("half")).otherwise(0.0)
-    return F.col("w_mean") + F.aggregate(F.reverse("coef"), F.lit(0.0), lambda acc, c: acc * u + c)
+    value = F.lit(0.0)
+    for d in range(max_degree, -1, -1):
+        value = value * u + F.coalesce(F.get("coef", F.lit(d)), F.lit(0.0))
+    return F.col("w_mean") + value
 
 
 def increments(fits: DataFrame, step: float = 0.3048, anchor: str = "lower", tail: str = "drop", clip: float | None = None) -> DataFrame:

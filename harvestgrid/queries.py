@@ -6,7 +6,6 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .operators import activity, baselines, calibrate, cluster, completion, direction, geometry, gridmap, interpolate, invariants, mass, metrics, occupancy, rows, season, states, trays
-from .plans.shared import keep
 from .sources import adapters as src
 from .sources.adapters import ORDER
 
@@ -372,7 +371,7 @@ def container_average_yield(spark, sf):
 @query
 def ablate_interpolation(spark, sf):
     curve = _curves(spark, sf, YEAR)
-    fits = keep(interpolate.fit_polynomials(curve, YEAR))
+    fits = interpolate.fit_polynomials(curve, YEAR)
     stair = baselines.staircase_yield(curve, YEAR, ("y", *ORDER)).groupBy(*YEAR).agg(F.sum("dmass").alias("m0"))
     out = None
     for name, fixed in (("adaptive", None), ("degree1", 1), ("degree2", 2)):
