@@ -7,7 +7,8 @@ from pyspark.sql import functions as F
 
 
 def relative_error(gt: str = "gt", est: str = "est") -> Column:
-    return F.abs(F.col(gt) - F.col(est)) / F.col(gt)
+    """Null where the truth is 0."""
+    return F.try_divide(F.abs(F.col(gt) - F.col(est)), F.col(gt))
 
 
 def row_level(pairs: DataFrame, tray: str = "tray_id") -> DataFrame:
@@ -35,7 +36,7 @@ def summary(pairs: DataFrame) -> DataFrame:
     d = F.col("est") - F.col("gt")
     return pairs.agg(
         F.sum("gt").alias("total_gt"), F.sum("est").alias("total_est"), (1 - F.avg(relative_error())).alias("accuracy"), F.avg(F.abs(d)).alias("mae"),
-        F.sqrt(F.avg(d * d)).alias("rmse"), F.corr("gt", "est").alias("pearson_r"), F.count(F.lit(1)).alias("n"),
+        F.sqrt(F.avg(d * d)).alias("rmse"), F.try_divide(F.covar_pop("gt", "est"), F.stddev_pop("gt") * F.stddev_pop("est")).alias("pearson_r"), F.count(F.lit(1)).alias("n"),
     )
 
 
@@ -67,11 +68,12 @@ def confusion(df: DataFrame, truth: Column, predicted: Column, by=()) -> DataFra
     cell = lambda t, p: F.count_if((truth == t) & (predicted == p))
     out = df.groupBy(*by).agg(cell(1, 1).alias("tp"), cell(0, 1).alias("fp"), cell(1, 0).alias("fn"), cell(0, 0).alias("tn"))
     tp, fp, fn, tn = (F.col(c) for c in ("tp", "fp", "fn", "tn"))
-    f1, f0 = 2 * tp / (2 * tp + fp + fn), 2 * tn / (2 * tn + fp + fn)
+    div = F.try_divide
+    f1, f0 = div(2 * tp, 2 * tp + fp + fn), div(2 * tn, 2 * tn + fp + fn)
     n = tp + fp + fn + tn
     return out.withColumns({
-        "precision": tp / (tp + fp), "recall": tp / (tp + fn), "f1": f1, "accuracy": (tp + tn) / n,
-        "f1_macro": (f1 + f0) / 2, "f1_weighted": (f1 * (tp + fn) + f0 * (tn + fp)) / n,
+        "precision": div(tp, tp + fp), "recall": div(tp, tp + fn), "f1": f1, "accuracy": div(tp + tn, n),
+        "f1_macro": (f1 + f0) / 2, "f1_weighted": div(f1 * (tp + fn) + f0 * (tn + fp), n),
     })
 
 
@@ -94,4 +96,4 @@ def gap_report(trace: DataFrame, by=("field_id", "cart_id", "session"), cap_s: f
     from pyspark.sql import Window
 
     step = (F.lead("t_us").over(Window.partitionBy(*by).orderBy("t_us")) - F.col("t_us")) / 1e6
-    return trace.withColumn("step", step).groupBy(*by).agg((F.sum(F.when(F.col("step") > cap_s, F.col("step") - cap_s)) / F.sum("step")).alias("gap_share"), F.count(F.lit(1)).alias("n"))
+    return trace.withColumn("step", step).groupBy(*by).agg(F.try_divide(F.sum(F.when(F.col("step") > cap_s, F.col("step") - cap_s)), F.sum("step")).alias("gap_share"), F.count(F.lit(1)).alias("n"))

@@ -56,7 +56,7 @@ def running(daily: DataFrame, by=("field_id",), at: str = "month") -> DataFrame:
 def temporal(daily: DataFrame, at: str = "day_no", by=("field_id",)) -> DataFrame:
     """Per cell: trend of mass over time and coefficient of variation."""
     return daily.groupBy(*by, "j", "k").agg(
-        F.regr_slope("mass", F.col(at).cast("double")).alias("slope"), (F.stddev_samp("mass") / F.avg("mass")).alias("cv"), F.count(F.lit(1)).alias("n")
+        F.regr_slope("mass", F.col(at).cast("double")).alias("slope"), F.try_divide(F.stddev_samp("mass"), F.avg("mass")).alias("cv"), F.count(F.lit(1)).alias("n")
     )
 
 
