@@ -39,7 +39,7 @@ def _cell(v: str, high: str, res: str, n: int) -> str:
     return f"(CASE WHEN {v} > ({before} + {last}) / 2 THEN {n - 1} WHEN {k} = {n - 1} THEN {n - 2} ELSE {k} END)::INTEGER"
 
 
-_HX, _HY = "(50 * 1.63::DOUBLE)", "(40 * 0.3048::DOUBLE)"
+_HX, _HY = "(50 * 1.63::DOUBLE)", "(8 * 1.63::DOUBLE)"
 
 POINTS = f"""
 pt0 AS (
@@ -161,7 +161,7 @@ rt AS (SELECT *, CASE WHEN nt > t_us THEN (nwt - w) / ((nt - t_us) / 3600000000.
 
 def _sweep_res() -> str:
     out = []
-    for res, nx, ny in ((0.61, 134, 20), (1.22, 67, 10), (1.63, 50, 8), (3.26, 25, 4)):
+    for res, nx, ny in ((0.61, 134, 22), (1.22, 67, 11), (1.63, 50, 8), (3.26, 25, 4)):
         out.append(f"SELECT {res}::DOUBLE AS res, field_id, {_cell('row_x', _HX, str(res), nx)} AS cj, {_cell('y_int', _HY, str(res), ny)} AS ck, sum(dmass) AS mass FROM pt GROUP BY ALL")
     return " UNION ALL ".join(out)
 
@@ -203,7 +203,7 @@ ORACLE = {
     "mass_in_range": f"WITH {TRACE} SELECT cart_id, count(*) FILTER (w > 0.55::DOUBLE AND w < 5) AS kept, count(*) FILTER (NOT (w > 0.55::DOUBLE AND w < 5)) AS dropped FROM trace GROUP BY ALL",
     "filter_mass_band": f"WITH {TRACE} SELECT src_id, cart_id, round(w, 4) AS w FROM trace WHERE w > 0.55::DOUBLE AND w < 5",
     "mass_rate_stable": f"WITH {_RATE} SELECT cart_id, session, count(*) AS stable_n, round(avg(rate), 4) AS mean_rate FROM rt WHERE rate > 0 AND rate <= 0.2::DOUBLE GROUP BY ALL",
-    "mass_median_smooth": f"WITH {TRACE}, s AS (SELECT src_id, quantile_cont(w, 0.5) OVER (PARTITION BY cart_id ORDER BY t_us, src_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS q FROM trace) SELECT src_id, round(q, 4) AS w_smooth FROM s",
+    "mass_median_smooth": f"WITH {TRACE}, s AS (SELECT src_id, quantile_cont(w, 0.5) OVER (PARTITION BY cart_id ORDER BY t_us, src_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS q FROM trace) SELECT src_id, round(q::DECIMAL(28, 9), 4)::DOUBLE AS w_smooth FROM s",
     "mass_clean": f"WITH {_RATE}, s AS (SELECT cart_id, quantile_cont(w, 0.5) OVER (PARTITION BY cart_id, session ORDER BY t_us, src_id ROWS BETWEEN 2 PRECEDING AND 2 FOLLOWING) AS q FROM rt WHERE rate > 0 AND rate <= 0.2::DOUBLE) SELECT cart_id, count(*) AS n, round((sum(q))::DECIMAL(28, 9), 4)::DOUBLE AS total FROM s GROUP BY ALL",
     "tray_clusters_1d": f"WITH {_line(6, 3)} SELECT cart_id, cluster_id AS tray_id, count(*) AS n, round(min(w), 4) AS mass_min, round(max(w), 4) AS mass_max FROM cl GROUP BY ALL",
     "tray_mass_reset": f"WITH {TRACE}, g AS (SELECT *, CASE WHEN lag(w) OVER (PARTITION BY cart_id ORDER BY t_us, src_id) - w > 1 THEN 1 ELSE 0 END AS c FROM trace) SELECT cart_id, sum(c)::BIGINT + 1 AS trays FROM g GROUP BY ALL",

@@ -11,7 +11,7 @@ from .sources.adapters import ORDER
 
 HOUR = 3_600_000_000
 RES = 1.63
-GRID = gridmap.Grid(0.0, 0.0, 50 * RES, 40 * 0.3048, RES)
+GRID = gridmap.Grid(0.0, 0.0, 50 * RES, 8 * RES, RES)
 POLYGON = [(0.0, 0.0), (60.0, 0.0), (60.0, 30.0), (30.0, 45.0), (0.0, 30.0)]
 QUERIES: dict = {}
 DAY = ("cart_id", "session")
@@ -446,7 +446,7 @@ def resolution_sweep(spark, sf):
     """All resolutions from one scan: each point goes to its cell at every side length."""
     cells = []
     for res in (0.61, 1.22, 1.63, 3.26):
-        g = gridmap.Grid(0.0, 0.0, 50 * RES, 40 * 0.3048, res)
+        g = gridmap.Grid(0.0, 0.0, 50 * RES, 8 * RES, res)
         j, k = gridmap.cell_index(F.col("row_x"), 0.0, g.x_max, res, g.cells("x")), gridmap.cell_index(F.col("y_int"), 0.0, g.y_max, res, g.cells("y"))
         cells.append(F.struct(F.lit(res).alias("res"), j.alias("j"), k.alias("k")))
     per = _points(spark, sf).select("field_id", "dmass", F.inline(F.array(*cells))).groupBy("res", "field_id", "j", "k").agg(F.sum("dmass").alias("mass"))
