@@ -239,16 +239,32 @@ def components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
     )
 
 
-def near_duplicates(docs: DataFrame, width: int = 3, radius: int = 3, blocks: int = 5, tile_rows: int = 2048) -> DataFrame:
-    """doc_id, fp, component_id for every row of ``docs`` (see module text)."""
+def _groups(docs: DataFrame, width: int = 3, radius: int = 3, blocks: int = 5, tile_rows: int = 2048) -> tuple[DataFrame, DataFrame]:
+    """(doc_id, fp) of every row, and fp, root (smallest fingerprint reachable), component_id of every fingerprint."""
     prints = spool(fingerprints(docs, width), "prints")
     firsts = spool(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "firsts")
     node = spool(components(links(firsts, radius, blocks, tile_rows)), "nodes")
     linked = firsts.join(node, firsts.fp == node.node).select("fp", "root", "first_id")
     smallest = linked.groupBy("root").agg(F.min("first_id").alias("least_id"))
-    named = spool(linked.join(smallest, "root").select("fp", "least_id"), "named")
-    ids = firsts.join(named, "fp", "left").select("fp", F.coalesce("least_id", "first_id").alias("component_id"))
-    return prints.join(spool(ids, "ids"), "fp").select("doc_id", "fp", "component_id")
+    named = spool(linked.join(smallest, "root").select("fp", "root", "least_id"), "named")
+    ids = firsts.join(named, "fp", "left").select("fp", F.coalesce("root", "fp").alias("root"), F.coalesce("least_id", "first_id").alias("component_id"))
+    return prints, spool(ids, "ids")
+
+
+def near_duplicates(docs: DataFrame, **options) -> DataFrame:
+    """doc_id, fp, component_id for every row of ``docs`` (see module text)."""
+    prints, ids = _groups(docs, **options)
+    return prints.join(ids, "fp").select("doc_id", "fp", "component_id")
+
+
+def _text_prints(width: int):
+    def run(batches):
+        for batch in slices(batches, 2048):
+            values = [fingerprint(None if t is None else t.encode(), width) for t in batch.column(0).to_pylist()]
+            signed = np.array(values, dtype=np.uint64).view(np.int64)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(signed)], names=["of_text", "fp"])
+
+    return run
 
 
 def keep_first(docs: DataFrame, **options) -> DataFrame:
@@ -257,7 +273,12 @@ def keep_first(docs: DataFrame, **options) -> DataFrame:
     Rows without id are dropped when their component has an id, else one of
     them stays. Of repeated rows with the kept id, one stays.
     """
-    found = near_duplicates(docs, **options)
-    keep = found.where("doc_id is not null and doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(spool(keep, "keep"), "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return kept.select(*docs.columns)
+    prints, ids = _groups(docs, **options)
+    keep = prints.where("doc_id is not null").join(ids, "fp").where("doc_id = component_id").select("doc_id").distinct()
+    kept = docs.join(spool(keep, "keep"), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
+    # Rows without id: one for each component in which no row has one.
+    nameless = docs.where("doc_id is null")
+    texts = nameless.select(F.col("text").cast("string").alias("text")).distinct().mapInArrow(_text_prints(options.get("width", 3)), "of_text string, fp long")
+    alone = spool(texts.join(ids.where("component_id is null"), "fp").select("of_text", "root"), "alone")
+    lone = nameless.join(alone, F.col("text").eqNullSafe(F.col("of_text"))).dropDuplicates(["root"]).select(*docs.columns)
+    return kept.unionByName(lone)

@@ -57,7 +57,9 @@ def test_components(spark):
         assert sorted(((r.doc_id, "%016x" % (r.fp % (1 << 64)), r.component_id) for r in got), key=str) == want
     kept = simhash.keep_first(df)
     assert kept.columns == df.columns
-    assert sorted(r.doc_id for r in kept.collect()) == sorted({c for i, _, c in want if c is not None and i == c})
+    rows_kept = [r.doc_id for r in kept.collect()]
+    assert sorted(i for i in rows_kept if i is not None) == sorted({c for i, _, c in want if c is not None and i == c})
+    assert rows_kept.count(None) == len({f for i, f, c in want if i is None and c is None})
     assert simhash.near_duplicates(df.limit(0)).count() == 0
 
 
