@@ -213,12 +213,12 @@ def replaced(text: Column, spans: Column) -> Column:
 def sanitise(docs: DataFrame, **options) -> DataFrame:
     """``docs`` with personal data and disclosing terms replaced; n_chars, where present, follows the text."""
     found = scanned(docs)
-    terms = disclosing_terms(docs, found, **options)
+    terms = disclosing_terms(docs, found, **options).select(F.col("term_key").alias("pii_term_key"), F.col("terms").alias("pii_terms"))
     # Only rows with spans meet the table of terms; the texts of all others never move.
     marked = docs.withColumn("pii_spans", base_spans(F.coalesce(F.col("text").cast("string"), F.lit(""))))
     clean = marked.where(F.size("pii_spans") == 0).select(*docs.columns)
     held = marked.where(F.size("pii_spans") > 0).withColumn("pii_key", F.md5(F.col("text").cast("binary")))
-    held = held.join(terms, F.col("pii_key") == F.col("term_key"), "left").withColumn("pii_text", replaced(F.col("text"), _all_spans(F.col("pii_spans"), F.col("terms"))))
+    held = held.join(terms, F.col("pii_key") == F.col("pii_term_key"), "left").withColumn("pii_text", replaced(F.col("text"), _all_spans(F.col("pii_spans"), F.col("pii_terms"))))
     new = {"text": F.col("pii_text")}
     if "n_chars" in docs.columns:
         new["n_chars"] = F.char_length("pii_text").cast(docs.schema["n_chars"].dataType)

@@ -148,3 +148,17 @@ def op9_disclosure_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES["op9_disclosure_pii"] = op9_disclosure_pii
+
+ORACLE_SQL["op3_warc_bundles"] = """
+WITH p AS (SELECT page_id, encode(coalesce(html, '')) AS b FROM pages),
+h AS (SELECT page_id, octet_length(b)::BIGINT AS payload_bytes, sha1(b) AS hex FROM p),
+f AS (SELECT hex, min(page_id) AS first FROM h GROUP BY hex),
+bits AS (SELECT h.*, first, list_aggregate(list_transform(range(1, 41), lambda i: substr('0000000100100011010001010110011110001001101010111100110111101111', strpos('0123456789abcdef', substr(h.hex, i, 1))::BIGINT * 4 - 3, 4)), 'string_agg', '') AS s
+         FROM h JOIN f USING (hex))
+SELECT page_id, payload_bytes,
+  list_aggregate(list_transform(range(0, 32), lambda k: substr('ABCDEFGHIJKLMNOPQRSTUVWXYZ234567',
+    1 + 16 * substr(s, 5 * k + 1, 1)::BIGINT + 8 * substr(s, 5 * k + 2, 1)::BIGINT + 4 * substr(s, 5 * k + 3, 1)::BIGINT + 2 * substr(s, 5 * k + 4, 1)::BIGINT + substr(s, 5 * k + 5, 1)::BIGINT, 1)), 'string_agg', '') AS payload_digest,
+  CASE WHEN page_id = first OR first IS NULL THEN 'response' ELSE 'revisit' END AS record_type,
+  CASE WHEN page_id = first OR first IS NULL THEN NULL ELSE first END AS refers_to
+FROM bits
+"""

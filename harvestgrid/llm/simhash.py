@@ -279,6 +279,6 @@ def keep_first(docs: DataFrame, **options) -> DataFrame:
     # Rows without id: one for each component in which no row has one.
     nameless = docs.where("doc_id is null")
     texts = nameless.select(F.col("text").cast("string").alias("text")).distinct().mapInArrow(_text_prints(options.get("width", 3)), "of_text string, fp long")
-    alone = spool(texts.join(ids.where("component_id is null"), "fp").select("of_text", "root"), "alone")
-    lone = nameless.join(alone, F.col("text").eqNullSafe(F.col("of_text"))).dropDuplicates(["root"]).select(*docs.columns)
+    alone = spool(texts.join(ids.where("component_id is null"), "fp").select(F.col("of_text").alias("dup_text"), F.col("root").alias("dup_root")), "alone")
+    lone = nameless.join(alone, F.col("text").eqNullSafe(F.col("dup_text"))).dropDuplicates(["dup_root"]).select(*docs.columns)
     return kept.unionByName(lone)

@@ -55,6 +55,17 @@ def test_stages(spark, corpus):
     assert sorted((r.n_tokens, r.ids_sha256) for r in coded) == want
 
 
+def test_clashing_columns(spark, corpus):
+    names = "terms term_key spans text_key root fp size key of rate copies bin term entity score lang_pred target whole row ids n".split()
+    docs = corpus.limit(60).selectExpr("*", *[f"'{n}' AS {n}" for n in names])
+    for name, stage in corpus_pipeline.STAGES[:-1]:
+        out = stage(spark, docs, "")
+        assert out.columns == docs.columns, name
+        assert out.where(" or ".join(f"{n} <> '{n}'" for n in names)).count() == 0
+        docs = out
+    assert corpus_pipeline.STAGES[-1][1](spark, docs, "").count() == docs.count()
+
+
 def test_empty_table(spark, corpus):
     docs = corpus.limit(0)
     for _, stage in corpus_pipeline.STAGES:
