@@ -67,3 +67,51 @@ def upsert_daily_map(path: str):
         both.checkpoint().write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("day").parquet(path)
 
     return run
+
+
+CLOSED = "cart_id long, tray_no long, t_first long, t_last long, n long, mass double"
+_OPEN = "tray_no long, t_first long, t_last long, n long, mass double, last_w double"
+
+
+def stateful_trays(events: DataFrame, drop_kg: float = 1.0, idle: str = "1 day") -> DataFrame:
+    """Closed trays per cart, from a stream: a tray closes when the load falls by more than ``drop_kg`` or the cart stays silent.
+
+    State per cart is one open tray (a few numbers), however long the stream. Samples of
+    one batch are taken in order of time; samples behind the watermark are dropped by Spark and
+    belong to the batch re-run of their day.
+    """
+    from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
+
+    def run(key, batches, state: GroupState):
+        import pandas as pd
+
+        closed = []
+        tray = list(state.get) if state.exists else None
+        if state.hasTimedOut:
+            if tray:
+                closed.append((key[0], *tray[:5]))
+            state.remove()
+        else:
+            rows = pd.concat(list(batches)).sort_values(["t_us", "src_id"])
+            for t, w in zip(rows["t_us"], rows["w"]):
+                t, w = int(t), float(w)
+                if tray is None:
+                    tray = [0, t, t, 0, 0.0, w]
+                elif tray[5] - w > drop_kg:
+                    closed.append((key[0], *tray[:5]))
+                    tray = [tray[0] + 1, t, t, 0, 0.0, w]
+                tray[2], tray[3], tray[4], tray[5] = t, tray[3] + 1, tray[4] + w, w
+            state.update(tuple(tray))
+            until = max(state.getCurrentWatermarkMs(), tray[2] // 1000) + int(pd.Timedelta(idle).total_seconds() * 1000)
+            state.setTimeoutTimestamp(until)
+        yield pd.DataFrame(closed, columns=["cart_id", "tray_no", "t_first", "t_last", "n", "mass"])
+
+    samples = events.withWatermark("ts", LATENESS).select(
+        F.col("user_id").alias("cart_id"), F.unix_micros("ts").alias("t_us"), (0.05 * F.col("value")).alias("w"), F.col("event_id").alias("src_id"), "ts"
+    )
+    return samples.groupBy("cart_id").applyInPandasWithState(run, CLOSED, _OPEN, "append", GroupStateTimeout.EventTimeTimeout)
+
+
+def late_days(batch: DataFrame, closed_until_us: int, t: str = "t_us", keys=("field_id", "session")) -> DataFrame:
+    """Keys of the days that late samples touch: these days are run again as batches and their partitions overwritten."""
+    return batch.where(F.col(t) < closed_until_us).select(*keys).distinct()
