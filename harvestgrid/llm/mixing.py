@@ -105,12 +105,12 @@ def rules(docs: DataFrame, cycle: tuple[float, ...] = CYCLE, most: float = 3.0,
     goal = goal.join(fits, F.col("of").eqNullSafe(F.col("cut_of")), "left").drop("cut_of", "below")
     goal = _side(goal, "cut", small_sources)
 
-    # What is still missing is filled from documents left out: of each class of sizes the one of lowest key, larger first.
+    # What is still missing is filled from documents left out: of each class of sizes (a quarter of an octave) the one of lowest key, larger first.
     rows = sizes.join(goal, F.col("source").eqNullSafe(F.col("of"))).withColumn("extra", _extra())
     gap = rows.groupBy(F.col("of").alias("gap_of")).agg((F.first("rest") - F.sum(F.col("extra") * F.col("size"))).alias("gap"))
     gap = _side(gap, "gap", small_sources)
     near = rows.where("extra = 0 and size > 0").join(gap, F.col("of").eqNullSafe(F.col("gap_of"))).where("size <= gap")
-    best = near.groupBy("of", F.length(F.bin("size")).alias("sizes")).agg(F.min(F.struct("key", "doc_id", "size")).alias("b"), F.first("gap").alias("gap"))
+    best = near.groupBy("of", F.concat(F.length(F.bin("size")), F.substring(F.bin("size"), 1, 3)).alias("sizes")).agg(F.min(F.struct("key", "doc_id", "size")).alias("b"), F.first("gap").alias("gap"))
     each = best.groupBy(F.col("of").alias("fill_of")).agg(F.array_sort(F.collect_list(F.struct((-F.col("b.size")).alias("n"), "b.key", "b.doc_id"))).alias("c"), F.first("gap").alias("gap"))
     none = F.array().cast("array<struct<key:double,doc_id:" + sizes.schema["doc_id"].dataType.simpleString() + ">>")
     taken = F.aggregate(

@@ -50,7 +50,7 @@ cum AS (SELECT k.*, r.w, r.target, r.whole, r.target - r.whole * r.w AS rest,
         FROM keyed k JOIN rest r ON k.source IS NOT DISTINCT FROM r.source),
 first_pass AS (SELECT *, CASE WHEN upto <= rest THEN 1 ELSE 0 END AS extra FROM cum),
 gaps AS (SELECT *, rest - sum(extra * size) OVER (PARTITION BY source) AS gap FROM first_pass),
-best AS (SELECT source, any_value(gap) AS gap, arg_min({'n': -size, 'key': key, 'doc_id': doc_id}, (key, doc_id)) AS b FROM gaps WHERE extra = 0 AND size > 0 AND size <= gap GROUP BY source, length(bin(size))),
+best AS (SELECT source, any_value(gap) AS gap, arg_min({'n': -size, 'key': key, 'doc_id': doc_id}, (key, doc_id)) AS b FROM gaps WHERE extra = 0 AND size > 0 AND size <= gap GROUP BY source, length(bin(size)) || substr(bin(size), 1, 3)),
 fold AS (SELECT source, list_reduce(list(b ORDER BY b.n, b.key, b.doc_id), lambda a, x: CASE WHEN -x.n <= a.gap THEN {'gap': a.gap + x.n, 'ids': list_append(a.ids, x.doc_id)} ELSE a END, {'gap': any_value(gap)::DOUBLE, 'ids': []::BIGINT[]}).ids AS ids FROM best GROUP BY source)
 SELECT doc_id, size, w::BIGINT AS source_size, round(target, 6) AS target,
        (least(3, whole + extra + CASE WHEN extra = 0 AND coalesce(list_contains(ids, doc_id), false) THEN 1 ELSE 0 END) * size)::BIGINT AS taken,
