@@ -145,17 +145,28 @@ class Page:
         flush()
 
 
-#: Node kinds that are told apart, and attribute tokens that are looked for; what they mean is learned.
+#: Node kinds that are told apart, and attribute tokens, by family, that are looked for; what they mean is learned.
 KINDS = "html body div section article main nav header footer aside ul ol li p h1 h2 h3 form table td blockquote pre figure figcaption dl ins".split()
-TOKENS = (
-    "ad ads advert advertisement sponsored sponsor promo banner nav navigation menu navbar breadcrumb breadcrumbs header masthead top footer bottom colophon copyright sidebar aside "
-    "widget secondary related recommended cookie consent notice alert gdpr banner newsletter subscribe signup popup modal search form login comment comments reply respond discussion "
-    "disqus share social tags pagination pager meta byline content article post entry story body main text page site primary hentry container wrapper contentinfo complementary legal"
-).split()
+FAMILIES = {
+    "ad": "ad ads advert advertisement adbox adslot sponsored sponsor promo promotion banner partner",
+    "menu": "nav navigation menu navbar breadcrumb breadcrumbs toc pagination pager skip links",
+    "top": "header masthead top topbar logo branding",
+    "bottom": "footer bottom colophon copyright contentinfo legal imprint",
+    "side": "sidebar aside side widget secondary related recommended complementary rail trending popular more",
+    "notice": "cookie cookies consent notice alert gdpr newsletter subscribe subscription popup modal overlay toast warning privacy",
+    "form": "search form login signup contact input",
+    "talk": "comment comments commentlist reply replies respond discussion disqus review reviews feedback",
+    "share": "share sharing social tags tag meta byline follow",
+    "main": "content article post entry story body main text hentry",
+    "frame": "page site primary container wrapper wrap inner layout",
+}
+TOKENS = " ".join(FAMILIES.values()).split()
+_FAMILY = {t: i for i, f in enumerate(FAMILIES.values()) for t in f.split()}
 _KIND = {k: i for i, k in enumerate(KINDS)}
 _TOKEN_AT = {t: i for i, t in enumerate(dict.fromkeys(TOKENS))}
 _NUMERIC = 24
-N_FEATURES = _NUMERIC + 2 * len(_KIND) + 2 * len(_TOKEN_AT)
+_ATTRS = len(FAMILIES) + len(_TOKEN_AT)
+N_FEATURES = _NUMERIC + 2 * len(_KIND) + 2 * _ATTRS
 
 
 def node_features(page: Page) -> np.ndarray:
@@ -201,7 +212,7 @@ def node_features(page: Page) -> np.ndarray:
     ]
     x[:, :_NUMERIC] = np.stack(numbers, axis=1)
     a, b = _NUMERIC, _NUMERIC + len(_KIND)
-    c, d = b + len(_KIND), b + len(_KIND) + len(_TOKEN_AT)
+    c, d = b + len(_KIND), b + len(_KIND) + _ATTRS
     for k in range(n):
         p = parent[k]
         if k:  # what any ancestor is
@@ -216,17 +227,16 @@ def node_features(page: Page) -> np.ndarray:
             x[k, a + kind] = 1
         if page.attr[k]:
             for t in _TOKEN.findall(page.attr[k]):
-                t = _TOKEN_AT.get(t)
-                if t is not None:
-                    x[k, c + t] = 1
+                if t in _FAMILY:
+                    x[k, c + _FAMILY[t]] = x[k, c + len(FAMILIES) + _TOKEN_AT[t]] = 1
     return x
 
 
 class BoostedTrees:
     """Logistic boosting of complete binary trees over quantile-binned features."""
 
-    def __init__(self, trees: int = 60, depth: int = 4, rate: float = 0.3, bins: int = 24, ridge: float = 1.0):
-        self.trees, self.depth, self.rate, self.bins, self.ridge = trees, depth, rate, bins, ridge
+    def __init__(self, trees: int = 80, depth: int = 4, rate: float = 0.25, bins: int = 24, ridge: float = 1.0, share: float = 0.35):
+        self.trees, self.depth, self.rate, self.bins, self.ridge, self.share = trees, depth, rate, bins, ridge, share
 
     def _binned(self, x: np.ndarray) -> np.ndarray:
         out = np.zeros(x.shape, dtype=np.uint8)
@@ -253,10 +263,15 @@ class BoostedTrees:
         self.base = float(np.log(p0 / (1 - p0)))
         score = np.full(len(y), self.base)
         self.feature, self.cut, self.leaf = [], [], []
+        rng = np.random.default_rng(5)
+        every, every_flat = binned, flat
         for _ in range(self.trees):
-            p = 1 / (1 + np.exp(-score))
-            g, h = weight * (y - p), weight * p * (1 - p)
-            node = np.zeros(len(y), dtype=np.int64)
+            # Each tree sees a share of the rows.
+            rows = np.nonzero(rng.random(len(y)) < self.share)[0]
+            binned, flat = every[rows], every_flat[rows]
+            p = 1 / (1 + np.exp(-score[rows]))
+            g, h = weight[rows] * (y[rows] - p), weight[rows] * p * (1 - p)
+            node = np.zeros(len(rows), dtype=np.int64)
             features, cuts = np.zeros(2**self.depth - 1, dtype=np.int64), np.full(2**self.depth - 1, 255)
             for level in range(self.depth):
                 count = 2**level
@@ -274,9 +289,13 @@ class BoostedTrees:
                 own = node + count - 1
                 f_at = np.searchsorted(used, features[own])
                 f_at = np.minimum(f_at, len(used) - 1)
-                node = node * 2 + (binned[np.arange(len(y)), f_at] > cuts[own])
+                node = node * 2 + (binned[np.arange(len(rows)), f_at] > cuts[own])
             leaves = 2**self.depth
             value = self.rate * np.bincount(node, g, minlength=leaves) / (np.bincount(node, h, minlength=leaves) + self.ridge)
+            node = np.zeros(len(y), dtype=np.int64)
+            for level in range(self.depth):
+                own = node + 2**level - 1
+                node = node * 2 + (every[np.arange(len(y)), np.minimum(np.searchsorted(used, features[own]), len(used) - 1)] > cuts[own])
             score += value[node]
             self.feature.append(features)
             self.cut.append(cuts)
@@ -306,6 +325,8 @@ def decode(page: Page, odds: np.ndarray) -> np.ndarray:
     children: list[list[int]] = [[] for _ in range(n)]
     for k in range(1, n):
         children[page.parent[k]].append(k)
+    # The outermost nodes hold every page, so what they are says nothing.
+    odds = np.where([t in ("html", "body") for t in page.tag], 0.0, odds) if len(page.tag) > 1 else odds
     value = np.zeros(n)
     chosen: list[list[int]] = [[] for _ in range(n)]
     for k in range(n - 1, -1, -1):
@@ -378,7 +399,7 @@ def compose(rng: random.Random) -> tuple[str, list[str]]:
                 return f"<header{attrs('site-header', 'masthead', 'header', 'top')}>{inner}{links(3) if rng.random() < 0.5 else ''}</header>"
             return f"<div{attrs('header', 'site-header', 'masthead', 'top-bar')}>{inner}</div>"
         if kind == "ad":
-            return f"<{tag}{attrs('ad', 'ads', 'advert', 'advertisement', 'sponsored', 'promo', 'banner', 'ad-slot', 'sponsor')}>{rng.choice((prose(1, 2), sentence(), links(1, ''), f'<p>{prose(1, 3)}</p>'))}</{tag}>"
+            return f"<{tag}{attrs('ad', 'ads', 'advert', 'advertisement', 'sponsored', 'promo', 'banner', 'ad-slot', 'sponsor', 'partner', 'promotion')}>{rng.choice((prose(1, 2), sentence(), links(1, ''), f'<p>{prose(1, 3)}</p>'))}</{tag}>"
         if kind == "notice":
             return f"<{tag}{attrs('cookie', 'cookie-notice', 'consent', 'notice', 'alert', 'gdpr-banner', 'newsletter', 'subscribe', 'popup', 'modal')}><p>{prose(1, 2)}</p>{rng.choice(('', '<button>ok</button>', links(1, '')))}</{tag}>"
         if kind == "sidebar":
@@ -396,7 +417,7 @@ def compose(rng: random.Random) -> tuple[str, list[str]]:
                 ))
                 for _ in range(rng.randint(1, 6))
             )
-            return f"<{tag}{attrs('comments', 'comment-list', 'discussion', 'comments-area', 'respond', 'disqus')}><h3>{sentence(1, 3)}</h3>{body}</{tag}>"
+            return f"<{tag}{attrs('comments', 'comment-list', 'discussion', 'comments-area', 'respond', 'disqus', 'reviews', 'feedback')}><h3>{sentence(1, 3)}</h3>{body}</{tag}>"
         if kind == "share":
             return f"<{tag}{attrs('share', 'social', 'tags', 'post-meta', 'share-buttons')}>{links(rng.randint(2, 5), ' ')}</{tag}>"
         inner = rng.choice((f"&copy; {word()} &middot; {prose(1, 2)}", f"<p>&copy; 2020 {prose(1, 2)}</p>{links(4)}", prose(1, 3), f"{links(5, ' | ')}"))
@@ -466,10 +487,12 @@ def compose(rng: random.Random) -> tuple[str, list[str]]:
                 parts.append(f"<p><b>{t}<br>")
         for _ in range(rng.choice((1, 2, 4, 8, 20))):
             parts.append(content())
-            if rng.random() < 0.08:
+            if rng.random() < 0.12:
                 parts.append(boiler(rng.choice(("ad", "ad", "notice", "share", "form", "sidebar"))))
         body = "".join(parts)
         wrap = rng.random()
+        if wrap < 0.06:
+            return body
         if wrap < 0.45:
             return f"<article{attrs('post', 'entry', 'article', 'story', 'hentry') if rng.random() < 0.5 else ''}>{body}</article>"
         if wrap < 0.60:
@@ -480,10 +503,15 @@ def compose(rng: random.Random) -> tuple[str, list[str]]:
             return f"<section{attrs('content', 'post', 'article')}>{body}</section>"
         return f"<table><tr><td>{body}</td></tr></table>"
 
-    if rng.random() < 0.03:
+    kind = rng.random()
+    if kind < 0.03:
         t = prose(1, 6)
         keep(t)
         return t, blocks
+    if kind < 0.08:  # a fragment: content alone
+        return "".join(content() for _ in range(rng.randint(1, 6))), blocks
+    if kind < 0.11:  # a page without main text
+        return "".join(boiler(rng.choice(("menu", "header", "ad", "footer", "form", "notice"))) for _ in range(rng.randint(1, 4))), blocks
     before = [boiler(k) for k in ("header", "menu", "notice", "ad", "form", "menu") if rng.random() < 0.45]
     main = article()
     after = [boiler(k) for k in ("share", "comments", "sidebar", "ad", "form", "menu", "footer", "footer") if rng.random() < 0.45]
@@ -516,7 +544,7 @@ def _targets(page: Page, blocks: list[str]) -> np.ndarray:
 
 
 @lru_cache(maxsize=2)
-def trained(pages: int = 700, seed: int = 11) -> BoostedTrees:
+def trained(pages: int = 1400, seed: int = 11) -> BoostedTrees:
     rng = random.Random(seed)
     rows, truth, weight = [], [], []
     for _ in range(pages):
