@@ -9,8 +9,13 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 
-def hampel(df: DataFrame, col: str, half_window: int, by, order, n_sigma: float = 3.0, mad_floor: float = 0.0) -> DataFrame:
-    """+ {col}_h: the window's median where a value is further from it than n_sigma scaled absolute deviations."""
+def hampel(df: DataFrame, col: str, half_window: int, by, order, n_sigma: float = 3.0, mad_floor: float = 0.0, impl: str = "native") -> DataFrame:
+    """+ {col}_h: the window's median where a value is further from it than n_sigma scaled absolute deviations.
+
+    ``impl="arrow"`` does the same in numpy per group, which is quicker for wide windows.
+    """
+    if impl == "arrow":
+        return _hampel_arrow(df, col, half_window, by, order, n_sigma, mad_floor)
     w = Window.partitionBy(*by).orderBy(*order).rowsBetween(-half_window, half_window)
     out = df.withColumn("_win", F.array_sort(F.collect_list(col).over(w)))
 
@@ -24,6 +29,28 @@ def hampel(df: DataFrame, col: str, half_window: int, by, order, n_sigma: float
     return out.withColumn(f"{col}_h", F.when(F.abs(F.col(col) - F.col("_med")) > limit, F.col("_med")).otherwise(F.col(col))).drop("_win", "_med", "_mad")
 
 
+def _hampel_arrow(df, col, half_window, by, order, n_sigma, mad_floor):
+    schema = df.drop(f"{col}_h").schema.add(f"{col}_h", T.DoubleType())
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(list(order), kind="stable").reset_index(drop=True)
+        v = pdf[col].to_numpy(dtype=float)
+        padded = np.concatenate([np.full(half_window, np.nan), v, np.full(half_window, np.nan)])
+        win = np.lib.stride_tricks.sliding_window_view(padded, 2 * half_window + 1)
+        med = np.nanmedian(win, axis=1)
+        mad = np.nanmedian(np.abs(win - med[:, None]), axis=1)
+        pdf[f"{col}_h"] = np.where(np.abs(v - med) > np.maximum(mad_floor, n_sigma * 1.4826 * mad), med, v)
+        return pdf[schema.names]
+
+    return df.drop(f"{col}_h").groupBy(*by).applyInPandas(run, schema)
+
+
+def dominant_sign(df: DataFrame, by, order, y: str = "y") -> DataFrame:
+    """Per group: the sign in which more distance was travelled (+1 on ties)."""
+    step = F.col(y) - F.lag(y).over(Window.partitionBy(*by).orderBy(*order))
+    return df.withColumn("_step", step).groupBy(*by).agg(F.when(F.coalesce(F.sum("_step"), F.lit(0.0)) >= 0, 1).otherwise(-1).alias("direction"))
+
+
 def turning_points(y: np.ndarray, prominence: float = 0.0, distance: int = 1) -> np.ndarray:
     """Indices of alternating peaks and valleys: a turn counts once y has come back by ``prominence``.
 

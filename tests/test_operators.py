@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from harvestgrid.operators import calibrate, cluster, completion, direction, geometry, gridmap, interpolate, invariants, mass, metrics, network, occupancy, season
+from harvestgrid.operators import calibrate, cluster, completion, direction, geometry, gridmap, interpolate, invariants, mass, metrics, network, occupancy, rows, season
 from harvestgrid.plans import inspect
 
 
@@ -33,6 +33,30 @@ def test_hampel(spark):
     assert [r.y_h for r in out.orderBy("i").collect()] == [1.0] * 7
 
 
+def test_hampel_forms_agree(spark, sf):
+    from harvestgrid.sources import adapters
+
+    t = adapters.trace_from_events(spark, sf).where("cart_id < 20").select("cart_id", "t_us", "src_id", "y")
+    a, b = (direction.hampel(t, "y", 3, ["cart_id"], ["t_us", "src_id"], 1.0, impl=i).select("src_id", "y_h") for i in ("native", "arrow"))
+    assert a.exceptAll(b).count() == 0 and a.count() == b.count() > 0
+    d = spark.createDataFrame([(0, 0, 0.0), (0, 1, 5.0), (0, 2, 3.0), (1, 0, 4.0), (1, 1, 1.0)], "g int, i int, y double")
+    assert {r.g: r.direction for r in direction.dominant_sign(d, ["g"], ["i"]).collect()} == {0: 1, 1: -1}
+
+
+def test_row_assignment(spark):
+    pts = [(0, 1, 0, x, 1.0) for x in (2.9, 3.1, 9.0)] + [(0, 1, 1, 0.4, 50.0), (0, 1, -1, 7.0, 0.0)]
+    c = spark.createDataFrame(pts, "field_id int, cart_id long, cluster_id long, x double, y double").withColumn("src_id", F.monotonically_increasing_id())
+    row_map = spark.createDataFrame([(0, r, 1.5 * r, 0.0, 40.0 if r else 5.0) for r in range(4)], "field_id int, row_idx int, row_x double, y_lo double, y_hi double")
+    got = {r.cluster_id: r.row_idx for r in rows.assign_rows(c, row_map).collect()}
+    assert got == {0: 2, 1: 0, -1: None}
+    near = {r.cluster_id: r.row_idx for r in rows.assign_rows(c, row_map, metric="euclid", noise="drop").collect()}
+    assert near == {0: 2, 1: 1}
+    even = {r.cluster_id: r.row_idx for r in rows.assign_rows(c.withColumn("spacing", F.lit(1.5)), max_dist=0.3, noise="drop").collect()}
+    assert even == {0: 2, 1: None}
+    back = rows.write_back(c, rows.assign_rows(c, row_map), ("field_id", "cart_id"))
+    assert sorted((r.cluster_id, r.row_idx) for r in back.collect() if r.row_idx is not None) == [(0, 2), (0, 2), (0, 2), (1, 0)]
+
+
 def test_polynomials(spark):
     rng = np.random.default_rng(2)
     rows, want = [], {}
