@@ -261,4 +261,7 @@ ORACLE = {
     "benchmark_in_documents": "SELECT count(*) AS shared FROM (SELECT trim(text) FROM benchmark INTERSECT SELECT trim(text) FROM documents)",
     "stream_window_mass": "SELECT strftime(ts, '%Y-%m-%d') AS day, (user_id % 2)::INTEGER AS field_id, round(sum(0.05::DOUBLE * value), 4) AS mass, count(*) AS n FROM events GROUP BY ALL",
     "stream_session_trays": "WITH g AS (SELECT *, epoch_us(ts) AS t, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < 43200000000 THEN 0 ELSE 1 END AS c FROM events), h AS (SELECT *, sum(c) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS no FROM g) SELECT user_id AS cart_id, min(t) AS t_start, round(sum(0.05::DOUBLE * value), 4) AS mass, count(*) AS n FROM h GROUP BY user_id, no",
+    "low_yield_zones": f"WITH RECURSIVE {SEASON}, st AS (SELECT field_id, avg(mass) AS mu, coalesce(stddev_samp(mass), 0) AS sd FROM smap GROUP BY ALL), low AS (SELECT field_id, j, k, mass FROM smap JOIN st USING (field_id) WHERE mass <= mu - sd), "
+    "re AS (SELECT field_id, j, k, j * 1000 + k AS z FROM low UNION SELECT re.field_id, low.j, low.k, re.z FROM re JOIN low ON re.field_id = low.field_id AND abs(low.j - re.j) + abs(low.k - re.k) = 1), "
+    "zo AS (SELECT field_id, j, k, min(z) AS z FROM re GROUP BY ALL) SELECT field_id, (z // 1000) || '_' || (z % 1000) AS zone, count(*) AS cells, round(sum(mass), 4) AS mass FROM zo JOIN low USING (field_id, j, k) GROUP BY field_id, z",
 }
