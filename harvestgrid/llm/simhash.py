@@ -274,11 +274,16 @@ def keep_first(docs: DataFrame, **options) -> DataFrame:
     them stays. Of repeated rows with the kept id, one stays.
     """
     prints, ids = _groups(docs, **options)
+    return kept_of(docs, prints, ids, _text_prints(options.get("width", 3)))
+
+
+def kept_of(docs: DataFrame, prints: DataFrame, ids: DataFrame, text_prints) -> DataFrame:
+    """The kept rows by (doc_id, fp) of every row and (fp, root, component_id); ``text_prints`` gives (of_text, fp) of texts."""
     keep = prints.where("doc_id is not null").join(ids, "fp").where("doc_id = component_id").select("doc_id").distinct()
     kept = docs.join(spool(keep, "keep"), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
     # Rows without id: one for each component in which no row has one.
     nameless = docs.where("doc_id is null")
-    texts = nameless.select(F.col("text").cast("string").alias("text")).distinct().mapInArrow(_text_prints(options.get("width", 3)), "of_text string, fp long")
+    texts = nameless.select(F.col("text").cast("string").alias("text")).distinct().mapInArrow(text_prints, "of_text string, fp long")
     alone = spool(texts.join(ids.where("component_id is null"), "fp").select(F.col("of_text").alias("dup_text"), F.col("root").alias("dup_root")), "alone")
     lone = nameless.join(alone, F.col("text").eqNullSafe(F.col("dup_text"))).dropDuplicates(["dup_root"]).select(*docs.columns)
     return kept.unionByName(lone)
