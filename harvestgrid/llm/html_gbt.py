@@ -32,9 +32,10 @@ from pyspark.sql import functions as F
 
 from .common import slices
 
-_MARK = re.compile(
-    r"<!--(?:.*?-->|>)|<[!?][^>]*+>|<(/?)([a-zA-Z][^\s/>]*+)((?:[^>\"']++|\"[^\"]{0,4000}+\"|'[^']{0,4000}+'|[\"'])*+)>", re.DOTALL
-)
+#: What follows a tag's name. A quote opens a value only right after the equals sign, and a value in quotes has any length; a
+#: quote that is never closed has no other of its kind behind it, so it costs one scan to the end and then counts as a plain sign.
+_INSIDE = r"(?:[^>=]++|=\s*+(?:\"[^\"]*+\"|'[^']*+'|[^\s>]*+))*+"
+_MARK = re.compile(rf"<!--(?:.*?-->|>)|<[!?][^>]*+>|<(/?)([a-zA-Z][^\s/>]*+)({_INSIDE})>", re.DOTALL)
 _ATTR = re.compile(r"(class|id|role|itemprop|aria-label)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))", re.IGNORECASE)
 _TOKEN = re.compile(r"[a-z]+")
 #: Element sets of the HTML standard.
@@ -77,8 +78,9 @@ class Page:
                     runs.append([stack[-1][1], text, min(linked, len(text))])
             linked = 0
 
+        last = source.rfind(">")
         while True:
-            m = _MARK.search(source, at)
+            m = _MARK.search(source, at) if at <= last else None
             text = source[at : m.start()] if m else source[at:]
             if not m:  # what a cut-off page leaves of a tag is no text
                 cut = re.search(r"<(?:/?[a-zA-Z]|!)[^<]*$", text)
