@@ -7,10 +7,10 @@ information reaches a share of what there is to learn about e,
 
     PMI(t; e) = ln( p(t, e) / (p(t) p(e)) ) >= disclosure * IC(e),   IC(e) = -ln p(e),
 
-with probabilities counted over the rows of the whole corpus, and only
-if at least ``support`` distinct texts have t near e, so that a chance meeting of rare
-words in one text, however often copied, tells nothing. Such terms become spans too; ``sanitise``
-replaces spans by the name of their kind.
+with probabilities counted over the rows of the whole corpus (p(t, e): rows with both anywhere
+in the text), and only if at least ``support`` distinct texts have t near e, so that a chance meeting of rare
+words in one text, however often copied, tells nothing. Such terms become spans wherever they
+stand, in every text, whether it has other spans or not; ``sanitise`` replaces spans by the name of their kind.
 
 Everything is DataFrame expressions. Patterns are written so that the matcher
 never rescans a run of characters (possessive repeats, a start only at the
@@ -82,6 +82,11 @@ def _valid(kind: str, value: Column) -> Column:
     return F.lit(True)
 
 
+def _words(text: Column) -> Column:
+    """Distinct words of the whole text, in lower case."""
+    return F.array_distinct(F.transform(F.regexp_extract_all(text, F.lit(_TERM), F.lit(0)), F.lower))
+
+
 _SPAN = "array<struct<start:int,rank:int,end:int,kind:string,value:string>>"
 
 
@@ -132,39 +137,75 @@ def _contexts(text: Column, spans: Column, width: int) -> Column:
 
 
 def scanned(docs: DataFrame, context: int = CONTEXT) -> DataFrame:
-    """doc_id, text_key, spans, contexts of every row, written once."""
+    """doc_id, text_key, spans, contexts and words (of rows with spans) of every row, written once."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text.alias("text"))
     both = F.transform(
         F.array(base_spans(F.col("text"))),
-        lambda spans: F.struct(spans.alias("spans"), F.when(F.size(spans) > 0, _contexts(F.col("text"), spans, context)).alias("contexts")),
+        lambda spans: F.struct(spans.alias("spans"), F.when(F.size(spans) > 0, _contexts(F.col("text"), spans, context)).alias("contexts"), F.when(F.size(spans) > 0, _words(F.col("text"))).alias("words")),
     )[0]
-    return spool(rows.select("doc_id", F.md5(F.col("text").cast("binary")).alias("text_key"), both.alias("b")).select("doc_id", "text_key", "b.spans", "b.contexts"), "scanned")
-
-
-def disclosing_terms(docs: DataFrame, found: DataFrame, support: int = SUPPORT, disclosure: float = DISCLOSURE) -> DataFrame:
-    """text_key and its term spans (array<struct<start, end>>), for texts that have any."""
-    mentions = found.where("size(spans) > 0").select("text_key", F.explode("contexts").alias("c"))
-    mentions = mentions.select("text_key", F.col("c.entity").alias("entity"), F.explode("c.terms").alias("t"))
-    mentions = spool(mentions.select("text_key", "entity", "t.term", "t.start", "t.end").distinct(), "mentions")
-    # Probabilities count rows; the support counts distinct texts, so that copies are no evidence of their own.
-    copies = found.where("size(spans) > 0").groupBy(F.col("text_key").alias("of")).agg(F.count(F.lit(1)).alias("copies"))
-    met = mentions.select("text_key", "entity", "term").distinct().join(spool(copies, "copies"), F.col("text_key") == F.col("of"))
-    joint = met.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_texts"), F.sum("copies").alias("n_both"))
-    joint = spool(joint.where(F.col("n_texts") >= support), "joint")
-    entity = found.where("size(spans) > 0").select(F.explode(F.array_distinct(F.transform("contexts", lambda c: c["entity"]))).alias("entity"))
-    entity = entity.groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
-    # Rows that hold a candidate term, over the whole corpus; summed in each task before the shuffle.
-    wanted = spool(joint.select("term").distinct(), "wanted")
-    words = docs.where(F.col("text").isNotNull()).select(F.explode(F.array_distinct(F.split(F.lower("text"), r"\P{L}++"))).alias("term"))
+    return spool(rows.select("doc_id", F.md5(F.col("text").cast("binary")).alias("text_key"), both.alias("b")).select("doc_id", "text_key", "b.spans", "b.contexts", "b.words"), "scanned")
+
+
+def disclosing(docs: DataFrame, found: DataFrame, support: int = SUPPORT, disclosure: float = DISCLOSURE) -> DataFrame:
+    """The distinct terms that disclose some entity."""
+    held = found.where("size(spans) > 0")
+    mentions = held.select("text_key", F.explode("contexts").alias("c"))
+    mentions = mentions.select("text_key", F.col("c.entity").alias("entity"), F.explode("c.terms.term").alias("term")).distinct()
+    # The support counts distinct texts, so that copies are no evidence of their own.
+    near = mentions.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_texts"))
+    near = spool(near.where(F.col("n_texts") >= support).select("entity", "term"), "near")
+    # Probabilities count rows: of the entity, of both, and, over the whole corpus, of the term; each is summed in a task before the shuffle.
+    entities = F.array_distinct(F.transform("contexts", lambda c: c["entity"]))
+    entity = held.select(F.explode(entities).alias("entity")).groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
+    both = held.select(F.explode(entities).alias("entity"), "words").join(spool(near.select("entity").distinct(), "candidates"), "entity", "left_semi")
+    both = both.select("entity", F.explode("words").alias("term")).groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_both"))
+    joint = spool(both.join(near, ["entity", "term"]), "joint")
+    wanted = spool(near.select("term").distinct(), "wanted")
+    words = docs.where(F.col("text").isNotNull()).select(F.explode(_words(F.col("text").cast("string"))).alias("term"))
     seen = words.join(wanted, "term", "left_semi").groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
     scored = joint.join(seen, "term").join(entity, "entity")
     n = F.lit(float(max(1, found.count())))
     pmi = F.log(F.col("n_both") * n / (F.col("n_term") * F.col("n_entity")))
-    told = scored.where((pmi >= disclosure * F.log(n / F.col("n_entity"))) & (pmi > 0)).select("entity", "term")
-    told = spool(told, "told")
-    hits = mentions.join(told, ["entity", "term"]).groupBy("text_key").agg(F.collect_set(F.struct("start", "end")).alias("terms"))
-    return spool(hits.withColumnRenamed("text_key", "term_key"), "terms")
+    told = scored.where((pmi >= disclosure * F.log(n / F.col("n_entity"))) & (pmi > 0)).select("term").distinct()
+    return spool(told, "told")
+
+
+def told_texts(docs: DataFrame, told: DataFrame) -> DataFrame:
+    """term_key (digest of the text) and told (the disclosing words it has) of all texts of the corpus that have any."""
+    text = F.col("text").cast("string")
+    words = docs.where(F.col("text").isNotNull()).select(F.md5(text.cast("binary")).alias("term_key"), F.explode(_words(text)).alias("term"))
+    hits = words.join(told, "term", "left_semi").groupBy("term_key").agg(F.collect_set("term").alias("told"))
+    return spool(hits, "told_texts")
+
+
+def term_spans(text: Column, spans: Column, told: Column) -> Column:
+    """All places of the words ``told`` outside of spans: array<struct<start, end>>, in code points; only hits are gathered, so a text costs its length."""
+    shared = F.array(F.struct(_masked(text, spans).alias("text"), told.alias("told")))
+
+    def of_row(z):
+        gaps = F.zip_with(F.split(z["text"], _TERM, -1), F.regexp_extract_all(z["text"], F.lit(_TERM), F.lit(0)), lambda g, h: F.struct(F.char_length(g).alias("gap"), h.alias("hit")))
+        start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int>>").alias("out"))
+
+        def step(acc, x):
+            a = acc["at"] + x["gap"]
+            b = a + F.char_length(x["hit"])
+            grown = F.concat(acc["out"], F.array(F.struct(a.alias("start"), b.alias("end"))))
+            out = F.when(F.array_contains(z["told"], F.lower(x["hit"])), grown).otherwise(acc["out"])
+            return F.when(x["hit"].isNull(), acc).otherwise(F.struct(b.alias("at"), out.alias("out")))
+
+        return F.aggregate(gaps, start, step, lambda acc: acc["out"])
+
+    return F.when(told.isNotNull(), F.transform(shared, of_row)[0])
+
+
+def disclosing_terms(docs: DataFrame, found: DataFrame, **options) -> DataFrame:
+    """term_key and its term spans (array<struct<start, end>>), for texts that have any."""
+    held = told_texts(docs, disclosing(docs, found, **options))
+    rows = docs.select(F.col("text").cast("string").alias("text")).withColumn("key", F.md5(F.col("text").cast("binary")))
+    rows = rows.join(held, F.col("key") == F.col("term_key")).dropDuplicates(["term_key"])
+    spans = F.transform(F.array(base_spans(F.col("text"))), lambda s: term_spans(F.col("text"), s, F.col("told")))[0]
+    return spool(rows.select("term_key", spans.alias("terms")).where("size(terms) > 0"), "terms")
 
 
 def _line(spans: Column) -> Column:
@@ -212,14 +253,15 @@ def replaced(text: Column, spans: Column) -> Column:
 
 def sanitise(docs: DataFrame, **options) -> DataFrame:
     """``docs`` with personal data and disclosing terms replaced; n_chars, where present, follows the text."""
-    found = scanned(docs)
-    terms = disclosing_terms(docs, found, **options).select(F.col("term_key").alias("pii_term_key"), F.col("terms").alias("pii_terms"))
-    # Only rows with spans meet the table of terms; the texts of all others never move.
-    marked = docs.withColumn("pii_spans", base_spans(F.coalesce(F.col("text").cast("string"), F.lit(""))))
-    clean = marked.where(F.size("pii_spans") == 0).select(*docs.columns)
-    held = marked.where(F.size("pii_spans") > 0).withColumn("pii_key", F.md5(F.col("text").cast("binary")))
-    held = held.join(terms, F.col("pii_key") == F.col("pii_term_key"), "left").withColumn("pii_text", replaced(F.col("text"), _all_spans(F.col("pii_spans"), F.col("pii_terms"))))
+    told = told_texts(docs, disclosing(docs, scanned(docs), **options)).select(F.col("term_key").alias("pii_term_key"), F.col("told").alias("pii_told"))
+    # The texts themselves move only when the table of texts with disclosing words is too large to broadcast.
+    text = F.col("text").cast("string")
+    marked = docs.withColumn("pii_key", F.md5(text.cast("binary"))).join(told, F.col("pii_key") == F.col("pii_term_key"), "left")
+    spans = F.transform(F.array(base_spans(F.coalesce(text, F.lit("")))), lambda s: _all_spans(s, term_spans(text, s, F.col("pii_told"))))[0]
+    marked = marked.withColumn("pii_spans", spans)
+    hit = F.size("pii_spans") > 0
+    marked = marked.withColumn("pii_text", F.when(hit, replaced(text, F.col("pii_spans"))).otherwise(F.col("text")))
     new = {"text": F.col("pii_text")}
     if "n_chars" in docs.columns:
-        new["n_chars"] = F.char_length("pii_text").cast(docs.schema["n_chars"].dataType)
-    return clean.unionByName(held.select(*[new[c].alias(c) if c in new else F.col(c) for c in docs.columns]))
+        new["n_chars"] = F.when(hit, F.char_length("pii_text")).otherwise(F.col("n_chars")).cast(docs.schema["n_chars"].dataType)
+    return marked.select(*[new[c].alias(c) if c in new else F.col(c) for c in docs.columns])
