@@ -40,7 +40,11 @@ _ATTR = re.compile(r"(class|id|role|itemprop|aria-label)\s*=\s*(?:\"([^\"]*)\"|'
 _TOKEN = re.compile(r"[a-z]+")
 #: Element sets of the HTML standard.
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style textarea title noscript iframe xmp noembed noframes svg math template select button".split())
+RAW = frozenset("script style textarea title iframe xmp noembed noframes".split())
+_TO_THE_END = frozenset(("script", "style", "textarea", "title"))
+#: Ordinary nested elements whose text is not shown as text of the page.
+HIDDEN = frozenset("svg template select button noscript".split())
+_PAIRS = re.compile(rf"<(/?)(svg|template|select|button|noscript)(?=[\s/>])({_INSIDE})>", re.IGNORECASE)
 BLOCK = frozenset(
     "html body address article aside blockquote center dd details dialog div dl dt fieldset figcaption figure footer form h1 h2 h3 h4 h5 h6 "
     "header hgroup hr li main menu nav ol p pre section summary table tbody td tfoot th thead tr ul caption ins".split()
@@ -48,9 +52,27 @@ BLOCK = frozenset(
 _CLOSES_P = BLOCK - {"html", "body", "td", "th", "tr", "tbody", "thead", "tfoot", "caption", "ins"}
 _SAME = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
 _SCOPE = {"li": {"ul", "ol", "menu"}, "dt": {"dl"}, "dd": {"dl"}, "tr": {"table"}, "td": {"table", "tr"}, "th": {"table", "tr"}}
+#: Start tags that end a drawing, unless they are in one of its elements for text.
+_OUT_OF_SVG = BLOCK | frozenset("b big br code em i img font s small span strike strong sub sup tt u var".split())
+_IN_SVG = frozenset(("foreignobject", "desc", "title"))
 _HEADS = frozenset(("h1", "h2", "h3", "h4", "h5", "h6"))
 
 
+def _closed(source: str) -> set[int]:
+    """Places of the start tags of hidden elements that have an end tag of their own; only drawings and templates nest."""
+    found, open_ = set(), {name: [] for name in HIDDEN}
+    for m in _PAIRS.finditer(source):
+        name = m[2].lower()
+        if m[1]:
+            if open_[name]:
+                found.add(open_[name].pop())
+        elif not m[3].endswith("/"):
+            if name not in ("svg", "template"):
+                open_[name].clear()
+            open_[name].append(m.start())
+    return found
+
+
 class Page:
     """Block nodes of one page in order, and its text runs."""
 
@@ -64,7 +86,9 @@ class Page:
         self._parse(source or "")
 
     def _parse(self, source: str) -> None:
-        stack = [("html", 0)]  # open elements: name, nearest block node
+        stack = [("html", 0)]  # open elements: name, nearest block node; -1 for what is inside a hidden element
+        hidden: list[tuple[int, bool]] = []  # open hidden elements: place on the stack, whether an end tag follows
+        closed: set[int] | None = None
         run: list[str] = []
         linked = at = link_open = 0
         runs = self.runs
@@ -75,9 +99,18 @@ class Page:
                 text = " ".join(_html.unescape("".join(run)).split())
                 run.clear()
                 if text:
-                    runs.append([stack[-1][1], text, min(linked, len(text))])
+                    runs.append([next(n for _, n in reversed(stack) if n >= 0), text, min(linked, len(text))])
             linked = 0
 
+        def close(k):
+            nonlocal link_open
+            if any(n in BLOCK and node >= 0 for n, node in stack[k:]):
+                flush()
+            link_open -= sum(n == "a" and node >= 0 for n, node in stack[k:])
+            del stack[k:]
+            while hidden and hidden[-1][0] >= k:
+                hidden.pop()
+
         last = source.rfind(">")
         while True:
             m = _MARK.search(source, at) if at <= last else None
@@ -85,7 +118,7 @@ class Page:
             if not m:  # what a cut-off page leaves of a tag is no text
                 cut = re.search(r"<(?:/?[a-zA-Z]|!)[^<]*$", text)
                 text = text[: cut.start()] if cut else text
-            if text:
+            if text and not hidden:
                 run.append(text)
                 if link_open:
                     linked += len(text.strip())
@@ -95,35 +128,53 @@ class Page:
             if m[2] is None:
                 continue
             name = m[2].lower()
+            # Nothing inside a hidden element that has its end tag reaches what is around it.
+            wall = next((k for k, ends in reversed(hidden) if ends), 0)
             if m[1]:
-                k = next((k for k in range(len(stack) - 1, 0, -1) if stack[k][0] == name), 0)
+                k = next((k for k in range(len(stack) - 1, max(wall, 1) - 1, -1) if stack[k][0] == name), 0)
                 if k:
-                    if any(n in BLOCK for n, _ in stack[k:]):
-                        flush()
-                    link_open -= sum(n == "a" for n, _ in stack[k:])
-                    del stack[k:]
+                    close(k)
+                continue
+            if wall and stack[wall][0] == "svg" and name in _OUT_OF_SVG and not any(n in _IN_SVG for n, _ in stack[wall:]):
+                close(wall)
+                wall = next((k for k, ends in reversed(hidden) if ends), 0)
+            if hidden and not wall and (name in BLOCK or name == stack[hidden[-1][0]][0]):
+                close(hidden[0][0])  # a hidden element without end tag ends where a block begins
+            drawn = any(stack[k][0] == "svg" for k, _ in hidden)
+            if name in RAW and not (drawn and (m[3].endswith("/") or name == "title")):
+                end = re.compile(rf"</{re.escape(name)}(?=[\s/>])[^>]*>", re.IGNORECASE).search(source, at)
+                if end or name in _TO_THE_END:
+                    at = end.end() if end else len(source)
+                if not hidden:
+                    self.tags[stack[-1][1]] += 1
+                continue
+            if hidden:
+                if name not in VOID and not m[3].endswith("/"):
+                    if name in HIDDEN:
+                        hidden.append((len(stack), m.start() in closed))
+                    stack.append((name, -1))
                 continue
             if name == "br":
                 run.append(" ")
-            if name in RAW:
-                end = re.compile(rf"</{re.escape(name)}(?=[\s/>])[^>]*>", re.IGNORECASE).search(source, at)
-                at = end.end() if end else len(source)
+            if name in HIDDEN:
                 self.tags[stack[-1][1]] += 1
+                if not m[3].endswith("/"):
+                    closed = _closed(source) if closed is None else closed
+                    hidden.append((len(stack), m.start() in closed))
+                    stack.append((name, -1))
                 continue
             if name in _CLOSES_P:
                 k = next((k for k in range(len(stack) - 1, 0, -1) if stack[k][0] == "p"), 0)
                 if k:
                     flush()
-                    link_open -= sum(n == "a" for n, _ in stack[k:])
-                    del stack[k:]
+                    close(k)
             if name in _SAME:
                 for k in range(len(stack) - 1, 0, -1):
                     if stack[k][0] in _SCOPE.get(name, ()):
                         break
                     if stack[k][0] in _SAME[name]:
                         flush()
-                        link_open -= sum(n == "a" for n, _ in stack[k:])
-                        del stack[k:]
+                        close(k)
                         break
             node = stack[-1][1]
             if name in BLOCK:

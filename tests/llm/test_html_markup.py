@@ -34,3 +34,30 @@ def test_broken_markup_is_linear():
         start = time.monotonic()
         h.Page(source)
         assert time.monotonic() - start < 20
+
+
+@pytest.mark.parametrize("tag", ["<svg class=icon/>", "<svg viewBox='0 0 1 1' />", "<math/>", "<button>", "<select>", "<noscript>", "<template>", "<svg>", "<button>Menu", "<select><option>one", "<svg><path d='M0'/><text>no</text>"])
+def test_open_elements_end_where_the_text_begins(tag):
+    article = "<article><p>One.</p><p>Two.</p></article>"
+    assert runs(tag + article) == [("p", "One."), ("p", "Two.")]
+    assert runs(f"<div>{tag}</div>{article}<button>ok</button><p>Three.</p>") == [("p", "One."), ("p", "Two."), ("p", "Three.")]
+
+
+def test_hidden_elements_nest():
+    assert runs("<p>a <svg><svg><text>no</text></svg><text>nor this</text></svg>b</p>") == [("p", "a b")]
+    assert runs("<p>a <button><div>no</div></button>b <a href=x>c</a></p>") == [("p", "a b c")]
+    assert runs("<div>a <noscript></div><p>no</noscript>b</div>c") == [("div", "a b"), ("html", "c")]
+    assert runs("<p>a<svg><title>no</title><foreignObject><div>no</div></foreignObject></svg> b</p>") == [("p", "a b")]
+    assert runs("<template><template><p>no</p></template><p>no</p></template><p>a</p>") == [("p", "a")]
+    assert runs("<select><option>1<option>2</select>a<svg><title/></svg><p>b</p>") == [("html", "a"), ("p", "b")]
+    assert runs("<ul><li>a<button><ul><li>no</ul></button><li>b</ul>") == [("li", "a"), ("li", "b")]
+
+
+def test_formulas_are_text():
+    assert runs("<p>so <math><mi>x</mi><mo>=</mo><mn>1</mn></math> holds</p>") == [("p", "so x=1 holds")]
+
+
+def test_only_raw_text_runs_to_the_end():
+    for name in ("script", "style", "textarea", "title"):
+        assert runs(f"<p>a</p><{name}><p>no</p>") == [("p", "a")]
+    assert runs("<p>a</p><iframe src=x><p>b</p>") == [("p", "a"), ("p", "b")]
