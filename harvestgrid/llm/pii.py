@@ -9,8 +9,15 @@ information reaches a share of what there is to learn about e,
 
 with probabilities counted over the rows of the whole corpus (p(t, e): rows with both anywhere
 in the text), and only if at least ``support`` distinct texts have t near e, so that a chance meeting of rare
-words in one text, however often copied, tells nothing. Such terms become spans wherever they
-stand, in every text, whether it has other spans or not; ``sanitise`` replaces spans by the name of their kind.
+words in one text, however often copied, tells nothing. Entities are literal values and the classes they
+belong to: a mail domain, a network, a card issuer, a phone area, and each kind as a whole. A class is met in many
+places, so chance meetings are frequent; there p(t, e) / p(t) is replaced by its lower confidence
+limit (Wilson's, at ``z``) for as many trials as there are distinct surroundings with t near e. Near copies
+of a text share their surroundings and count once.
+
+Disclosing terms become spans wherever they stand, in every text, whether it has other spans or not. ``sanitise``
+replaces spans by the name of their kind, and a term by its nearest broader term that
+discloses nothing, where a table of broader terms has one.
 
 Everything is DataFrame expressions. Patterns are written so that the matcher
 never rescans a run of characters (possessive repeats, a start only at the
@@ -43,6 +50,10 @@ _IP = rf"^(?!\.)(?:{_BYTE})\.(?:{_BYTE})\.(?:{_BYTE})\.(?:{_BYTE})$"
 _TERM = r"\p{L}{2,}+"
 #: Code points on both sides of a span in which terms are looked for.
 CONTEXT, SUPPORT, DISCLOSURE = 48, 3, 0.9
+#: Confidence of the lower limit for classes: 1.96 is 97.5 % on one side.
+CONFIDENCE = 1.96
+#: Steps up a table of broader terms at most.
+STEPS_UP = 8
 
 
 def located(text: Column, pattern: str) -> Column:
@@ -115,7 +126,9 @@ def _masked(text: Column, spans: Column) -> Column:
 
 
 def _contexts(text: Column, spans: Column, width: int) -> Column:
-    """For each span the whole words around it: array<struct<entity, terms>>; words inside any span don't count.
+    """For each span its entities and the whole words around it: array<struct<entities, terms, around>>; words inside any span don't count.
+
+    ``entities`` are the value itself, its class and its kind; ``around`` is a digest of the set of words.
 
     The outer transform over one element binds what all spans share, so that it is computed once a row.
     """
@@ -128,14 +141,24 @@ def _contexts(text: Column, spans: Column, width: int) -> Column:
             words = located(F.substring(z["text"], low + 1, high - low), _TERM)
             moved = F.transform(words, lambda w: F.struct((w["start"] + low).alias("start"), (w["end"] + low).alias("end"), F.lower(w["value"]).alias("term")))
             whole = F.filter(moved, lambda w: ((w["start"] > low) | (low == 0)) & ((w["end"] < high) | (high == z["size"])))
-            plain = F.when(s["kind"] == "email", F.lower(s["value"])).when(s["kind"] == "ip", s["value"]).otherwise(F.regexp_replace(s["value"], "[^0-9]", ""))
-            return F.struct(F.concat(s["kind"], F.lit(":"), plain).alias("entity"), whole.alias("terms"))
+            terms = F.array_sort(F.array_distinct(F.transform(whole, lambda w: w["term"])))
+            return F.struct(_entities(s).alias("entities"), terms.alias("terms"), F.xxhash64(F.concat_ws(" ", terms)).alias("around"))
 
         return F.transform(z["spans"], around)
 
     return F.transform(shared, of_row)[0]
 
 
+def _entities(s: Column) -> Column:
+    """What a span tells: its value, the class of that value, its kind."""
+    kind, digits = s["kind"], F.regexp_replace(s["value"], "[^0-9]", "")
+    plain = F.when(kind == "email", F.lower(s["value"])).when(kind == "ip", s["value"]).otherwise(digits)
+    domain, network = F.substring_index(F.lower(s["value"]), "@", -1), F.substring_index(s["value"], ".", 3)
+    area = F.substring(digits, F.lit(1), F.char_length(digits) - 7)
+    wider = F.when(kind == "email", domain).when(kind == "ip", network).when(kind == "card", F.substring(digits, 1, 6)).otherwise(area)
+    return F.array(F.concat(kind, F.lit(":"), plain), F.concat(kind, F.lit(" of "), wider), kind)
+
+
 def scanned(docs: DataFrame, context: int = CONTEXT) -> DataFrame:
     """doc_id, text_key, spans, contexts and words (of rows with spans) of every row, written once."""
     text = F.coalesce(F.col("text").cast("string"), F.lit(""))
@@ -147,51 +170,79 @@ def scanned(docs: DataFrame, context: int = CONTEXT) -> DataFrame:
     return spool(rows.select("doc_id", F.md5(F.col("text").cast("binary")).alias("text_key"), both.alias("b")).select("doc_id", "text_key", "b.spans", "b.contexts", "b.words"), "scanned")
 
 
-def disclosing(docs: DataFrame, found: DataFrame, support: int = SUPPORT, disclosure: float = DISCLOSURE) -> DataFrame:
+def disclosing(docs: DataFrame, found: DataFrame, support: int = SUPPORT, disclosure: float = DISCLOSURE, z: float = CONFIDENCE) -> DataFrame:
     """The distinct terms that disclose some entity."""
     held = found.where("size(spans) > 0")
-    mentions = held.select("text_key", F.explode("contexts").alias("c"))
-    mentions = mentions.select("text_key", F.col("c.entity").alias("entity"), F.explode("c.terms.term").alias("term")).distinct()
-    # The support counts distinct texts, so that copies are no evidence of their own.
-    near = mentions.groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_texts"))
-    near = spool(near.where(F.col("n_texts") >= support).select("entity", "term"), "near")
+    n = F.lit(float(max(1, found.count())))
     # Probabilities count rows: of the entity, of both, and, over the whole corpus, of the term; each is summed in a task before the shuffle.
-    entities = F.array_distinct(F.transform("contexts", lambda c: c["entity"]))
-    entity = held.select(F.explode(entities).alias("entity")).groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity"))
+    entities = F.array_distinct(F.flatten(F.transform("contexts", lambda c: c["entities"])))
+    entity = spool(held.select(F.explode(entities).alias("entity")).groupBy("entity").agg(F.count(F.lit(1)).alias("n_entity")), "entities")
+    # The evidence for a value is distinct texts, that for a class distinct surroundings, so that copies are no evidence of their own.
+    each = held.select("text_key", F.explode("contexts").alias("c"))
+    each = each.select("text_key", "c.around", "c.terms", F.posexplode("c.entities").alias("level", "entity"))
+    seen_in = F.when(F.col("level") > 0, F.col("around").cast("string")).otherwise(F.col("text_key"))
+    mentions = each.select("entity", (F.col("level") > 0).alias("wide"), seen_in.alias("seen_in"), F.explode("terms").alias("term")).distinct()
+    near = mentions.groupBy("entity", "wide", "term").agg(F.count(F.lit(1)).alias("n_seen")).where(F.col("n_seen") >= support).join(entity, "entity")
+    # A term that is met in classes only so often can't reach the threshold, even if it never stands elsewhere.
+    need = F.pow(F.col("n_entity") / n, F.lit(1 - disclosure))
+    near = spool(near.where(~F.col("wide") | (F.col("n_seen") / (F.col("n_seen") + z * z) >= need)), "near")
     both = held.select(F.explode(entities).alias("entity"), "words").join(spool(near.select("entity").distinct(), "candidates"), "entity", "left_semi")
     both = both.select("entity", F.explode("words").alias("term")).groupBy("entity", "term").agg(F.count(F.lit(1)).alias("n_both"))
     joint = spool(both.join(near, ["entity", "term"]), "joint")
     wanted = spool(near.select("term").distinct(), "wanted")
     words = docs.where(F.col("text").isNotNull()).select(F.explode(_words(F.col("text").cast("string"))).alias("term"))
-    seen = words.join(wanted, "term", "left_semi").groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
-    scored = joint.join(seen, "term").join(entity, "entity")
-    n = F.lit(float(max(1, found.count())))
-    pmi = F.log(F.col("n_both") * n / (F.col("n_term") * F.col("n_entity")))
-    told = scored.where((pmi >= disclosure * F.log(n / F.col("n_entity"))) & (pmi > 0)).select("term").distinct()
+    counts = words.join(wanted, "term", "left_semi").groupBy("term").agg(F.count(F.lit(1)).alias("n_term"))
+    given = F.when(F.col("wide"), _lower_limit(F.col("n_both") / F.col("n_term"), F.col("n_seen"), z)).otherwise(F.col("n_both") / F.col("n_term"))
+    pmi = F.log(given * n / F.col("n_entity"))
+    told = joint.join(counts, "term").where((pmi >= disclosure * F.log(n / F.col("n_entity"))) & (pmi > 0)).select("term").distinct()
     return spool(told, "told")
 
 
+def _lower_limit(share: Column, trials: Column, z: float) -> Column:
+    """Wilson's lower confidence limit of a share."""
+    square = z * z / trials
+    return (share + square / 2 - F.sqrt(square * (share * (1 - share) + square / 4))) / (1 + square)
+
+
+def generalised(told: DataFrame, broader: DataFrame | None = None, steps: int = STEPS_UP) -> DataFrame:
+    """term, general: the nearest term above it that discloses nothing, by a table (term, broader); empty where there is none.
+
+    A term with several broader terms goes to the first in order of code points; terms above that disclose are climbed past.
+    """
+    if broader is None:
+        return told.select("term", F.lit("").alias("general"))
+    up = broader.groupBy(F.lower("term").alias("below")).agg(F.min("broader").alias("above"))
+    bad = told.select(F.col("term").alias("bad"))
+    at = told.select("term", F.col("term").alias("now"))
+    for _ in range(steps):
+        climbed = at.join(bad, F.lower("now") == F.col("bad"), "left").join(up, F.lower("now") == F.col("below"), "left")
+        at = spool(climbed.select("term", F.when(F.col("bad").isNull(), F.col("now")).otherwise(F.coalesce("above", F.lit(""))).alias("now")), "climbed")
+    last = at.join(bad, F.lower("now") == F.col("bad"), "left")
+    return last.select("term", F.when(F.col("bad").isNull(), F.col("now")).otherwise("").alias("general"))
+
+
 def told_texts(docs: DataFrame, told: DataFrame) -> DataFrame:
-    """term_key (digest of the text) and told (the disclosing words it has) of all texts of the corpus that have any."""
+    """term_key (digest of the text) and told (the disclosing words it has, each with its general term) of all texts of the corpus that have any."""
     text = F.col("text").cast("string")
     words = docs.where(F.col("text").isNotNull()).select(F.md5(text.cast("binary")).alias("term_key"), F.explode(_words(text)).alias("term"))
-    hits = words.join(told, "term", "left_semi").groupBy("term_key").agg(F.collect_set("term").alias("told"))
+    hits = words.join(told, "term").groupBy("term_key").agg(F.map_from_entries(F.collect_set(F.struct("term", "general"))).alias("told"))
     return spool(hits, "told_texts")
 
 
 def term_spans(text: Column, spans: Column, told: Column) -> Column:
-    """All places of the words ``told`` outside of spans: array<struct<start, end>>, in code points; only hits are gathered, so a text costs its length."""
+    """All places of the words ``told`` outside of spans: array<struct<start, end, general>>, in code points; only hits are gathered, so a text costs its length."""
     shared = F.array(F.struct(_masked(text, spans).alias("text"), told.alias("told")))
 
     def of_row(z):
         gaps = F.zip_with(F.split(z["text"], _TERM, -1), F.regexp_extract_all(z["text"], F.lit(_TERM), F.lit(0)), lambda g, h: F.struct(F.char_length(g).alias("gap"), h.alias("hit")))
-        start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int>>").alias("out"))
+        start = F.struct(F.lit(0).alias("at"), F.array().cast("array<struct<start:int,end:int,general:string>>").alias("out"))
 
         def step(acc, x):
             a = acc["at"] + x["gap"]
             b = a + F.char_length(x["hit"])
-            grown = F.concat(acc["out"], F.array(F.struct(a.alias("start"), b.alias("end"))))
-            out = F.when(F.array_contains(z["told"], F.lower(x["hit"])), grown).otherwise(acc["out"])
+            general = z["told"][F.lower(x["hit"])]
+            grown = F.concat(acc["out"], F.array(F.struct(a.alias("start"), b.alias("end"), general.alias("general"))))
+            out = F.when(general.isNotNull(), grown).otherwise(acc["out"])
             return F.when(x["hit"].isNull(), acc).otherwise(F.struct(b.alias("at"), out.alias("out")))
 
         return F.aggregate(gaps, start, step, lambda acc: acc["out"])
@@ -200,8 +251,8 @@ def term_spans(text: Column, spans: Column, told: Column) -> Column:
 
 
 def disclosing_terms(docs: DataFrame, found: DataFrame, **options) -> DataFrame:
-    """term_key and its term spans (array<struct<start, end>>), for texts that have any."""
-    held = told_texts(docs, disclosing(docs, found, **options))
+    """term_key and its term spans (array<struct<start, end, general>>), for texts that have any."""
+    held = told_texts(docs, generalised(disclosing(docs, found, **options)))
     rows = docs.select(F.col("text").cast("string").alias("text")).withColumn("key", F.md5(F.col("text").cast("binary")))
     rows = rows.join(held, F.col("key") == F.col("term_key")).dropDuplicates(["term_key"])
     spans = F.transform(F.array(base_spans(F.col("text"))), lambda s: term_spans(F.col("text"), s, F.col("told")))[0]
@@ -213,7 +264,7 @@ def _line(spans: Column) -> Column:
 
 
 def _all_spans(spans: Column, terms: Column) -> Column:
-    extra = F.transform(terms, lambda t: F.struct(t["start"].alias("start"), F.lit(len(KINDS)).alias("rank"), t["end"].alias("end"), F.lit("term").alias("kind"), F.lit("").alias("value")))
+    extra = F.transform(terms, lambda t: F.struct(t["start"].alias("start"), F.lit(len(KINDS)).alias("rank"), t["end"].alias("end"), F.lit("term").alias("kind"), t["general"].alias("value")))
     return F.array_sort(F.concat(spans, F.coalesce(extra.cast(_SPAN), F.array().cast(_SPAN))))
 
 
@@ -238,22 +289,27 @@ def _size(name: str) -> Column:
 
 
 def replaced(text: Column, spans: Column) -> Column:
-    """The text with the union of its spans replaced by the kinds' names."""
+    """The text with the union of its spans replaced by the kinds' names, terms by their general terms."""
     start = F.struct(F.lit(0).alias("at"), F.lit("").alias("out"))
 
     def step(acc, s):
         fresh = s["start"] >= acc["at"]
         before = F.substring(text, acc["at"] + 1, s["start"] - acc["at"])
-        out = F.when(fresh, F.concat(acc["out"], before, F.lit("["), F.upper(s["kind"]), F.lit("]"))).otherwise(acc["out"])
+        name = F.concat(F.lit("["), F.upper(s["kind"]), F.lit("]"))
+        put = F.when((s["kind"] == "term") & (s["value"] != ""), s["value"]).otherwise(name)
+        out = F.when(fresh, F.concat(acc["out"], before, put)).otherwise(acc["out"])
         return F.struct(F.greatest(acc["at"], s["end"]).alias("at"), out.alias("out"))
 
     end = F.char_length(text)
     return F.aggregate(spans, start, step, lambda acc: F.concat(acc["out"], F.substring(text, acc["at"] + 1, end - acc["at"])))
 
 
-def sanitise(docs: DataFrame, **options) -> DataFrame:
-    """``docs`` with personal data and disclosing terms replaced; n_chars, where present, follows the text."""
-    told = told_texts(docs, disclosing(docs, scanned(docs), **options)).select(F.col("term_key").alias("pii_term_key"), F.col("told").alias("pii_told"))
+def sanitise(docs: DataFrame, broader: DataFrame | None = None, **options) -> DataFrame:
+    """``docs`` with personal data and disclosing terms replaced; n_chars, where present, follows the text.
+
+    ``broader`` (term, broader) generalises disclosing terms; those without a harmless broader term become [TERM].
+    """
+    told = told_texts(docs, generalised(disclosing(docs, scanned(docs), **options), broader)).select(F.col("term_key").alias("pii_term_key"), F.col("told").alias("pii_told"))
     # The texts themselves move only when the table of texts with disclosing words is too large to broadcast.
     text = F.col("text").cast("string")
     marked = docs.withColumn("pii_key", F.md5(text.cast("binary"))).join(told, F.col("pii_key") == F.col("pii_term_key"), "left")
