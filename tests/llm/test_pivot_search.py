@@ -38,3 +38,17 @@ def test_few_and_none(spark):
     assert sorted(map(tuple, got.collect())) == [(0, 1, 1, 384 * 128), (0, 2, 2, 0)] or got.count() == 2
     assert top_k(df.limit(0), df.limit(0)).count() == 0
     assert top_k(df, df.where(F.lit(False))).count() == 0
+
+
+def test_every_length_is_searched(spark):
+    """Vectors meet those of their own length only; no length is left out, whatever is most common."""
+    rng = np.random.default_rng(2)
+    rows = [(i, [float(np.float32(x)) for x in rng.normal(size=3)]) for i in range(60)]
+    rows += [(i, [float(np.float32(x)) for x in rng.normal(size=2)]) for i in (100, 150, 151)]
+    rows += [(200, [1.0]), (250, []), (300, [0.5] * 5), (301, [0.25] * 5), (350, [0.5] * 5)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<float>").repartition(3)
+    want = []
+    for n in (1, 2, 3, 5):
+        want += brute([r for r in rows if len(r[1]) == n], lambda i: i % 50 == 0, 5)
+    got = top_k(df, df.where("vec_id % 50 = 0"), block_rows=16, group_rows=2)
+    assert sorted(map(tuple, got.collect())) == sorted(want)
