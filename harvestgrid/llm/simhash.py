@@ -31,7 +31,7 @@ from itertools import combinations
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import record_batch, slices, spool
@@ -64,15 +64,20 @@ def _fingerprint_batches(width: int, seed: int):
         for batch in slices(batches, 2048):
             values = [fingerprint(t.as_py(), width, seed) for t in batch.column(1)]
             signed = np.array(values, dtype=np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(signed)], names=["doc_id", "fp"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(signed), batch.column(2)], names=["doc_id", "fp", "digest"])
 
     return run
 
 
+def text_digest() -> Column:
+    """A digest of the text that tells null from empty texts."""
+    return F.coalesce(F.md5(F.col("text").cast("binary")), F.lit("-"))
+
+
 def fingerprints(docs: DataFrame, width: int = 3, seed: int = 42) -> DataFrame:
-    """(doc_id, fp) of every row; fp is the fingerprint as a signed long."""
-    picked = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"))
-    return picked.mapInArrow(_fingerprint_batches(width, seed), "doc_id long, fp long")
+    """(doc_id, fp, digest) of every row; fp is the fingerprint as a signed long, digest that of the text."""
+    picked = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"), text_digest().alias("digest"))
+    return picked.mapInArrow(_fingerprint_batches(width, seed), "doc_id long, fp long, digest string")
 
 
 def _roots(n: int, i: np.ndarray, j: np.ndarray) -> np.ndarray:
@@ -240,7 +245,7 @@ def components(edges: DataFrame, max_rounds: int = 40) -> DataFrame:
 
 
 def _groups(docs: DataFrame, width: int = 3, radius: int = 3, blocks: int = 5, tile_rows: int = 2048) -> tuple[DataFrame, DataFrame]:
-    """(doc_id, fp) of every row, and fp, root (smallest fingerprint reachable), component_id of every fingerprint."""
+    """(doc_id, fp, digest) of every row, and fp, root (smallest fingerprint reachable), component_id of every fingerprint."""
     prints = spool(fingerprints(docs, width), "prints")
     firsts = spool(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "firsts")
     node = spool(components(links(firsts, radius, blocks, tile_rows)), "nodes")
@@ -257,33 +262,22 @@ def near_duplicates(docs: DataFrame, **options) -> DataFrame:
     return prints.join(ids, "fp").select("doc_id", "fp", "component_id")
 
 
-def _text_prints(width: int):
-    def run(batches):
-        for batch in slices(batches, 2048):
-            values = [fingerprint(None if t is None else t.encode(), width) for t in batch.column(0).to_pylist()]
-            signed = np.array(values, dtype=np.uint64).view(np.int64)
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(signed)], names=["of_text", "fp"])
-
-    return run
-
-
 def keep_first(docs: DataFrame, **options) -> DataFrame:
-    """The rows whose id is their component's smallest, one row per component, with the columns of ``docs``.
+    """One row per component, with the columns of ``docs``: that of the smallest id.
 
-    Rows without id are dropped when their component has an id, else one of
-    them stays. Of repeated rows with the kept id, one stays.
+    Rows without id come after all ids; of rows with the same id the one whose text has the
+    smallest digest stays, of rows with the same id and text any one.
     """
     prints, ids = _groups(docs, **options)
-    return kept_of(docs, prints, ids, _text_prints(options.get("width", 3)))
-
-
-def kept_of(docs: DataFrame, prints: DataFrame, ids: DataFrame, text_prints) -> DataFrame:
-    """The kept rows by (doc_id, fp) of every row and (fp, root, component_id); ``text_prints`` gives (of_text, fp) of texts."""
-    keep = prints.where("doc_id is not null").join(ids, "fp").where("doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(spool(keep, "keep"), "doc_id", "left_semi").dropDuplicates(["doc_id"]).select(*docs.columns)
-    # Rows without id: one for each component in which no row has one.
-    nameless = docs.where("doc_id is null")
-    texts = nameless.select(F.col("text").cast("string").alias("text")).distinct().mapInArrow(text_prints, "of_text string, fp long")
-    alone = spool(texts.join(ids.where("component_id is null"), "fp").select(F.col("of_text").alias("dup_text"), F.col("root").alias("dup_root")), "alone")
-    lone = nameless.join(alone, F.col("text").eqNullSafe(F.col("dup_text"))).dropDuplicates(["dup_root"]).select(*docs.columns)
-    return kept.unionByName(lone)
+    return kept_of(docs, prints, ids)
+
+
+def kept_of(docs: DataFrame, prints: DataFrame, ids: DataFrame) -> DataFrame:
+    """The kept rows by (doc_id, fp, digest of the text) of every row and (fp, root)."""
+    # One column says which row it is, so that the join and the removal of repeated rows share a distribution.
+    name = lambda i: F.concat_ws(":", F.coalesce(i.cast("string"), F.lit("")), "digest")
+    place = F.struct(F.col("doc_id").isNull().alias("nameless"), F.col("doc_id").alias("id"), "digest", name(F.col("doc_id")).alias("name"))
+    first = prints.join(ids.select("fp", "root"), "fp").groupBy("root").agg(F.min(place).alias("k"))
+    keep = spool(first.select("k.name"), "keep")
+    rows = docs.select(F.col("doc_id").cast("long").alias("id"), text_digest().alias("digest"), F.struct(*docs.columns).alias("row"))
+    return rows.select(name(F.col("id")).alias("name"), "row").join(keep, "name", "left_semi").dropDuplicates(["name"]).select("row.*")
