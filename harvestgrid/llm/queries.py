@@ -31,34 +31,6 @@ def op1_entropy_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES["op1_entropy_mix"] = op1_entropy_mix
 
-_SIZED = r"""
-docs AS (SELECT doc_id, source, coalesce(len(regexp_extract_all(text, '[^ \t-\r]+')), 0)::BIGINT AS size FROM documents),
-keyed AS (SELECT *, ('0x' || substr(md5(concat_ws('|', coalesce(doc_id::VARCHAR, ''), size::VARCHAR, 'mix')), 1, 12))::BIGINT / 281474976710656.0::DOUBLE AS key FROM docs),
-per AS (SELECT source, sum(size)::DOUBLE AS w FROM docs GROUP BY source),
-ranked AS (SELECT *, ((row_number() OVER (ORDER BY source COLLATE "C" NULLS LAST) - 1) % 3 + 1)::DOUBLE AS weight FROM per),
-"""
-
-ORACLE_SQL["op1_entropy_mix"] = "WITH " + _SIZED + """
-held AS (SELECT *, 3 * w / weight AS ratio, row_number() OVER (ORDER BY 3 * w / weight, source NULLS LAST) AS n FROM ranked),
-levels AS (SELECT *, (sum(w) OVER () - coalesce(sum(3 * w) OVER before, 0)) / (sum(weight) OVER () - coalesce(sum(weight) OVER before, 0)) AS level
-           FROM held WINDOW before AS (ORDER BY n ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
-lvl AS (SELECT arg_min(level, n) AS level FROM levels WHERE level * weight < 3 * w),
-goal AS (SELECT source, w, CASE WHEN lvl.level IS NULL THEN 3 * w ELSE least(3 * w, lvl.level * weight) END AS target FROM held, lvl),
-rest AS (SELECT *, CASE WHEN w > 0 THEN floor(target / w + 1e-9) ELSE 0 END AS whole FROM goal),
-cum AS (SELECT k.*, r.w, r.target, r.whole, r.target - r.whole * r.w AS rest,
-               sum(size) OVER (PARTITION BY k.source ORDER BY key, doc_id RANGE BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) AS upto
-        FROM keyed k JOIN rest r ON k.source IS NOT DISTINCT FROM r.source),
-first_pass AS (SELECT *, CASE WHEN upto <= rest THEN 1 ELSE 0 END AS extra FROM cum),
-gaps AS (SELECT *, rest - sum(extra * size) OVER (PARTITION BY source) AS gap FROM first_pass),
-best AS (SELECT source, any_value(gap) AS gap, arg_min({'n': -size, 'key': key, 'doc_id': doc_id}, (key, doc_id)) AS b FROM gaps WHERE extra = 0 AND size > 0 AND size <= gap GROUP BY source, length(bin(size)) || substr(bin(size), 1, 3)),
-fold AS (SELECT source, list_reduce(list(b ORDER BY b.n, b.key, b.doc_id), lambda a, x: CASE WHEN -x.n <= a.gap THEN {'gap': a.gap + x.n, 'ids': list_append(a.ids, x.doc_id)} ELSE a END, {'gap': any_value(gap)::DOUBLE, 'ids': []::BIGINT[]}).ids AS ids FROM best GROUP BY source)
-SELECT doc_id, size, w::BIGINT AS source_size, round(target, 6) AS target,
-       (least(3, whole + extra + CASE WHEN extra = 0 AND coalesce(list_contains(ids, doc_id), false) THEN 1 ELSE 0 END) * size)::BIGINT AS taken,
-       round(CASE WHEN w > 0 THEN target / w ELSE 0 END, 6) AS rate
-FROM gaps LEFT JOIN fold ON gaps.source IS NOT DISTINCT FROM fold.source
-"""
-
-
 def op10_word_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     from .bpe import round_trip
 
