@@ -2,7 +2,7 @@
 
 A tolerant parser builds the tree (void and raw-text elements, implied end tags,
 unclosed and cut-off markup). Every block-level node gets features of its subtree
-(text, links, densities, punctuation), of its attributes (tokens of class, id and role,
+(text, links, densities, punctuation), of its attributes (learned weights of the tokens of class, id and role,
 its own and its ancestors'), of its depth and of its siblings. Boosted trees give the
 log-odds that main text lies in the node. Decoding is hierarchical: by
 dynamic programming over the tree it picks the likeliest labelling in which no node
@@ -198,32 +198,32 @@ class Page:
         flush()
 
 
-#: Node kinds that are told apart, and attribute tokens, by family, that are looked for; what they mean is learned.
+#: Node kinds that are told apart; what they and the attribute tokens mean is learned.
 KINDS = "html body div section article main nav header footer aside ul ol li p h1 h2 h3 form table td blockquote pre figure figcaption dl ins".split()
-FAMILIES = {
-    "ad": "ad ads advert advertisement adbox adslot sponsored sponsor promo promotion banner partner",
-    "menu": "nav navigation menu navbar breadcrumb breadcrumbs toc pagination pager skip links",
-    "top": "header masthead top topbar logo branding",
-    "bottom": "footer bottom colophon copyright contentinfo legal imprint",
-    "side": "sidebar aside side widget secondary related recommended complementary rail trending popular more",
-    "notice": "cookie cookies consent notice alert gdpr newsletter subscribe subscription popup modal overlay toast warning privacy",
-    "form": "search form login signup contact input",
-    "talk": "comment comments commentlist reply replies respond discussion disqus review reviews feedback",
-    "share": "share sharing social tags tag meta byline follow",
-    "main": "content article post entry story body main text hentry",
-    "frame": "page site primary container wrapper wrap inner layout",
-}
-TOKENS = " ".join(FAMILIES.values()).split()
-_FAMILY = {t: i for i, f in enumerate(FAMILIES.values()) for t in f.split()}
 _KIND = {k: i for i, k in enumerate(KINDS)}
-_TOKEN_AT = {t: i for i, t in enumerate(dict.fromkeys(TOKENS))}
 _NUMERIC = 24
-_ATTRS = len(FAMILIES) + len(_TOKEN_AT)
+#: Least and most of the weights of a node's own attribute tokens, and of those of the nodes above it.
+_ATTRS = 2
 N_FEATURES = _NUMERIC + 2 * len(_KIND) + 2 * _ATTRS
+#: Pages that a token has to be met in to get a weight.
+TOKEN_PAGES = 5
 
 
-def node_features(page: Page) -> np.ndarray:
-    """One row per block node."""
+def token_weights(pages: list[Page], truth: list[np.ndarray]) -> dict[str, float]:
+    """Log-odds that main text lies in a node, for each token of class, id, role and label, by pages."""
+    seen: dict[str, list[int]] = {}
+    base = [0, 0]
+    for page, hit in zip(pages, truth):
+        met = {(t, bool(h)) for attr, h in zip(page.attr, hit) if attr for t in _TOKEN.findall(attr)}
+        for t, h in met:
+            seen.setdefault(t, [0, 0])[h] += 1
+            base[h] += 1
+    prior = np.log((base[1] + 1) / (base[0] + 1))
+    return {t: float(np.log((yes + 1) / (no + 1)) - prior) for t, (no, yes) in sorted(seen.items()) if no + yes >= TOKEN_PAGES}
+
+
+def node_features(page: Page, tokens: dict[str, float]) -> np.ndarray:
+    """One row per block node; ``tokens`` are the learned weights of attribute tokens."""
     n = len(page.tag)
     x = np.zeros((n, N_FEATURES), dtype=np.float32)
     own, linked, runs, commas, ends, longest, words = (np.zeros(n) for _ in range(7))
@@ -270,25 +270,25 @@ def node_features(page: Page) -> np.ndarray:
         p = parent[k]
         if k:  # what any ancestor is
             x[k, b:c] = x[p, b:c]
-            x[k, d:] = x[p, d:]
+            x[k, d] = min(x[p, c], x[p, d])
+            x[k, d + 1] = max(x[p, c + 1], x[p, d + 1])
             kind = _KIND.get(page.tag[p])
             if kind is not None:
                 x[k, b + kind] = 1
-            np.maximum(x[k, d:], x[p, c:d], out=x[k, d:])
         kind = _KIND.get(page.tag[k])
         if kind is not None:
             x[k, a + kind] = 1
         if page.attr[k]:
-            for t in _TOKEN.findall(page.attr[k]):
-                if t in _FAMILY:
-                    x[k, c + _FAMILY[t]] = x[k, c + len(FAMILIES) + _TOKEN_AT[t]] = 1
+            known = [tokens[t] for t in _TOKEN.findall(page.attr[k]) if t in tokens]
+            if known:
+                x[k, c], x[k, c + 1] = min(0.0, *known), max(0.0, *known)
     return x
 
 
 class BoostedTrees:
     """Logistic boosting of complete binary trees over quantile-binned features."""
 
-    def __init__(self, trees: int = 80, depth: int = 4, rate: float = 0.25, bins: int = 24, ridge: float = 1.0, share: float = 0.35):
+    def __init__(self, trees: int = 120, depth: int = 5, rate: float = 0.25, bins: int = 24, ridge: float = 1.0, share: float = 0.35):
         self.trees, self.depth, self.rate, self.bins, self.ridge, self.share = trees, depth, rate, bins, ridge, share
 
     def _binned(self, x: np.ndarray) -> np.ndarray:
@@ -422,7 +422,12 @@ def compose(rng: random.Random) -> tuple[str, list[str]]:
     def prose(lo=1, hi=8):
         return " ".join(sentence() for _ in range(rng.randint(lo, hi)))
 
+    # Some pages have class names that say nothing, on everything.
+    obscure = rng.random() < 0.15
+
     def attrs(*names):
+        if obscure:
+            return f' class="{word()[:2]}-{rng.randint(16, 4095):x}"' if rng.random() < 0.7 else ""
         if not names or rng.random() < 0.1:
             return ""
         name = rng.choice(names)
@@ -478,6 +483,9 @@ def compose(rng: random.Random) -> tuple[str, list[str]]:
             return f"<footer{attrs('footer', 'site-footer', 'colophon')}>{inner}</footer>"
         return f"<div{attrs('footer', 'site-footer', 'bottom', 'copyright', 'legal')}>{inner}</div>"
 
+    def code():
+        return rng.choice(("", f"<style>.{word()}{{color:#{rng.randint(100, 999)}}}</style>", f"<script>{word()}({rng.randint(0, 9)} &lt; 2)</script>", f"<link rel=icon href=/{word()}.ico>"))
+
     blocks: list[str] = []
 
     def keep(text):
@@ -500,7 +508,7 @@ def compose(rng: random.Random) -> tuple[str, list[str]]:
         if form < 0.68:
             t = styled(prose(1, rng.choice((1, 2, 8, 20))))
             keep(t)
-            return f"<p{attrs('text', 'intro') if rng.random() < 0.1 else ''}>{t}" + ("</p>" if rng.random() < 0.9 else "")
+            return f"<p{attrs('text', 'intro') if obscure or rng.random() < 0.1 else ''}>{t}" + ("</p>" if rng.random() < 0.9 else "")
         if form < 0.76:
             t = sentence(1, 8)
             keep(t)
@@ -519,10 +527,19 @@ def compose(rng: random.Random) -> tuple[str, list[str]]:
             t = sentence(2, 9)
             keep(t)
             return f'<figure><img src="/{word()}.png" alt="{word()}"><figcaption>{t}</figcaption></figure>'
-        if form < 0.96:
+        if form < 0.95:
             t = styled(prose(1, 4))
             keep(t)
             return f"<div>{t}</div>"
+        if form < 0.965:
+            pairs = [(sentence(1, 3), styled(prose(1, 2))) for _ in range(rng.randint(1, 5))]
+            for t in (x for pair in pairs for x in pair):
+                keep(t)
+            return "<dl>" + "".join(f"<dt>{x}<dd>{y}" for x, y in pairs) + "</dl>"
+        if form < 0.975:
+            t = prose(1, 4)
+            keep(t)
+            return f"<pre>{t}</pre>"
         cells = [[sentence(1, 4) for _ in range(3)] for _ in range(rng.randint(2, 4))]
         for r in cells:
             for t in r:
@@ -536,12 +553,17 @@ def compose(rng: random.Random) -> tuple[str, list[str]]:
             keep(t)
             parts.append(f"<h1>{t}</h1>")
             if rng.random() < 0.3:
+                t = sentence(1, 12)
                 keep(t)
-                parts.append(f"<p><b>{t}<br>")
+                parts.append(rng.choice((f"<h2>{t}</h2>", f"<div>{t}</div>", f"<p><strong>{t}</strong></p>", f"<p><em>{t}</em>")))
         for _ in range(rng.choice((1, 2, 4, 8, 20))):
             parts.append(content())
             if rng.random() < 0.12:
                 parts.append(boiler(rng.choice(("ad", "ad", "notice", "share", "form", "sidebar"))))
+        if len(parts) > 1 and rng.random() < 0.3:  # the text in parts of its own
+            cut = rng.randrange(1, len(parts))
+            name = rng.choice(("div", "div", "section"))
+            parts = [*parts[:cut], f"<{name}{attrs() if rng.random() < 0.5 else ''}>{''.join(parts[cut:])}</{name}>"]
         body = "".join(parts)
         wrap = rng.random()
         if wrap < 0.06:
@@ -573,7 +595,7 @@ def compose(rng: random.Random) -> tuple[str, list[str]]:
     rng.shuffle(before)
     if rng.random() < 0.3:
         main = f"<div{attrs('container', 'wrapper', 'page', 'site', 'primary')}>{main}{after.pop(0) if after and rng.random() < 0.4 else ''}</div>"
-    head = f"<head><meta charset=utf-8><title>{sentence(1, 8)}</title><style>p{{margin:0}}</style><script>var t=\"</p>\";</script></head>" if rng.random() < 0.8 else ""
+    head = f"<head><meta charset=utf-8><title>{sentence(1, 8)}</title>{code()}</head>" if rng.random() < 0.8 else ""
     page = f"<!DOCTYPE html><html>{head}<body>{''.join(before)}{'<!-- x -->' if rng.random() < 0.5 else ''}{main}{''.join(after)}" + ("</body></html>" if rng.random() < 0.8 else "")
     return page, blocks
 
@@ -596,27 +618,31 @@ def _targets(page: Page, blocks: list[str]) -> np.ndarray:
     return hit
 
 
+class Model:
+    """Weights of attribute tokens, and the trees."""
+
+    def __init__(self, tokens: dict[str, float], trees: BoostedTrees):
+        self.tokens, self.trees = tokens, trees
+
+
 @lru_cache(maxsize=2)
-def trained(pages: int = 1400, seed: int = 11) -> BoostedTrees:
+def trained(pages: int = 2400, seed: int = 11) -> Model:
     rng = random.Random(seed)
-    rows, truth, weight = [], [], []
-    for _ in range(pages):
-        source, blocks = compose(rng)
-        page = Page(source)
-        x = node_features(page)
-        rows.append(x)
-        truth.append(_targets(page, blocks))
-        weight.append(1 + x[:, 0])
-    return BoostedTrees().fit(np.concatenate(rows), np.concatenate(truth).astype(float), np.concatenate(weight) / 4)
-
-
-def extract(sources: list[str | None], model: BoostedTrees) -> list[str]:
+    held = [compose(rng) for _ in range(pages)]
+    parsed = [Page(source) for source, _ in held]
+    truth = [_targets(page, blocks) for page, (_, blocks) in zip(parsed, held)]
+    tokens = token_weights(parsed, truth)
+    x = np.concatenate([node_features(page, tokens) for page in parsed])
+    return Model(tokens, BoostedTrees().fit(x, np.concatenate(truth).astype(float), (1 + x[:, 0]) / 4))
+
+
+def extract(sources: list[str | None], model: Model) -> list[str]:
     """Main text of each page."""
     pages = [Page(s) for s in sources]
     if not pages:
         return []
-    rows = [node_features(p) for p in pages]
-    odds = model.score(np.concatenate(rows))
+    rows = [node_features(p, model.tokens) for p in pages]
+    odds = model.trees.score(np.concatenate(rows))
     out, at = [], 0
     for p, x in zip(pages, rows):
         keep = decode(p, odds[at : at + len(x)])
@@ -637,7 +663,7 @@ def _extract_batches(shared):
     return run
 
 
-def main_text(pages: DataFrame, model: BoostedTrees | None = None) -> DataFrame:
+def main_text(pages: DataFrame, model: Model | None = None) -> DataFrame:
     """page_id, url, text, n_chars (code points) of every page."""
     shared = pages.sparkSession.sparkContext.broadcast(model or trained())
     picked = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.col("html").cast("string").alias("html"))

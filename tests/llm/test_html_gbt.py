@@ -67,3 +67,59 @@ def test_rows(spark, sf, model):
     assert by[90001].text == by[90002].text == "" and by[90003].text.count("\n") == 19_999
     assert all(by[r.page_id].text == rule(r.html) for r in pages.collect())
     assert h.main_text(pages.limit(0), model).count() == 0
+
+
+def test_share_of_exact_pages(model):
+    """What the README states of unseen composed pages."""
+    rng = random.Random(2024)
+    exact = 0
+    for _ in range(400):
+        source, blocks = h.compose(rng)
+        exact += h.extract([source], model)[0] == "\n".join(blocks)
+    assert exact >= 0.92 * 400
+
+
+SENTENCES = [
+    "The harbour was quiet in the morning, and the boats lay still.", "Nobody had expected the bridge to open before the end of the year, least of all the engineers.",
+    "Rain fell through the night; by noon the river had risen by a metre.", "A second team, led by the older sister, took the northern path.",
+    "They found the letters in a tin box, wrapped in oiled cloth.", "Its price has doubled since then, but few regret the purchase.",
+]
+
+
+def test_layouts_unlike_those_composed(model):
+    """Pages written by hand: hashed class names, unclosed lists, definition lists, preformatted text, bare line breaks, tables as frames."""
+    a, b, c, d, e, f = SENTENCES
+    menu = "".join(f'<li><a href="/{w}">{w}</a>' for w in ("Home", "World", "Sport", "Culture", "Contact"))
+    pages = [
+        (
+            f'<html><body class="css-1x"><div class="css-9a"><ul class="css-3f">{menu}</ul></div><div class="css-77"><h1>{a}</h1><div class="css-2k"><p class="css-0">{b}</p><p class="css-0">{c} {d}</p>'
+            f'<p class="css-0">{e}</p></div></div><div class="css-9b"><a href="/1">Privacy</a> <a href="/2">Terms</a> <a href="/3">Jobs</a></div></body></html>',
+            [a, b, f"{c} {d}", e],
+        ),
+        (
+            f'<body><nav>{menu}</nav><main><h2>{a}</h2><dl><dt>First<dd>{b}<dt>Second<dd>{c}</dl><pre>{d}</pre><p>{e} {f}</main><footer><p>All rights reserved.</footer>',
+            [a, "First", b, "Second", c, d, f"{e} {f}"],
+        ),
+        (
+            f'<table width=100%><tr><td colspan=2><a href=/>Daily</a> | <a href=/n>News</a> | <a href=/s>Sport</a></td></tr><tr><td><p>{a} {b}</p><p>{c}</p><p>{d} {e}</p></td>'
+            f'<td width=120><ul>{menu}</ul></td></tr></table>',
+            [f"{a} {b}", c, f"{d} {e}"],
+        ),
+        (
+            f'<div id="nav">{menu}</div><div id="article-body"><p>{a}<p>{b} {c}<ul><li>{d}<li>{e}</ul><blockquote>{f}</blockquote></div><div id="comments"><h3>3 comments</h3><div class="comment"><p>I liked it.</p></div></div>',
+            [a, f"{b} {c}", d, e, f],
+        ),
+    ]
+    found = [h.extract([source], model)[0].split("\n") for source, _ in pages]
+    for got, (_, want) in zip(found, pages):
+        assert [x for x in got if x in want] == [x for x in want if x in got]
+        assert sum(len(x) for x in got if x in want) >= 0.9 * sum(map(len, want)), got
+        assert sum(len(x) for x in got if x not in want) <= 0.1 * sum(map(len, want)), got
+
+
+def test_tokens_are_learned(model):
+    """Weights come from the training pages alone, and a renamed vocabulary is learned as well."""
+    assert model.tokens["footer"] < 0 < model.tokens["article"] and model.tokens["ad"] < 0 and model.tokens["comment"] < 0
+    page = h.Page('<div class="kopf">x</div><div class="kern">y</div>')
+    weights = h.token_weights([page] * 6, [np.array([True, False, True])] * 6)
+    assert weights["kopf"] < 0 < weights["kern"]
