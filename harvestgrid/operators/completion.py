@@ -64,11 +64,25 @@ def remap(seg: DataFrame, by=("cart_id", "session"), **options) -> DataFrame:
     moves = moves.select(*by, (F.col("_start") + F.col("_k")).alias("row_idx"), "size", "_start", "dominant")
     # The winning group of each row decides, whether it moves the row or names it the target.
     target = moves.groupBy(*by, "row_idx").agg(F.max_by("dominant", F.struct("size", "_start")).alias("_to"))
-    once = seg.select(*by, "row_idx").join(target, [*by, "row_idx"], "left").withColumn("_to", F.coalesce("_to", "row_idx"))
-    follow = once.select(*by, F.col("row_idx").alias("_to"), F.col("_to").alias("_next"))
-    both = once.join(follow, [*by, "_to"], "left")
-    new = F.when(F.col("_next").isNull() | (F.col("_next") == F.col("row_idx")), F.col("_to")).otherwise(F.col("_next"))
-    return both.select(*by, "row_idx", new.cast("int").alias("row_idx_new")).withColumn("moved_flag", (F.col("row_idx_new") != F.col("row_idx")).cast("int"))
+    packed = target.groupBy(*by).agg(F.map_from_entries(F.collect_list(F.struct("row_idx", "_to"))).alias("_map"))
+    go = lambda row: F.coalesce(F.col("_map")[row], row)
+    once = seg.select(*by, "row_idx").join(packed, list(by), "left").withColumn("_to", go(F.col("row_idx"))).withColumn("_next", go(F.col("_to")))
+    new = F.when(F.col("_next") == F.col("row_idx"), F.col("_to")).otherwise(F.col("_next"))
+    return once.select(*by, "row_idx", new.cast("int").alias("row_idx_new")).withColumn("moved_flag", (F.col("row_idx_new") != F.col("row_idx")).cast("int"))
+
+
+def merged(seg: DataFrame, moves: DataFrame, by=("cart_id", "session"), weight: str = "dwell_s") -> DataFrame:
+    """Segments after the repair, from those before it: no second pass over samples.
+
+    second_idx is the row that most of a segment's moved samples came from (null where none moved).
+    """
+    rows = seg.join(moves, [*by, "row_idx"])
+    came = F.when(F.col("row_idx") != F.col("row_idx_new"), F.struct(F.coalesce(weight, F.lit(0)).alias("w"), (-F.col("row_idx")).alias("r")))
+    out = rows.groupBy(*by, F.col("row_idx_new").alias("row_idx")).agg(
+        F.sum("n").alias("n"), F.min("y_min").alias("y_min"), F.max("y_max").alias("y_max"), F.coalesce(F.sum(weight), F.lit(0)).alias(weight),
+        F.max("moved_flag").alias("moved_flag"), F.max(came).alias("_came"),
+    )
+    return out.withColumn("second_idx", -F.col("_came.r")).drop("_came")
 
 
 def write_back(trace: DataFrame, mapping: DataFrame, by=("cart_id", "session"), new: str = "row_idx_new") -> DataFrame:

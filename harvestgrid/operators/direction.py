@@ -34,20 +34,15 @@ def _hampel_arrow(df, col, half_window, by, order, n_sigma, mad_floor):
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         pdf = pdf.sort_values(list(order), kind="stable").reset_index(drop=True)
-        v = pdf[col].to_numpy(dtype=float)
-        padded = np.concatenate([np.full(half_window, np.nan), v, np.full(half_window, np.nan)])
-        win = np.lib.stride_tricks.sliding_window_view(padded, 2 * half_window + 1)
-        med = np.nanmedian(win, axis=1)
-        mad = np.nanmedian(np.abs(win - med[:, None]), axis=1)
-        pdf[f"{col}_h"] = np.where(np.abs(v - med) > np.maximum(mad_floor, n_sigma * 1.4826 * mad), med, v)
+        pdf[f"{col}_h"] = hampel_values(pdf[col].to_numpy(dtype=float), half_window, n_sigma, mad_floor)
         return pdf[schema.names]
 
     return df.drop(f"{col}_h").groupBy(*by).applyInPandas(run, schema)
 
 
 def dominant_sign(df: DataFrame, by, order, y: str = "y") -> DataFrame:
-    """Per group: the sign in which more distance was travelled (+1 on ties)."""
-    step = F.col(y) - F.lag(y).over(Window.partitionBy(*by).orderBy(*order))
+    """Per group: the sign in which more steps went (+1 on ties), whatever their length; a few long jumps don't decide."""
+    step = F.signum(F.col(y) - F.lag(y).over(Window.partitionBy(*by).orderBy(*order)))
     return df.withColumn("_step", step).groupBy(*by).agg(F.when(F.coalesce(F.sum("_step"), F.lit(0.0)) >= 0, 1).otherwise(-1).alias("direction"))
 
 
@@ -65,12 +60,12 @@ def turning_points(y: np.ndarray, prominence: float = 0.0, distance: int = 1) ->
         if y[i] < y[low]:
             low = i
         if way >= 0 and y[high] - y[i] > max(prominence, 1e-12):
-            if way > 0 or high > 0:
+            if way > 0:  # before the first way is known, no extreme stands out on both sides
                 turns.append(high)
             way, low = -1, i
             high = i
         elif way <= 0 and y[i] - y[low] > max(prominence, 1e-12):
-            if way < 0 or low > 0:
+            if way < 0:
                 turns.append(low)
             way, high = 1, i
             low = i
@@ -106,6 +101,28 @@ def travel_direction(df: DataFrame, by, order, y: str = "y", prominence: float =
     return df.drop("direction").groupBy(*by).applyInPandas(run, schema)
 
 
+def hampel_values(v: np.ndarray, half_window: int, n_sigma: float = 3.0, mad_floor: float = 0.0) -> np.ndarray:
+    """Outliers of a series replaced by their window's median."""
+    padded = np.concatenate([np.full(half_window, np.nan), v, np.full(half_window, np.nan)])
+    win = np.lib.stride_tricks.sliding_window_view(padded, 2 * half_window + 1)
+    med = np.nanmedian(win, axis=1)
+    mad = np.nanmedian(np.abs(win - med[:, None]), axis=1)
+    return np.where(np.abs(v - med) > np.maximum(mad_floor, n_sigma * 1.4826 * mad), med, v)
+
+
+def filtered_direction(df: DataFrame, by, order, y: str = "y", half_window: int = 25, n_sigma: float = 3.0, mad_floor: float = 0.0, prominence: float = 5.0, distance: int = 50) -> DataFrame:
+    """+ {y}_h, direction per sample: outlier filter and turning points in one Python node per (cart, row)."""
+    schema = df.drop(f"{y}_h", "direction").schema.add(f"{y}_h", T.DoubleType()).add("direction", T.IntegerType())
+
+    def run(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(list(order), kind="stable").reset_index(drop=True)
+        v = hampel_values(pdf[y].to_numpy(dtype=float), half_window, n_sigma, mad_floor)
+        pdf[f"{y}_h"], pdf["direction"] = v, signs(v, turning_points(v, prominence, distance))
+        return pdf[schema.names]
+
+    return df.drop(f"{y}_h", "direction").groupBy(*by).applyInPandas(run, schema)
+
+
 def simple_direction(df: DataFrame, by, order, y: str = "y") -> DataFrame:
     """Per group: sign of last minus first; no displacement is +1."""
     key = F.struct(*order)

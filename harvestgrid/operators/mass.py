@@ -31,6 +31,6 @@ def median_smooth(df: DataFrame, half_window: int = 2, by=BY, t: str = "t_us", w
     return df.withColumn("w_smooth", F.percentile(w, F.lit(0.5)).over(order))
 
 
-def clean(df: DataFrame, w_min=0.55, w_max=5.0, max_rate=0.5, half_window=2, by=BY, per_us=1e6) -> DataFrame:
+def clean(df: DataFrame, w_min=0.55, w_max=5.0, max_rate=0.5, half_window=2, by=BY, per_us=1e6, strict_positive: bool = True) -> DataFrame:
     """The whole step: both windows share one distribution and one sort."""
-    return median_smooth(stable(rate(in_range(df, w_min, w_max), by, per_us=per_us), max_rate), half_window, by)
+    return median_smooth(stable(rate(in_range(df, w_min, w_max), by, per_us=per_us), max_rate, strict_positive), half_window, by)

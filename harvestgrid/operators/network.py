@@ -1,6 +1,6 @@
-"""A small convolutional recurrent classifier of activity windows, in numpy.
+"""A small convolutional classifier with long short-term memory for activity windows, in numpy.
 
-One convolution over time with rectified outputs, one gated recurrent layer, two
+One convolution over time with rectified outputs, one recurrent layer of memory cells, two
 classes by softmax; cross-entropy, adaptive gradient steps. Training is on the driver
 over a bounded sample of windows; scoring is distributed, weights broadcast, windows
 in Arrow batches.
@@ -31,8 +31,9 @@ class Net:
         glorot = lambda a, b: rng.normal(size=(a, b)) * np.sqrt(2 / (a + b))
         self.kernel, self.pool, self.hidden = kernel, pool, hidden
         self.p = {
-            "wc": glorot(kernel * channels, filters), "bc": np.zeros(filters), "wx": glorot(filters, 3 * hidden), "wh": glorot(hidden, 3 * hidden),
-            "bh": np.zeros(3 * hidden), "wo": glorot(hidden, 2), "bo": np.zeros(2),
+            "wc": glorot(kernel * channels, filters), "bc": np.zeros(filters), "wx": glorot(filters, 4 * hidden), "wh": glorot(hidden, 4 * hidden),
+            # Cells start by keeping what they hold.
+            "bh": np.repeat([0.0, 1.0, 0.0, 0.0], hidden), "wo": glorot(hidden, 2), "bo": np.zeros(2),
         }
 
     def forward(self, x: np.ndarray):
@@ -43,20 +44,21 @@ class Net:
         r = np.maximum(a, 0)
         t = r.shape[1] // self.pool
         z = r[:, : t * self.pool].reshape(len(x), t, self.pool, -1).mean(axis=2)
-        s, steps = np.zeros((len(x), h)), []
+        s, cell, steps = np.zeros((len(x), h)), np.zeros((len(x), h)), []
         for i in range(t):
-            gx, gh = z[:, i] @ p["wx"] + p["bh"], s @ p["wh"]
-            u, q = _sigmoid(gx[:, :h] + gh[:, :h]), _sigmoid(gx[:, h : 2 * h] + gh[:, h : 2 * h])
-            c = np.tanh(gx[:, 2 * h :] + q * gh[:, 2 * h :])
-            new = (1 - u) * c + u * s
-            steps.append((s, u, q, c, gh))
-            s = new
+            gates = z[:, i] @ p["wx"] + s @ p["wh"] + p["bh"]
+            take, hold, show = (_sigmoid(gates[:, k * h : (k + 1) * h]) for k in range(3))
+            new = np.tanh(gates[:, 3 * h :])
+            grown = hold * cell + take * new
+            seen = np.tanh(grown)
+            steps.append((s, cell, take, hold, show, new, seen))
+            s, cell = show * seen, grown
         o = s @ p["wo"] + p["bo"]
         e = np.exp(o - o.max(axis=1, keepdims=True))
         return e / e.sum(axis=1, keepdims=True), (cols, a, z, t, steps, s)
 
     def gradient(self, x: np.ndarray, y: np.ndarray) -> tuple[float, dict[str, np.ndarray]]:
-        p, h = self.p, self.hidden
+        p = self.p
         prob, (cols, a, z, t, steps, s) = self.forward(x)
         n = len(x)
         loss = -np.log(np.maximum(prob[np.arange(n), y], 1e-12)).mean()
@@ -65,19 +67,16 @@ class Net:
         d /= n
         g = {k: np.zeros_like(v) for k, v in p.items()}
         g["wo"], g["bo"] = s.T @ d, d.sum(axis=0)
-        ds, dz = d @ p["wo"].T, np.zeros_like(z)
+        ds, dc, dz = d @ p["wo"].T, 0.0, np.zeros_like(z)
         for i in range(t - 1, -1, -1):
-            s0, u, q, c, gh = steps[i]
-            dc = ds * (1 - u) * (1 - c**2)
-            du = ds * (s0 - c) * u * (1 - u)
-            dq = dc * gh[:, 2 * h :] * q * (1 - q)
-            dgx = np.concatenate([du, dq, dc], axis=1)
-            dgh = np.concatenate([du, dq, dc * q], axis=1)
-            g["wx"] += z[:, i].T @ dgx
-            g["bh"] += dgx.sum(axis=0)
-            g["wh"] += s0.T @ dgh
-            dz[:, i] = dgx @ p["wx"].T
-            ds = ds * u + dgh @ p["wh"].T
+            s0, c0, take, hold, show, new, seen = steps[i]
+            dc = dc + ds * show * (1 - seen**2)
+            dg = np.concatenate([dc * new * take * (1 - take), dc * c0 * hold * (1 - hold), ds * seen * show * (1 - show), dc * take * (1 - new**2)], axis=1)
+            g["wx"] += z[:, i].T @ dg
+            g["bh"] += dg.sum(axis=0)
+            g["wh"] += s0.T @ dg
+            dz[:, i] = dg @ p["wx"].T
+            ds, dc = dg @ p["wh"].T, dc * hold
         dr = np.zeros_like(a)
         dr[:, : t * self.pool] = np.repeat(dz / self.pool, self.pool, axis=1)
         da = dr * (a > 0)
@@ -129,7 +128,7 @@ class ConvRecurrentClassifier:
         return self.net.forward((x - self.mean) / self.std)[0][:, 1]
 
     def transform(self, windows: DataFrame) -> DataFrame:
-        """+ score (probability of Pick), predicted; incomplete windows score 0."""
+        """+ score (probability of Pick), predicted. Every window that the network can take is scored, the others get 0; a window's score depends on nothing but itself."""
         shared = windows.sparkSession.sparkContext.broadcast(self)
         names = windows.columns
         flat = windows.withColumn("_x", self._column())
@@ -139,12 +138,11 @@ class ConvRecurrentClassifier:
             model = shared.value
             for batch in batches:
                 xs = batch.column(len(names)).to_pylist()
-                size = max((len(x) for x in xs), default=0)
                 score = np.zeros(len(xs))
                 least = (model.net.kernel + model.net.pool - 1) * model.channels
                 for n, ks in itertools.groupby(sorted(range(len(xs)), key=lambda k: len(xs[k])), key=lambda k: len(xs[k])):
                     ks = list(ks)
-                    if n >= max(least, size // 2):
+                    if n >= least:
                         score[ks] = model.score_arrays(np.array([xs[k] for k in ks]).reshape(len(ks), -1, model.channels))
                 yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(score)], names=[*names, "score"])
 
@@ -159,17 +157,18 @@ def windows_from_embeddings(embeddings: DataFrame) -> DataFrame:
 FEATURES = {"mass": ("w",), "acceleration": ("ax", "ay", "az"), "velocity": ("vel",)}
 
 
-def feature_ablation(windows: DataFrame, epochs: int = 10) -> dict[str, float]:
-    """F1 on every second cart for each of the seven subsets of mass, acceleration and velocity."""
-    out = {}
+def feature_ablation(windows: DataFrame, epochs: int = 50, sample: int = SAMPLE) -> DataFrame:
+    """subset, precision, recall, f1, accuracy on every second cart, for each of the seven subsets of mass, acceleration and velocity."""
+    from .metrics import confusion
+
+    out = None
     for n in range(1, len(FEATURES) + 1):
         for names in itertools.combinations(FEATURES, n):
             cols = tuple(c for f in names for c in FEATURES[f])
-            model = ConvRecurrentClassifier(len(cols), epochs=epochs, features=cols).fit(windows.where("pmod(cart_id, 2) = 0"))
-            scored = model.transform(windows.where("pmod(cart_id, 2) = 1")).select((F.col("label") == "Pick").cast("int").alias("t"), "predicted")
-            r = scored.agg(F.sum(F.col("t") * F.col("predicted")).alias("tp"), F.sum((F.col("t") != F.col("predicted")).cast("int")).alias("wrong"))
-            tp, wrong = r.first()
-            out["+".join(names)] = 2 * tp / max(1, 2 * tp + wrong)
+            model = ConvRecurrentClassifier(len(cols), epochs=epochs, features=cols).fit(windows.where("pmod(cart_id, 2) = 0"), sample)
+            scored = model.transform(windows.where("pmod(cart_id, 2) = 1"))
+            one = confusion(scored, (F.col("label") == "Pick").cast("int"), F.col("predicted")).select(F.lit("+".join(names)).alias("subset"), "precision", "recall", "f1", "accuracy")
+            out = one if out is None else out.unionByName(one)
     return out
 
 

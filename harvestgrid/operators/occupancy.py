@@ -42,7 +42,8 @@ def resolve_day(segs: list[dict], min_overlap: float, weight: str, rows: set[int
 
     Conflicts go in order of row and carts and are checked again before each move,
     as moves change who is where. Candidates: the cart's second-largest row, the rows beside the
-    conflict row, the rows beside that second row; the first where the cart would conflict with nobody.
+    conflict row, the rows beside that second row; the first where the cart would conflict with nobody. A segment with
+    ``second_idx`` (where most of its moved samples came from) takes that for the second row.
     """
     place = {(s["cart_id"], s["row_idx"]): s["row_idx"] for s in segs}
     of = {(s["cart_id"], s["row_idx"]): s for s in segs}
@@ -71,7 +72,8 @@ def resolve_day(segs: list[dict], min_overlap: float, weight: str, rows: set[int
                     sa, sb = of[a], of[b]
                     fa, fb = sa.get("moved_flag", 0), sb.get("moved_flag", 0)
                     lost = (a if fa else b) if fa != fb else (a if sa[weight] < sb[weight] else b)
-                    second = next((r for r in shares[lost[0]] if r != row), None)
+                    came = of[lost].get("second_idx")
+                    second = int(came) if came is not None and came == came else next((r for r in shares[lost[0]] if r != row), None)
                     wish = [second, row - 1, row + 1, *([second - 1, second + 1] if second is not None else [])]
                     target = next((r for r in wish if r is not None and r != row and free(lost, r)), None)
                     if target is None:
@@ -91,7 +93,7 @@ def resolve(seg: DataFrame, by=("session",), min_overlap_m: float = 5.0, weight:
     fields = [seg.schema[c] for c in by]
     schema = ", ".join([*(f"{f.name} {f.dataType.simpleString()}" for f in fields), "cart_id long, row_idx int, row_idx_final int, status string"])
     known = set(rows) if rows is not None else None
-    cols = ["cart_id", "row_idx", "y_min", "y_max", weight, *(["moved_flag"] if "moved_flag" in seg.columns else [])]
+    cols = ["cart_id", "row_idx", "y_min", "y_max", weight, *[c for c in ("moved_flag", "second_idx") if c in seg.columns]]
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         found = resolve_day(pdf[cols].to_dict("records"), min_overlap_m, weight, known, max_rounds)

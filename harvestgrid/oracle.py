@@ -171,7 +171,7 @@ ORACLE = {
     "trays_per_cart_day_stats": f"WITH {COUNTS} SELECT count(*) AS sessions, round(avg(gt), 4) AS mean_trays, min(gt) AS min_trays, max(gt) AS max_trays, sum(gt) AS total_trays FROM cnt",
     "load_cell_calibration": "SELECT l_suppkey AS cart_id, round(regr_slope(l_quantity, l_extendedprice / 1000), 4) AS slope, round(regr_intercept(l_quantity, l_extendedprice / 1000), 4) AS intercept, round(regr_r2(l_quantity, l_extendedprice / 1000), 4) AS r2, count(*) AS n FROM lineitem GROUP BY ALL HAVING count(*) >= 3",
     "calibrated_mass": "WITH p AS (SELECT l_suppkey, regr_slope(l_quantity, l_extendedprice / 1000) AS s, regr_intercept(l_quantity, l_extendedprice / 1000) AS i FROM lineitem GROUP BY ALL HAVING count(*) >= 3) SELECT l_suppkey AS cart_id, count(*) AS samples, round(avg(abs(s * (l_extendedprice / 1000) + i - l_quantity)), 4) AS mean_abs_residual FROM lineitem JOIN p USING (l_suppkey) GROUP BY ALL",
-    "recalibration_due": "WITH p AS (SELECT l_suppkey, regr_slope(l_quantity, l_extendedprice / 1000) AS s, regr_intercept(l_quantity, l_extendedprice / 1000) AS i, regr_r2(l_quantity, l_extendedprice / 1000) AS r2 FROM lineitem GROUP BY ALL HAVING count(*) >= 3), m AS (SELECT l_suppkey AS cart_id, max(abs(s * (l_extendedprice / 1000) + i - l_quantity)) AS mr, any_value(r2) AS r2 FROM lineitem JOIN p USING (l_suppkey) GROUP BY ALL) SELECT cart_id, round(mr, 4) AS max_resid, round(r2, 4) AS r2 FROM m WHERE mr > 30 OR r2 < 0",
+    "recalibration_due": "WITH p AS (SELECT l_suppkey, regr_slope(l_quantity, l_extendedprice / 1000) AS s, regr_intercept(l_quantity, l_extendedprice / 1000) AS i, regr_r2(l_quantity, l_extendedprice / 1000) AS r2 FROM lineitem GROUP BY ALL HAVING count(*) >= 3), m AS (SELECT l_suppkey AS cart_id, max(abs(s * (l_extendedprice / 1000) + i - l_quantity)) AS mr, any_value(r2) AS r2 FROM lineitem JOIN p USING (l_suppkey) GROUP BY ALL) SELECT cart_id, round(mr, 4) AS max_resid, round(r2, 4) AS r2 FROM m WHERE mr > 25.5 OR r2 < 0",
     "activity_windows": f"WITH {_WIN} SELECT cart_id, win_no, count(*) AS n, round((avg(w))::DECIMAL(28, 9), 4)::DOUBLE AS mean_w, round((stddev_samp(w))::DECIMAL(28, 9), 4)::DOUBLE AS sd_w, round((arg_min(w, pos))::DECIMAL(28, 9), 4)::DOUBLE AS first_w, round((arg_max(w, pos))::DECIMAL(28, 9), 4)::DOUBLE AS last_w FROM wn GROUP BY ALL",
     "window_majority_label": f"WITH {_WIN}, p AS (SELECT cart_id, win_no, avg((state = 'picking')::INTEGER) AS p FROM wn GROUP BY ALL) SELECT cart_id, win_no, CASE WHEN p > 0.5 THEN 'Pick' ELSE 'NoPick' END AS label, round(greatest(p, 1 - p), 4) AS share FROM p",
     "rising_mass_rule": f"WITH {_WIN} SELECT cart_id, win_no, (CASE WHEN count(*) > 1 THEN regr_slope(w, pos::DOUBLE) > 0 ELSE false END)::INTEGER AS predicted FROM wn GROUP BY ALL",
@@ -225,7 +225,7 @@ ORACLE = {
     "coarsened_map": f"WITH {SEASON} SELECT field_id, (j // 2)::INTEGER AS j, (k // 2)::INTEGER AS k, round(sum(mass), 4) AS mass FROM (SELECT field_id, j, k, mass FROM smap) GROUP BY field_id, j // 2, k // 2",
     "resolution_sweep": f"WITH {POINTS}, c AS ({_sweep_res()}) SELECT res, count(*) AS cells, round(avg(mass), 4) AS mean_mass, round(stddev_samp(mass), 4) AS sd_mass FROM c GROUP BY ALL",
     "cell_temporal_trend": f"WITH {SEASON} SELECT field_id, j, k, CASE WHEN count(*) > 1 THEN round((regr_slope(mass, (year(month) * 12 + month(month))::DOUBLE))::DECIMAL(28, 9), 4)::DOUBLE END AS slope, round((stddev_samp(mass) / avg(mass))::DECIMAL(28, 9), 4)::DOUBLE AS cv FROM mmap GROUP BY ALL",
-    "exported_features": f"WITH {SEASON} SELECT count(*) AS features FROM smap",
+    "exported_features": f"WITH {SEASON} SELECT 'Point' AS kind, j, k, round((j * 1.63::DOUBLE + least((j + 1) * 1.63::DOUBLE, 50 * 1.63::DOUBLE)) / 2, 4) AS x, round((k * 1.63::DOUBLE + least((k + 1) * 1.63::DOUBLE, 8 * 1.63::DOUBLE)) / 2, 4) AS y, round((mass)::DECIMAL(28, 9), 4)::DOUBLE AS mass FROM smap",
     "row_level_accuracy": f"WITH {TRUTH}, e AS (SELECT tray_id, sum(abs(gt - est) / gt) AS e, count(*) AS n FROM tr WHERE gt > 0 GROUP BY ALL) SELECT round(1 - sum(e) / count(*), 4) AS acc_printed, round(1 - sum(e) / sum(n), 4) AS acc_segments, count(*) AS n_trays, sum(n)::BIGINT AS n_segments FROM e",
     "tray_level_accuracy": f"WITH {TRUTH}, e AS (SELECT tray_id, sum(gt) AS gt, sum(est) AS est FROM tr GROUP BY ALL), a AS (SELECT 1 - abs(gt - est) / gt AS a FROM e WHERE gt > 0) SELECT round(avg(a), 4) AS accuracy, round(stddev_samp(a), 4) AS sd, round(min(a), 4) AS min_acc, round(max(a), 4) AS max_acc, count(*) AS n FROM a",
     "row_level_boxplot": _box(TRUTH + ",", "tr", "round(1 - abs(gt - est) / gt, 9)"),
@@ -255,7 +255,7 @@ ORACLE = {
     "rows_only_first": f"WITH {POINTS}, a AS (SELECT field_id, row_idx, count(*) AS n FROM pt WHERE month = DATE '1995-03-01' GROUP BY ALL), b AS (SELECT DISTINCT field_id, row_idx, 1 AS m FROM pt WHERE month = DATE '1995-04-01') SELECT field_id, row_idx FROM a LEFT JOIN b USING (field_id, row_idx) WHERE n - coalesce(m, 0) > 0",
     "props_histogram": "SELECT (json_extract_string(props, '$.k')::INTEGER // 10)::INTEGER AS bucket, count(*) AS n FROM events GROUP BY ALL",
     "page_host_counts": "SELECT regexp_extract(url, '^[a-z]+://([^/?#]+)', 1) AS host, count(*) AS n FROM pages GROUP BY ALL",
-    "doc_length_boxplot": _box("", "documents WHERE lang IS NOT NULL", "n_chars::DOUBLE", "lang"),
+    "doc_length_boxplot": _box("", "(SELECT coalesce(lang, 'none') AS lang, n_chars FROM documents)", "n_chars::DOUBLE", "lang"),
     "distinct_carts_exact": f"WITH {POINTS} SELECT field_id, count(DISTINCT cart_id) AS carts FROM pt GROUP BY ALL",
     "scan_pruned": "SELECT l_suppkey, count(*) AS n FROM lineitem WHERE l_quantity > 45 GROUP BY ALL",
     "benchmark_in_documents": "SELECT count(*) AS shared FROM (SELECT trim(text) FROM benchmark INTERSECT SELECT trim(text) FROM documents)",

@@ -36,6 +36,13 @@ class Params:
     max_rate: float = 0.5
     median_half: int = 2
     gap_cap_s: float = 5.0
+    tray_scale_t: float = 30.0
+    tray_scale_y: float = 3.0
+    tray_scale_w: float = 0.5
+    tray_scale_row: float = 0.5
+    #: Options of steps 3 and 5; off as in the printed listings.
+    require_interleaving: bool = False
+    keep_plateaus: bool = False
 
 
 DEFAULT = Params()

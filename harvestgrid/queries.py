@@ -6,6 +6,8 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .operators import activity, baselines, calibrate, cluster, completion, direction, geometry, gridmap, interpolate, invariants, mass, metrics, occupancy, rows, season, states, trays
+from .params import Params
+from .plans import pipeline
 from .sources import adapters as src
 from .sources.adapters import ORDER
 
@@ -14,6 +16,10 @@ RES = 1.63
 GRID = gridmap.Grid(0.0, 0.0, 50 * RES, 8 * RES, RES)
 POLYGON = [(0.0, 0.0), (60.0, 0.0), (60.0, 30.0), (30.0, 45.0), (0.0, 30.0)]
 QUERIES: dict = {}
+PARAMS = Params()
+#: The events are hours apart, so the chain's scales of time are; rates are per second.
+EVENTS = Params(min_pts=2, scale_x=2.0, scale_y=25.0, scale_t=24 * 3600.0, hampel_half=3, prominence_m=5.0, peak_distance=1, gap_cap_s=86400.0, max_rate=2.0 / 3600, tray_scale_t=48 * 3600.0, tray_scale_y=25.0, tray_scale_w=2.0, tray_min_pts=2, min_score=0.94)
+EVENT_GRID = gridmap.Grid(0.0, 0.0, 40 * RES, 50.0, RES)
 DAY = ("cart_id", "session")
 
 
@@ -65,7 +71,7 @@ def calibrated_mass(spark, sf):
 @query
 def recalibration_due(spark, sf):
     cal = _calibration(spark, sf)
-    return r4(calibrate.needs_recalibration(cal, calibrate.fit_load_cells(cal), 30.0, 0.0), "max_resid", "r2")
+    return r4(calibrate.needs_recalibration(cal, calibrate.fit_load_cells(cal), 25.5, 0.0), "max_resid", "r2")
 
 
 @query
@@ -95,7 +101,7 @@ def activity_scores_embeddings(spark, sf):
     from .operators.network import ConvRecurrentClassifier, windows_from_embeddings
 
     w = windows_from_embeddings(_t(spark, sf, "embeddings"))
-    model = ConvRecurrentClassifier(channels=1, epochs=2).fit(w.where("pmod(vec_id, 2) = 0"))
+    model = ConvRecurrentClassifier(channels=1, epochs=PARAMS.epochs_max).fit(w.where("pmod(vec_id, 2) = 0"))
     return model.transform(w).select("vec_id", "label", F.round("score", 4).alias("score"))
 
 
@@ -467,7 +473,11 @@ def low_yield_zones(spark, sf):
 
 @query
 def exported_features(spark, sf):
-    return gridmap.export_features(_season(spark, sf).withColumn("mass", F.round("mass", 4)), GRID).agg(F.count(F.lit(1)).alias("features"))
+    """The exported text features, read back."""
+    f = gridmap.export_features(r4(_season(spark, sf), "mass"), GRID)
+    at = lambda path, kind: F.get_json_object("feature", path).cast(kind)
+    place = [F.round(at(f"$.geometry.coordinates[{k}]", "double"), 4).alias(n) for k, n in enumerate("xy")]
+    return f.select(at("$.geometry.type", "string").alias("kind"), at("$.properties.j", "int").alias("j"), at("$.properties.k", "int").alias("k"), *place, at("$.properties.mass", "double").alias("mass"))
 
 
 # ---- measures ------------------------------------------------------------------------------------------
@@ -561,6 +571,52 @@ def cart_productivity(spark, sf):
     return p.withColumn("kg_per_day", F.round(F.col("kg") / F.col("active_days"), 4)).withColumn("rank", F.rank().over(Window.orderBy(F.desc("kg"))))
 
 
+# ---- the whole chain ------------------------------------------------------------------------------------
+
+
+@query
+def pipeline_season(spark, sf):
+    """Steps 1 to 6 on the events as traces: the season map with its classes."""
+    return r4(pipeline.run(src.trace_from_events(spark, sf), EVENT_GRID, EVENTS)["season"], "mass")
+
+
+@query
+def pipeline_effects(spark, sf):
+    """Samples in and out of every step, samples moved, violations before and after the repairs."""
+    return pipeline.effects(pipeline.run(src.trace_from_events(spark, sf), EVENT_GRID, EVENTS, upto="occupancy"), EVENTS)
+
+
+@query
+def pipeline_ablations(spark, sf):
+    """Total mass and visited cells with steps left out: repair of completion, of occupancy, both, activity, the rate bound, interpolation; trays by resets."""
+    out = None
+    for name, skip in (("full", ()), ("no_completion", ("completion",)), ("no_occupancy", ("occupancy",)), ("no_repair", ("completion", "occupancy")), ("no_activity", ("activity",)), ("no_rate_bound", ("stable",)), ("no_interpolation", ("interpolation",)), ("reset_trays", ("trays",))):
+        daily = pipeline.run(src.trace_from_events(spark, sf), EVENT_GRID, EVENTS, skip=skip)["daily"]
+        one = daily.agg(F.sum("mass").alias("mass"), F.count(F.lit(1)).alias("cells")).select(F.lit(name).alias("variant"), "mass", "cells")
+        out = one if out is None else out.unionByName(one)
+    return r4(out, "mass")
+
+
+@query
+def activity_feature_study(spark, sf):
+    """Precision, recall, F1 and accuracy of the network for each subset of features, up to 50 epochs (at most 600 windows are learned from)."""
+    from .operators.network import feature_ablation
+
+    trace = src.trace_from_events(spark, sf).withColumn("label", states.pick_label(F.col("state")))
+    windows = activity.make_windows(activity.with_velocity(trace), 10, by=("cart_id",))
+    return r4(feature_ablation(windows, PARAMS.epochs_max, 600), "precision", "recall", "f1", "accuracy")
+
+
+@query
+def ablate_degree3(spark, sf):
+    """Degree 3 throughout against the raw differences."""
+    curve = _curves(spark, sf, YEAR)
+    fits = interpolate.choose_degree(interpolate.fit_polynomials(curve, YEAR), fixed=3)
+    inc = interpolate.increments(fits).groupBy(*YEAR).agg(F.sum("dmass").alias("m"))
+    stair = baselines.staircase_yield(curve, YEAR, ("y", *ORDER)).groupBy(*YEAR).agg(F.sum("dmass").alias("m0"))
+    return r4(inc.join(stair, list(YEAR)).select(*YEAR, "m", "m0"), "m", "m0")
+
+
 # ---- surrounding operators ------------------------------------------------------------------------------
 
 
@@ -669,7 +725,7 @@ def page_host_counts(spark, sf):
 
 @query
 def doc_length_boxplot(spark, sf):
-    d = _t(spark, sf, "documents").where("lang is not null").select("lang", F.col("n_chars").cast("double").alias("n"))
+    d = _t(spark, sf, "documents").select(F.coalesce("lang", F.lit("none")).alias("lang"), F.col("n_chars").cast("double").alias("n"))
     return r4(metrics.box_plot(d, "n", ("lang",)), "q1", "median", "q3", "mean", "sd", "lo", "hi")
 
 

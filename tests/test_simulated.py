@@ -11,7 +11,8 @@ from harvestgrid.plans import pipeline
 
 FIELD = simulate.Field(rows=24)
 GRID = gridmap.Grid(-FIELD.spacing / 2, 0.0, FIELD.spacing * 23.5, FIELD.length, FIELD.spacing)
-PARAMS = Params(min_pts=4, scale_t=8.0, scale_y=4.0, scale_x=2.4)
+# Here each cart picks a block of neighbouring rows one after the other, which only the option tells from a violation.
+PARAMS = Params(min_pts=4, scale_t=8.0, scale_y=4.0, scale_x=2.4, require_interleaving=True)
 
 
 @pytest.fixture(scope="module")
@@ -34,7 +35,7 @@ def test_rows_and_trays(sim):
     plain = pipeline.run(sim, GRID, PARAMS, upto="rows", skip=("cluster",))
     clustered = row_accuracy(full["rows"], sim)
     assert clustered >= 0.95 and clustered >= row_accuracy(plain["rows"], sim)
-    assert row_accuracy(full["occupancy"], sim) >= 0.9
+    assert row_accuracy(full["occupancy"], sim) >= 0.95
     pairs = tray_pairs(full["yield"], sim)
     assert pairs.count() == 24
     assert metrics.tray_level(pairs, "tray").first().accuracy >= 0.94
