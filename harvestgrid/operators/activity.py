@@ -51,6 +51,16 @@ def make_windows(trace: DataFrame, size: int = 100, stride: int | None = None, f
     return rows.groupBy(*by, "win_no").agg(*aggs)
 
 
+def sample_windows(windows: DataFrame, shares: dict[str, float], by: str = "label", seed: int = 7) -> DataFrame:
+    """A share of the windows of each class, to learn from: the same rows in every run and under every partitioning; classes not named go."""
+    key = [c for c in windows.columns if c != by and not windows.schema[c].dataType.typeName() == "map"]
+    draw = F.pmod(F.xxhash64(F.lit(seed), *key), F.lit(1 << 30)) / F.lit(float(1 << 30))
+    chance = F.lit(0.0)
+    for name, share in shares.items():
+        chance = F.when(F.col(by) == name, F.lit(float(share))).otherwise(chance)
+    return windows.where(draw < chance)
+
+
 def window_summaries(trace: DataFrame, size: int, by=("cart_id",), w: str = "w") -> DataFrame:
     return numbered(trace, size, by).groupBy(*by, "win_no").agg(
         F.count(F.lit(1)).alias("n"), F.avg(w).alias("mean_w"), F.stddev_samp(w).alias("sd_w"), F.min_by(w, "pos").alias("first_w"), F.max_by(w, "pos").alias("last_w")

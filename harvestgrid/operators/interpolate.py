@@ -7,7 +7,7 @@ from the same sums, so a group's samples are shuffled as a few numbers.
 
 from __future__ import annotations
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.shared import keep
@@ -45,18 +45,19 @@ def fit_polynomials(df: DataFrame, by, y: str = "y", w: str = "w", max_degree: i
     A degree needs more distinct positions than itself; constant mass scores 1 with degree 1.
     """
     by = list(by)
-    scale = df.groupBy(*by).agg(
-        F.min(y).alias("y_min"), F.max(y).alias("y_max"), F.avg(w).alias("w_mean"), F.count(F.lit(1)).alias("n"), F.count_distinct(F.col(y)).alias("n_distinct")
-    )
-    scale = scale.withColumns({"centre": (F.col("y_min") + F.col("y_max")) / 2, "half": (F.col("y_max") - F.col("y_min")) / 2})
+    # Extent and mean ride along as window columns, so the samples are computed and shuffled once and never joined to anything.
+    whole = Window.partitionBy(*by)
+    rows = df.select(*by, y, w).withColumns({"y_min": F.min(y).over(whole), "y_max": F.max(y).over(whole), "w_mean": F.avg(w).over(whole)})
+    rows = rows.withColumns({"centre": (F.col("y_min") + F.col("y_max")) / 2, "half": (F.col("y_max") - F.col("y_min")) / 2})
     u = F.when(F.col("half") > 0, (F.col(y) - F.col("centre")) / F.col("half")).otherwise(0.0)
     v = F.col(w) - F.col("w_mean")
-    rows = df.select(*by, y, w).join(scale, by).withColumns({"_u": u, "_v": v})
+    rows = rows.withColumns({"_u": u, "_v": v})
     power = lambda k: F.lit(1.0) if k == 0 else F.pow("_u", F.lit(float(k)))
     sums = [F.sum(power(k)).alias(f"s{k}") for k in range(2 * max_degree + 1)]
     mixed = [F.sum(power(k) * F.col("_v")).alias(f"m{k}") for k in range(max_degree + 1)]
-    held = ("y_min", "y_max", "centre", "half", "n", "n_distinct", "w_mean")
-    fits = rows.groupBy(*by).agg(*sums, *mixed, F.sum(F.col("_v") * F.col("_v")).alias("vv"), *[F.first(c).alias(c) for c in held])
+    held = ("y_min", "y_max", "centre", "half", "w_mean")
+    counts = [F.count(F.lit(1)).alias("n"), F.count_distinct(F.col(y)).alias("n_distinct")]
+    fits = rows.groupBy(*by).agg(*sums, *mixed, F.sum(F.col("_v") * F.col("_v")).alias("vv"), *counts, *[F.first(c).alias(c) for c in held])
     s, r = [f"s{k}" for k in range(2 * max_degree + 1)], [f"m{k}" for k in range(max_degree + 1)]
     for d in range(1, max_degree + 1):
         fits = _staged_solve(fits, d, s, r)

@@ -11,6 +11,8 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.shared import keep, shared_folder
+
 LATENESS = "2 days"
 
 
@@ -43,11 +45,16 @@ def session_trays(events: DataFrame, gap: str = "12 hours") -> DataFrame:
 
 
 def run_to_table(spark: SparkSession, sf_dir: str, job, name: str) -> DataFrame:
-    """Run what is available once in complete mode and return the result table."""
-    sink = f"{name}_{uuid.uuid4().hex[:8]}"
-    q = job(source(spark, sf_dir)).writeStream.outputMode("complete").format("memory").queryName(sink).trigger(availableNow=True).start()
+    """Run what is available once in complete mode and return the result: a table of files that every batch writes anew, with its checkpoint beside it."""
+    folder = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    result = job(source(spark, sf_dir))
+
+    def write(batch: DataFrame, batch_id: int) -> None:
+        batch.write.mode("overwrite").parquet(f"{folder}/table")
+
+    q = result.writeStream.outputMode("complete").foreachBatch(write).option("checkpointLocation", f"{folder}/checkpoint").trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(sink)
+    return spark.read.schema(result.schema).parquet(f"{folder}/table")
 
 
 def upsert_daily_map(path: str):
@@ -64,7 +71,7 @@ def upsert_daily_map(path: str):
             old = None
         new = batch.select("field_id", "day", "j", "k", "mass").withColumn("batch_id", F.lit(batch_id))
         both = new if old is None else new.unionByName(old.select(*new.columns))
-        both.checkpoint().write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("day").parquet(path)
+        keep(both).write.mode("overwrite").option("partitionOverwriteMode", "dynamic").partitionBy("day").parquet(path)
 
     return run
 
