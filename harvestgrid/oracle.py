@@ -259,6 +259,8 @@ ORACLE = {
     "distinct_carts_exact": f"WITH {POINTS} SELECT field_id, count(DISTINCT cart_id) AS carts FROM pt GROUP BY ALL",
     "scan_pruned": "SELECT l_suppkey, count(*) AS n FROM lineitem WHERE l_quantity > 45 GROUP BY ALL",
     "benchmark_in_documents": "SELECT count(*) AS shared FROM (SELECT trim(text) FROM benchmark INTERSECT SELECT trim(text) FROM documents)",
+    "sampled_cart_days": f"WITH {TRACE} SELECT cart_id, session, count(*) AS n FROM trace WHERE ('0x' || substr(md5(cart_id || '|' || session), 1, 8))::BIGINT / 4294967296 < 0.1::DOUBLE GROUP BY ALL",
+    "sampled_per_state": "SELECT event_id, event_type, user_id FROM events QUALIFY row_number() OVER (PARTITION BY event_type ORDER BY substr(md5(event_id::VARCHAR), 1, 8), event_id) <= 20",
     "stream_window_mass": "SELECT strftime(ts, '%Y-%m-%d') AS day, (user_id % 2)::INTEGER AS field_id, round(sum(0.05::DOUBLE * value), 4) AS mass, count(*) AS n FROM events GROUP BY ALL",
     "stream_session_trays": "WITH g AS (SELECT *, epoch_us(ts) AS t, CASE WHEN epoch_us(ts) - lag(epoch_us(ts)) OVER (PARTITION BY user_id ORDER BY ts) < 43200000000 THEN 0 ELSE 1 END AS c FROM events), h AS (SELECT *, sum(c) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS no FROM g) SELECT user_id AS cart_id, min(t) AS t_start, round(sum(0.05::DOUBLE * value), 4) AS mass, count(*) AS n FROM h GROUP BY user_id, no",
     "low_yield_zones": f"WITH RECURSIVE {SEASON}, st AS (SELECT field_id, avg(mass) AS mu, coalesce(stddev_samp(mass), 0) AS sd FROM smap GROUP BY ALL), low AS (SELECT field_id, j, k, mass FROM smap JOIN st USING (field_id) WHERE mass <= mu - sd), "

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from .operators import activity, baselines, calibrate, cluster, completion, direction, geometry, gridmap, interpolate, invariants, mass, metrics, occupancy, rows, season, states, trays
+from .operators import activity, baselines, calibrate, cluster, completion, direction, geometry, gridmap, interpolate, invariants, mass, metrics, occupancy, rows, sampling, season, states, trays
 from .params import Params
 from .plans import pipeline
 from .sources import adapters as src
@@ -751,6 +751,20 @@ def benchmark_in_documents(spark, sf):
     return b.intersect(_t(spark, sf, "documents").select(F.trim("text").alias("t"))).agg(F.count(F.lit(1)).alias("shared"))
 
 
+@query
+def sampled_cart_days(spark, sf):
+    """Samples of about a tenth of the cart-days, each whole."""
+    t = src.trace_from_events(spark, sf)
+    return sampling.sample_keys(t, 0.1, "cart_id", "session").groupBy("cart_id", "session").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query
+def sampled_per_state(spark, sf):
+    """Twenty events of each type."""
+    e = _t(spark, sf, "events").select("event_id", "event_type", "user_id")
+    return sampling.sample_per_group(e, 20, ["event_type"], "event_id")
+
+
 # ---- streaming ----------------------------------------------------------------------------------------------
 
 
