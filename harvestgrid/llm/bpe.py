@@ -28,6 +28,9 @@ from .common import slices
 #: White space of the tokenizer's pattern engine.
 _SPACE = r"\t-\r \x85\xa0  -     　"
 _WORDS = regex.compile(rf"'s|'t|'re|'ve|'m|'ll|'d|\p{{L}}+|\p{{N}}|[^{_SPACE}\p{{L}}\p{{N}}]+")
+#: Steps of a vocabulary file that this module takes: normalisers, then cutters.
+STEPS = [("NFC", None), ("Replace", r"\s+"), ("Lowercase", None)]
+CUTS = [("Split", "Removed", True, None), ("ByteLevel", None, None, False)]
 _NONE = np.iinfo(np.int64).max
 #: Encoded words that a worker keeps at most; beyond it the table starts anew.
 WORDS_KEPT = 300_000
@@ -47,11 +50,23 @@ def byte_letters() -> list[str]:
     return [chr(b) if b in kept else chr(next(rest)) for b in range(256)]
 
 
+def check_steps(spec: dict) -> None:
+    """A file whose steps aren't those that this module takes is refused, not encoded wrongly."""
+    normal = [(n["type"], n.get("pattern", {}).get("Regex")) for n in (spec["normalizer"] or {}).get("normalizers", [])]
+    cuts = [(c["type"], c.get("behavior"), c.get("invert"), c.get("add_prefix_space")) for c in (spec["pre_tokenizer"] or {}).get("pretokenizers", [])]
+    model = spec["model"]
+    plain = not any(model.get(k) for k in ("dropout", "continuing_subword_prefix", "byte_fallback", "ignore_merges")) and not spec.get("decoder")
+    special = all(not t["normalized"] and not any(t[k] for k in ("single_word", "lstrip", "rstrip")) for t in spec["added_tokens"])
+    if normal != STEPS or cuts != CUTS or model["type"] != "BPE" or not plain or not special:
+        raise ValueError("this vocabulary file has other steps than NFC, white space, lower case, word cutting and byte letters")
+
+
 class WordBpe:
     """Encoder and decoder of one vocabulary file."""
 
     def __init__(self, definition: bytes):
         spec = json.loads(definition)
+        check_steps(spec)
         vocab = dict(spec["model"]["vocab"])
         end = spec["model"].get("end_of_word_suffix") or ""
         self.special = {t["content"]: t["id"] for t in spec["added_tokens"]}
@@ -116,7 +131,7 @@ class WordBpe:
         """Words of a text in order; special tokens as their ids."""
         if not text:
             return []
-        parts = self._cut.split(text) if self._cut is not None and "<|" in text else [text]
+        parts = self._cut.split(text) if self._cut is not None else [text]
         found: list[str | int] = []
         for part in parts:
             if part in self.special:

@@ -30,7 +30,7 @@ from .common import fold, slices, uniform
 
 #: Labelled documents per class to learn from (about; a documented bound), bytes of a block, level, bytes of a dictionary.
 SAMPLE, BLOCK, LEVEL, DICTIONARY = 1500, 512, 3, 112_640
-#: Bytes of text per class that a dictionary is trained on at most.
+#: Bytes of text per class that a dictionary is trained on at most (a documented bound, like the sample; whole texts, the first one always).
 TRAIN_BYTES = 16 << 20
 
 
@@ -85,7 +85,7 @@ class QualityModel:
         return 1 / (1 + np.exp(-np.clip(self._design(x) @ self.weights, -30, 30)))
 
 
-def train(texts: list[tuple[bytes, int]], share: dict[int, float] | None = None, ridge: float = 1.0) -> QualityModel:
+def train(texts: list[tuple[bytes, int]], share: dict[int, float] | None = None, ridge: float = 1.0, train_bytes: int = TRAIN_BYTES) -> QualityModel:
     """``texts`` in any fixed order; two of three build the dictionaries, the third calibrates. ``share``: each label's share of all labelled rows."""
     by = {q: [t for t, label in texts if label == q] for q in (0, 1)}
     total = len(by[0]) + len(by[1])
@@ -96,7 +96,7 @@ def train(texts: list[tuple[bytes, int]], share: dict[int, float] | None = None,
     for q, rows in by.items():
         learn[q] = [t for k, t in enumerate(rows) if k % 3 != 2]
         calibrate[q] = [t for k, t in enumerate(rows) if k % 3 == 2] or rows
-        room, kept = TRAIN_BYTES, []
+        room, kept = train_bytes, []
         for t in learn[q]:
             room -= len(t)
             if room < 0 and kept:
@@ -122,8 +122,11 @@ def train(texts: list[tuple[bytes, int]], share: dict[int, float] | None = None,
     return model
 
 
-def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int = SAMPLE) -> QualityModel:
-    """Learn from about ``sample`` labelled documents per class outside the held-out fold."""
+def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int = SAMPLE, train_bytes: int = TRAIN_BYTES) -> QualityModel:
+    """Learn from about ``sample`` labelled documents per class outside the held-out fold, dictionaries from ``train_bytes`` of their text at most.
+
+    Labelled rows whose text is null are no examples; they count in each label's share.
+    """
     known = labels.where(F.col(label).isin(0, 1) & (fold(F.col("doc_id"), 3) != 1)).select(F.col("doc_id").alias("of"), F.col(label).cast("int").alias("label"))
     per = {r.label: r.n for r in known.groupBy("label").agg(F.count(F.lit(1)).alias("n")).collect()}
     total = max(1, sum(per.values()))
@@ -133,7 +136,7 @@ def fit(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int
     # The sample is bounded by the parameter, so it may be broadcast.
     rows = docs.where(F.col("text").isNotNull()).join(F.broadcast(picked), F.col("doc_id") == F.col("of"))
     got = sorted({(r.key, r.of, r.text, r.label) for r in rows.select(key.alias("key"), "of", "text", "label").collect()})
-    return train([(t.encode(), q) for _, _, t, q in got], {q: per.get(q, 0) / total for q in (0, 1)})
+    return train([(t.encode(), q) for _, _, t, q in got], {q: per.get(q, 0) / total for q in (0, 1)}, train_bytes=train_bytes)
 
 
 def _score_batches(shared):

@@ -148,12 +148,12 @@ class LanguageModel:
         return [(w, self.labels[k]) for w, k in zip(words, self.posteriors([words])[0].argmax(axis=1))] if words else []
 
 
-def train(texts: list[tuple[str, str]], rounds: int = 3, rate: float = 0.3, seed: int = 7) -> LanguageModel:
+def train(texts: list[tuple[str, str]], rounds: int = 3, rate: float = 0.3, seed: int = 7, train_words: int = TRAIN_WORDS) -> LanguageModel:
     """Fit from (text, label) pairs by adaptive gradient steps on batches of chains."""
     labels = sorted({label for _, label in texts})
     docs = [(words_of(t), labels.index(label)) for t, label in texts]
     docs = [d for d in docs if d[0]]
-    each = max(1, TRAIN_WORDS // max(1, len(docs)))
+    each = max(1, train_words // max(1, len(docs)))
     pieces = []
     for words, label in docs:  # evenly spread chains, so that long texts don't crowd out the others
         starts = range(0, len(words), 40)
@@ -211,8 +211,8 @@ def train(texts: list[tuple[str, str]], rounds: int = 3, rate: float = 0.3, seed
     return LanguageModel(labels, lexicon, weights.astype(np.float32), trans)
 
 
-def fit(docs: DataFrame, sample: int = SAMPLE) -> LanguageModel:
-    """Train on about ``sample`` documents per language, none of the held-out fold."""
+def fit(docs: DataFrame, sample: int = SAMPLE, train_words: int = TRAIN_WORDS) -> LanguageModel:
+    """Train on about ``sample`` documents per language, none of the held-out fold, and on about ``train_words`` of their words at most, evenly spread."""
     learn = docs.where(F.col("lang").isNotNull() & F.col("text").isNotNull() & (fold(F.col("doc_id"), 4) != 2))
     per = {r.lang: r.n for r in learn.groupBy("lang").agg(F.count(F.lit(1)).alias("n")).collect()}
     chance = F.lit(0.0)
@@ -220,7 +220,7 @@ def fit(docs: DataFrame, sample: int = SAMPLE) -> LanguageModel:
         chance = F.when(F.col("lang") == lang, F.lit(min(1.0, sample / n))).otherwise(chance)
     picked = learn.where(uniform(F.col("doc_id"), salt="langid") < chance).select("doc_id", "text", "lang")
     rows = sorted({(r.doc_id, r.text, r.lang) for r in picked.collect()})
-    return train([(t, lang) for _, t, lang in rows])
+    return train([(t, lang) for _, t, lang in rows], train_words=train_words)
 
 
 _KEPT: dict[str, dict] = {}

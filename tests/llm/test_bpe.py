@@ -44,3 +44,23 @@ def test_round_trip_rows(spark, both):
     back = bpe.decode(bpe.encode(spark.createDataFrame(rows[:6], "doc_id long, text string, z string"))).collect()
     assert [r.text for r in back] == [lib.decode(lib.encode(t or "").ids, skip_special_tokens=False) for _, t, _ in rows[:6]]
     assert bpe.round_trip(spark.createDataFrame([], "doc_id long, text string")).count() == 0
+
+
+def test_other_steps_are_refused(both):
+    import json
+
+    spec = json.loads(open(bpe.default_vocabulary(), "rb").read())
+    for change in ({"normalizer": None}, {"pre_tokenizer": {"pretokenizers": spec["pre_tokenizer"]["pretokenizers"][:1]}}, {"decoder": {"type": "ByteLevel"}}):
+        with pytest.raises(ValueError):
+            bpe.WordBpe(json.dumps(spec | change).encode())
+
+
+def test_special_tokens_of_any_form(both):
+    import json
+
+    spec = json.loads(open(bpe.default_vocabulary(), "rb").read())
+    spec["added_tokens"][0]["content"] = "[BEGIN]"
+    changed = json.dumps(spec)
+    lib, own = tokenizers.Tokenizer.from_str(changed), bpe.WordBpe(changed.encode())
+    for t in ("a [BEGIN] b", "[BEGIN][begin]", "x<|endoftext|>[BEGIN"):
+        assert own.encode(t).tolist() == lib.encode(t, add_special_tokens=False).ids

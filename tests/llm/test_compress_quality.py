@@ -28,3 +28,40 @@ def test_rows_and_held_out_accuracy(spark):
 
 def test_blocks_keep_everything():
     assert cq.blocks(b"") == [b""] and b"".join(cq.blocks(b"x" * 1300)) == b"x" * 1300
+
+
+def test_query_against_plain_version(spark):
+    import math
+
+    import zstandard
+
+    from harvestgrid.llm.queries import QUERIES
+
+    sf = "/root/testdata/sf0.01"
+    docs, labels = (spark.read.parquet(f"{sf}/{t}.parquet") for t in ("documents", "labels"))
+    got = {r.doc_id: r for r in QUERIES["op2_compression_quality"](spark, sf).collect()}
+    model = cq.fit(docs, labels)
+
+    def packed(text, content):
+        d = zstandard.ZstdCompressionDict(content)
+        d.precompute_compress(level=cq.LEVEL)
+        packer = zstandard.ZstdCompressor(level=cq.LEVEL, dict_data=d, write_content_size=False, write_dict_id=False)
+        return sum(len(packer.compress(text[a : a + cq.BLOCK])) for a in range(0, max(1, len(text)), cq.BLOCK))
+
+    rows = docs.select("doc_id", "text").collect()
+    assert len(got) == len(rows)
+    for r in rows[::10]:  # a fresh packer a text is slow
+        text = (r.text or "").encode()
+        good, bad = packed(text, model.good), packed(text, model.bad)
+        n = max(1, len(text))
+        x = [(bad - good) / (bad + good), min(good / n, 4.0), min(bad / n, 4.0)]
+        z = [max(-5.0, min(5.0, (v - c) / s)) for v, c, s in zip(x, model.centre, model.spread)]
+        total = sum(w * v for w, v in zip(model.weights, [1.0, *z, *[v * v for v in z]]))
+        want = 1 / (1 + math.exp(-max(-30.0, min(30.0, total))))
+        assert abs(got[r.doc_id].score - want) < 1e-9 and got[r.doc_id].predicted == (got[r.doc_id].score >= 0.5)
+        assert got[r.doc_id].held_out == (zlib.crc32(str(r.doc_id).encode()) % 3 == 1)
+
+
+def test_bytes_to_train_on():
+    texts = [(bytes([65 + k % 20]) * 400 + b" word" * 30, k % 2) for k in range(60)]
+    assert cq.train(texts, train_bytes=600).good != cq.train(texts).good

@@ -51,3 +51,55 @@ def test_rows(spark, sf):
     assert kept.columns == both.columns and kept.count() == 1003
     assert crf.predict(docs.limit(0), crf.fit(docs.limit(0))).count() == 0
     assert {r.lang_pred for r in crf.predict(docs.limit(5), crf.fit(docs.limit(0))).collect()} == {"und"}
+
+
+def plain_prediction(text, model, cache):
+    """Word by word, gram by gram, in logarithms."""
+    full = (1 << 64) - 1
+    a, b = 0x9E3779B97F4A7C15, 0xC2B2AE3D27D4EB4F
+
+    def emission(word):
+        if word not in cache:
+            marked = [ord(x) for x in f"\x02{word}\x03"]
+            found = [crf.BUCKETS + model.lexicon[word]] if word in model.lexicon else []
+            for n in (2, 3, 4, 5):
+                for at in range(len(marked) - n + 1):
+                    if n < 4 or at == 0 or at + n == len(marked):
+                        code = marked[at] * a & full
+                        for k in range(1, n):
+                            code = (code * b + marked[at + k] * a + k + 1) & full
+                        found.append((code * b & full) >> 40 & crf.BUCKETS - 1)
+            cache[word] = model.weights[found].astype(float).sum(axis=0) / max(1, len(found)) ** 0.5
+        return cache[word]
+
+    words, marginals = crf.words_of(text), []
+    if not words:
+        return "und", 0.0
+    for at in range(0, len(words), crf.CHAIN):
+        e = [emission(w) for w in words[at : at + crf.CHAIN]]
+        ahead = [e[0]]
+        for x in e[1:]:
+            ahead.append(np.logaddexp.reduce(ahead[-1][:, None] + model.trans, axis=0) + x)
+        back = [np.zeros(len(model.labels))]
+        for x in e[:0:-1]:
+            back.append(np.logaddexp.reduce(model.trans + (x + back[-1])[None, :], axis=1))
+        for f, g in zip(ahead, back[::-1]):
+            p = np.exp(f + g - np.logaddexp.reduce(f + g))
+            marginals.append(p)
+    mean = np.mean(marginals, axis=0)
+    return model.labels[int(mean.argmax())], float(mean.max())
+
+
+def test_query_against_plain_version(spark):
+    from harvestgrid.llm.queries import QUERIES
+
+    sf = "/root/testdata/sf0.001"
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    got = {r.doc_id: r for r in QUERIES["op6_crf_language"](spark, sf).collect()}
+    model, cache = crf.fit(docs), {}
+    rows = docs.select("doc_id", "text").collect()
+    assert len(got) == len(rows)
+    for r in rows:
+        lang, score = plain_prediction(r.text, model, cache)
+        assert got[r.doc_id].lang_pred == lang and abs(got[r.doc_id].score - score) < 1e-4
+        assert got[r.doc_id].held_out == (zlib.crc32(str(r.doc_id).encode()) % 4 == 2)
