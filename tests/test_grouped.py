@@ -4,7 +4,7 @@ import numpy as np
 import pytest
 from pyspark.sql import types as T
 
-from harvestgrid.operators import direction
+from harvestgrid.operators import cluster, direction
 from harvestgrid.operators.grouped import add_columns
 
 ADDED = T.StructType().add("before", T.DoubleType()).add("size", T.IntegerType())
@@ -43,3 +43,24 @@ def test_directions_need_no_call_per_group(spark):
     for out in (direction.travel_direction(df, ["k"], ["i"], prominence=0.5, distance=1), direction.filtered_direction(df, ["k"], ["i"], half_window=1, distance=1)):
         assert "FlatMapGroupsInPandas" not in out._jdf.queryExecution().executedPlan().toString()
         assert {(r.k % 2, r.direction) for r in out.collect()} == {(0, -1), (1, 1)}
+
+
+def test_clusters_need_no_call_per_group(spark):
+    rng = np.random.default_rng(5)
+    rows = [(int(g), i, float(x), float(y)) for g in range(30) for i, (x, y) in enumerate(rng.random((int(rng.integers(1, 90)), 2)) * 6)]
+    df = spark.createDataFrame(rows, "g long, src_id long, x double, y double").repartition(4)
+    out = cluster.group(df, ["g"], {"x": 1.0, "y": 1.0}, 1.0, 4)
+    assert "FlatMapGroupsInPandas" not in out._jdf.queryExecution().executedPlan().toString()
+    got = {(r.g, r.src_id): (r.is_core, r.cluster_id) for r in out.collect()}
+    for g in range(30):
+        mine = sorted((r for r in rows if r[0] == g), key=lambda r: (r[2], r[1]))
+        label, core = cluster.cluster_points(np.array([r[2:] for r in mine]), 1.0, 4)
+        assert [got[g, r[1]] for r in mine] == list(zip(core.tolist(), label.tolist()))
+
+
+def test_few_points_pair_as_by_cells():
+    rng = np.random.default_rng(6)
+    for d in (1, 2, 3, 4):
+        points = rng.random((60, d)) * 3
+        pairs = [sorted(zip(*(v.tolist() for v in near(points, 0.7)))) for near in (cluster._near_all, cluster._near_cells)]
+        assert len(pairs[0]) > 60 and pairs[0] == pairs[1]
