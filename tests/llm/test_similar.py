@@ -91,3 +91,69 @@ def test_repeated_ids_with_different_texts(spark):
         assert out.columns == df.columns
         got = sorted(((r.doc_id, r.text or "") for r in out.collect()), key=str)
         assert got == sorted([(1, words("a")), (1, words("b")), (3, words("c")), (None, words("d")), (4, "")], key=str)
+
+
+def test_large_block_of_passage_sharers_makes_few_pairs(spark):
+    """Texts that share most of a passage and near copies with many edits: pairs that are verified grow with the rows, not with their square."""
+    rng = random.Random(8)
+    word = lambda: "w%d" % rng.randrange(10**7)
+    passage = [word() for _ in range(90)]
+    texts = [[word() for _ in range(15)] + passage + [word() for _ in range(15)] for _ in range(500)]
+    base = [word() for _ in range(150)]
+    texts += [edited(base, rng.choice((1, 2, 4, 6, 8)), rng) for _ in range(250)]
+    rows = [(k, " ".join(t)) for k, t in enumerate(texts)]
+    made = []
+    plain, similar._verified = similar._verified, lambda pairs, sets: made.append(pairs.count()) or plain(pairs, sets)
+    try:
+        kept = [r.doc_id for r in similar.keep_first(spark.createDataFrame(rows, "doc_id long, text string").repartition(4)).collect()]
+    finally:
+        similar._verified = plain
+    assert sorted(kept) == brute_kept(rows)
+    assert sum(made) < 10 * len(rows)
+
+
+def test_fingerprints_bear_the_method():
+    """SimHash by a plain count of bits; tiles, slots and forms agree with all pairs; 0.8 stays within the radius."""
+    import numpy as np
+
+    rng = np.random.default_rng(5)
+    sets = [np.unique(rng.integers(0, 1 << 63, n, dtype=np.uint64)) for n in (1, 4, 300)]
+    for s in sets:
+        one = similar.fingerprint(s)
+        bits = np.stack([np.unpackbits(np.frombuffer(similar.fingerprint(s[k : k + 1]), np.uint8)) for k in range(len(s))])
+        assert np.array_equal(np.unpackbits(np.frombuffer(one, np.uint8)), bits.sum(axis=0) * 2 > len(s))
+    near = []
+    for n in (5, 9, 45, 400, 900):
+        for _ in range(60):
+            both = rng.integers(0, 1 << 63, n, dtype=np.uint64)
+            more = max(1, int(n / 0.8) - n)
+            near.append((np.unique(both), np.unique(np.concatenate([both, rng.integers(0, 1 << 63, more, dtype=np.uint64)]))))
+    for bits in (similar.BITS, similar.WIDE):
+        for a, b in near:
+            if len(a) >= 0.8 * len(b):
+                apart = np.bitwise_count(np.frombuffer(similar.fingerprint(a, bits), np.uint64) ^ np.frombuffer(similar.fingerprint(b, bits), np.uint64)).sum()
+                assert apart <= similar.radius(np.array([len(a)]), bits)[0]
+    flat = [s for p in near for s in p]
+    size = np.array([len(s) for s in flat])
+    sim = np.stack([np.frombuffer(similar.fingerprint(s), np.uint64) for s in flat])
+    root = np.arange(len(flat)) // 3
+    apart = np.bitwise_count(sim[:, None] ^ sim[None]).sum(axis=2)
+    low, high = np.minimum(size[:, None], size[None]), np.maximum(size[:, None], size[None])
+    want = (apart <= similar.radius(low)) & (5 * low >= 4 * high) & (root[:, None] != root[None]) & np.tri(len(flat), k=-1, dtype=bool)
+    got = set(zip(*(x.tolist() for x in similar.near_pairs(sim, size, size, root, "all"))))
+    assert got == set(zip(*(x.tolist() for x in np.nonzero(want))))
+    slot = rng.integers(0, 2, len(flat))
+    across = set(zip(*(x.tolist() for x in similar.near_pairs(sim, size, size, root, "all", slot))))
+    assert across == {(i, j) for i, j in got if slot[i] != slot[j]}
+    for form in ("first", "nearest"):
+        some = set(zip(*(x.tolist() for x in similar.near_pairs(sim, size, size, root, form))))
+        assert some <= got and {i for p in some for i in p} == {i for p in got for i in p}
+
+
+def test_large_blocks_dealt_to_several_tasks(spark, monkeypatch):
+    rng = random.Random(3)
+    base = ["w%d" % rng.randrange(10**6) for _ in range(200)]
+    rows = [(k, " ".join(edited(base, rng.choice((1, 3, 6, 9)), rng))) for k in range(90)]
+    monkeypatch.setattr(similar, "TILE_ROWS", 16)
+    got = sorted(r.doc_id for r in similar.keep_first(spark.createDataFrame(rows, "doc_id long, text string")).collect())
+    assert got == brute_kept(rows)
