@@ -34,7 +34,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import record_batch, slices, spool
+from .common import record_batch, sieve, slices, spool
 
 _EDGES = pa.schema([("u", pa.int64()), ("v", pa.int64())])
 _CHUNK = 1 << 15
@@ -272,12 +272,28 @@ def keep_first(docs: DataFrame, **options) -> DataFrame:
     return kept_of(docs, prints, ids)
 
 
+def row_name(doc_id: Column) -> Column:
+    """One value that says which row it is, by its id and the column digest; only repeated rows share it."""
+    return F.concat_ws(":", F.coalesce(doc_id.cast("string"), F.lit("")), "digest")
+
+
 def kept_of(docs: DataFrame, prints: DataFrame, ids: DataFrame) -> DataFrame:
-    """The kept rows by (doc_id, fp, digest of the text) of every row and (fp, root)."""
-    # One column says which row it is, so that the join and the removal of repeated rows share a distribution.
-    name = lambda i: F.concat_ws(":", F.coalesce(i.cast("string"), F.lit("")), "digest")
-    place = F.struct(F.col("doc_id").isNull().alias("nameless"), F.col("doc_id").alias("id"), "digest", name(F.col("doc_id")).alias("name"))
-    first = prints.join(ids.select("fp", "root"), "fp").groupBy("root").agg(F.min(place).alias("k"))
-    keep = spool(first.select("k.name"), "keep")
+    """The kept rows by (doc_id, fp, digest of the text) of every row and (fp, root).
+
+    Only rows that may go (of a name that isn't kept, or repeated) are shuffled; all others stay where they are read.
+    """
+    name = row_name(F.col("doc_id"))
+    place = F.struct(F.col("doc_id").isNull().alias("nameless"), F.col("doc_id").alias("id"), "digest", name.alias("name"))
+    least = prints.groupBy("fp").agg(F.min(place).alias("k"))  # copies collapse before the join
+    first = least.join(ids.select("fp", "root"), "fp").groupBy("root").agg(F.min("k").alias("k"))
+    keep = spool(first.select("k.name", F.xxhash64("k.name").alias("h")), "keep")
+    zero, one = F.lit(0).cast("long"), F.lit(1).cast("long")
+    seen = prints.select(F.xxhash64(name).alias("h"), one.alias("rows"), zero.alias("kept")).union(keep.select("h", zero, one))
+    doubt = spool(seen.groupBy("h").agg(F.sum("rows").alias("rows"), F.sum("kept").alias("kept")).where("rows > 1 or kept = 0").select("h"), "doubt")
+    passed = sieve(doubt)
     rows = docs.select(F.col("doc_id").cast("long").alias("id"), text_digest().alias("digest"), F.struct(*docs.columns).alias("row"))
-    return rows.select(name(F.col("id")).alias("name"), "row").join(keep, "name", "left_semi").dropDuplicates(["name"]).select("row.*")
+    rows = rows.select(row_name(F.col("id")).alias("name"), "row")
+    sure = passed(rows, F.xxhash64("name"), "left_anti").select("row")
+    # One column says which row it is, so that the join and the removal of repeated rows share a distribution.
+    held = passed(rows, F.xxhash64("name")).join(passed(keep, F.col("h")).select("name"), "name", "left_semi").dropDuplicates(["name"])
+    return sure.union(held.select("row")).select("row.*")

@@ -34,8 +34,8 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import record_batch, slices, spool
-from .simhash import components, kept_of, text_digest
+from .common import record_batch, sieve, slices, spool
+from .simhash import components, kept_of, row_name, text_digest
 
 WIDTH, SIMILAR = 5, 0.8
 BANDS, DEEP = 30, 5
@@ -108,9 +108,12 @@ def _marks(batches):
 
 
 def _sets(batches):
+    seen = set()
     for batch in slices(batches, 256):
-        sets = [shingle_set(t) for t in batch.column(0).to_pylist()]
-        yield pa.RecordBatch.from_arrays([pa.array(_signed([set_key(s) for s in sets])), pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], names=["fp", "hashes"])
+        sets = {set_key(s): s for s in map(shingle_set, batch.column(0).to_pylist())}
+        keys, sets = [k for k in sets if k not in seen], [s for k, s in sets.items() if k not in seen]
+        seen.update(keys)
+        yield pa.RecordBatch.from_arrays([pa.array(_signed(keys)), pa.array([s.view(np.int64) for s in sets], pa.list_(pa.int64()))], names=["fp", "hashes"])
 
 
 def _wide(batches):
@@ -126,6 +129,17 @@ def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     return both.where(100 * common >= round(100 * SIMILAR) * (F.size("a") + F.size("b") - common)).select("u", "v")
 
 
+def _sets_of(texts: DataFrame, chosen: DataFrame) -> DataFrame:
+    """fp, hashes, one row per set, of the texts whose row is ``chosen``, and of the few others that its sieve lets through."""
+    found = sieve(chosen)(texts, F.xxhash64(row_name(F.col("doc_id")))).select("text").mapInArrow(_sets, "fp long, hashes array<long>")
+    found = spool(found.withColumn("at", F.monotonically_increasing_id()), "sets")
+    twice = found.groupBy("fp").agg(F.count(F.lit(1)).alias("n"), F.min("at").alias("least")).where("n > 1").select("fp", "least")
+    twice = spool(twice, "twice")  # equal rows that several tasks read
+    if twice.take(1):
+        found = found.join(twice, "fp", "left").where("least is null or at = least")
+    return found.select("fp", "hashes")
+
+
 def near_pairs(sim: np.ndarray, size: np.ndarray, room: np.ndarray, root: np.ndarray, form: str, slot: np.ndarray | None = None):
     """Index pairs (i, j) of one block within the radius and in different groups, i after j; with ``slot`` only pairs across slots.
 
@@ -227,12 +241,15 @@ def _groups(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"), text_digest().alias("digest"))
     marks = spool(texts.mapInArrow(_marks, "doc_id long, fp long, bands array<long>, digest string, sim binary, size long"), "marks")
     prints = marks.select("doc_id", "fp", "digest")
-    firsts = spool(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id")), "firsts")
+    row = F.xxhash64(row_name(F.col("doc_id")))
+    firsts = spool(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id"), F.min(row).alias("row")), "firsts")
     placed = marks.select("fp", F.explode("bands").alias("bucket"))
     shared = spool(placed.groupBy("bucket").agg(F.min("fp").alias("leader"), F.max("fp").alias("top")).where("leader < top").select("bucket"), "shared")
-    members = spool(placed.join(shared, "bucket").distinct(), "members")
+    members = spool(sieve(shared)(placed, F.col("bucket")).distinct().join(shared, "bucket", "left_semi"), "members")
     # Fingerprints of the keys concerned.
-    known = spool(marks.select("fp", "size", F.col("size").alias("room"), "sim").join(members.select("fp").distinct(), "fp", "left_semi").dropDuplicates(["fp"]), "known")
+    concerned = spool(members.select("fp").distinct(), "concerned")
+    known = sieve(concerned)(marks.select("fp", "size", F.col("size").alias("room"), "sim"), F.col("fp"))
+    known = spool(known.dropDuplicates(["fp"]).join(concerned, "fp", "left_semi"), "known")
     large = members.groupBy("bucket").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > TILE_ROWS)
     large = spool(large.select("bucket", F.ceil(F.col("n") / F.lit(TILE_ROWS // 2)).cast("long").alias("slots")), "large")
     node = edges = done = sets = None
@@ -248,26 +265,26 @@ def _groups(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
         pairs = found if done is None else spool(found.join(done, ["u", "v"], "left_anti"), "pairs")
         done = pairs if done is None else done.union(pairs)
         # The sets of the keys of these pairs that aren't there yet, each from one of its texts.
-        wanted = pairs.select(F.explode(F.array("u", "v")).alias("fp")).distinct()
-        wanted = spool(wanted if sets is None else wanted.join(sets.select("fp"), "fp", "left_anti"), "wanted")
-        chosen = prints.join(wanted, "fp", "left_semi").groupBy("fp").agg(F.min("digest").alias("chosen")).select("chosen").distinct()
-        chosen = texts.join(spool(chosen, "chosen"), F.col("digest") == F.col("chosen"), "left_semi").select("text")
-        more = spool(chosen.mapInArrow(_sets, "fp long, hashes array<long>").dropDuplicates(["fp"]), "sets")
-        sets = more if sets is None else sets.union(more)
-        links = spool(_verified(pairs, sets), "links")
+        ends = spool(pairs.select(F.explode(F.array("u", "v")).alias("fp")).distinct(), "ends")
+        wanted = ends if sets is None else ends.join(sets.select("fp"), "fp", "left_anti")
+        chosen = spool(firsts.join(wanted, "fp", "left_semi").select("row"), "chosen")
+        if sets is None or chosen.take(1):
+            more = _sets_of(texts, chosen)
+            sets = more if sets is None else sets.union(more)
+        links = spool(_verified(pairs, sieve(ends)(sets, F.col("fp"))).distinct(), "links")
         edges = links if edges is None else edges.union(links)
         if node is None or links.take(1):
             node = spool(components(edges), "nodes")
         if form.startswith("nearest"):
             # Every key that has a candidate left is in one of these pairs, so a shingle that only one of them has is in no pair's intersection.
             touched = spool(found.select(F.explode(F.array("u", "v")).alias("fp")).distinct(), "touched")
-            near = sets.join(touched, "fp", "left_semi")
-            one = near.select("fp", F.explode("hashes").alias("h")).groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("fp")).where("n = 1")
+            near = sieve(touched)(sets, F.col("fp")).join(touched, "fp", "left_semi")
+            one = near.select("fp", F.explode("hashes").alias("h")).groupBy("h").agg(F.min("fp").alias("fp"), F.max("fp").alias("top")).where("fp = top")
             alone = spool(one.groupBy("fp").agg(F.count(F.lit(1)).alias("alone")), "alone")
             known = known.select("fp", "size").join(touched, "fp", "left_semi").join(alone, "fp", "left").withColumn("room", F.col("size") - F.coalesce("alone", F.lit(0))).drop("alone")
             known = spool(known.where(100 * F.col("room") >= round(100 * SIMILAR) * F.col("size")), "room")
             # The few keys left get wider fingerprints, from the sets at hand.
-            known = spool(known.join(near.mapInArrow(_wide, "fp long, sim binary"), "fp"), "known")
+            known = spool(known.join(near.mapInArrow(_wide, "fp long, sim binary").dropDuplicates(["fp"]), "fp"), "known")
     linked = firsts.join(node, firsts.fp == node.node).select("fp", "root", "first_id")
     smallest = linked.groupBy("root").agg(F.min("first_id").alias("least_id"))
     grouped = spool(linked.join(smallest, "root").select("fp", "root", "least_id"), "grouped")

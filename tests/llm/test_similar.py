@@ -1,8 +1,10 @@
 import random
 from itertools import combinations
 
+from pyspark.sql import functions as F
+
 import corpus_pipeline
-from harvestgrid.llm import simhash, similar
+from harvestgrid.llm import common, simhash, similar
 
 
 def shingles(text):
@@ -157,3 +159,50 @@ def test_large_blocks_dealt_to_several_tasks(spark, monkeypatch):
     monkeypatch.setattr(similar, "TILE_ROWS", 16)
     got = sorted(r.doc_id for r in similar.keep_first(spark.createDataFrame(rows, "doc_id long, text string")).collect())
     assert got == brute_kept(rows)
+
+
+def _shuffle_files(spark):
+    found = spark.sparkContext._jvm.org.apache.spark.SparkEnv.get().blockManager().diskBlockManager().getAllFiles()
+    files = [found.apply(k) for k in range(found.size())]
+    return {f.getName(): f.length() for f in files if f.getName().startswith("shuffle_") and f.getName().endswith(".data")}
+
+
+def test_texts_that_stay_are_not_shuffled(spark, tmp_path):
+    """What is nobody's copy goes from scan to result; only texts in doubt and hashes of candidates are dealt out."""
+    rng = random.Random(12)
+    texts = [["%08x" % rng.getrandbits(32) for _ in range(1500)] for _ in range(300)]
+    texts += [edited(t, 5, rng) for t in texts[:20]]
+    rows = [(k, " ".join(t)) for k, t in enumerate(texts)]
+    spark.createDataFrame(rows, "doc_id long, text string").repartition(4).write.parquet(f"{tmp_path}/docs")
+    before = _shuffle_files(spark)
+    out = similar.keep_first(spark.read.parquet(f"{tmp_path}/docs"))
+    out.write.parquet(f"{tmp_path}/out")
+    moved = sum(n for name, n in _shuffle_files(spark).items() if name not in before)
+    assert sorted(r.doc_id for r in spark.read.parquet(f"{tmp_path}/out").select("doc_id").collect()) == list(range(300))
+    assert moved < sum(len(t) for _, t in rows) / 2
+
+
+def test_sieve_loses_no_key(spark, monkeypatch):
+    """All keys pass, few others do, the rest is the complement; with far too few words still no key is lost."""
+    keys = spark.range(0, 30_000, 3).withColumnRenamed("id", "k")
+    rows = spark.range(0, 60_000).select("id")
+    for words, most in ((common.SIEVE_WORDS, 1500), (1, 50_000)):
+        monkeypatch.setattr(common, "SIEVE_WORDS", words)
+        passed = common.sieve(keys)
+        got = {r.id for r in passed(rows, F.col("id")).collect()}
+        rest = {r.id for r in passed(rows, F.col("id"), "left_anti").collect()}
+        assert got >= set(range(0, 30_000, 3)) and len(got) - 10_000 <= most
+        assert not got & rest and got | rest == set(range(60_000))
+    assert common.sieve(keys.limit(0))(rows, F.col("id")).count() == 0
+
+
+def test_sieves_that_let_all_pass_change_nothing(spark, monkeypatch):
+    """Every sieve is followed by an exact step: copies, near copies, repeated rows and rows without id as by brute force."""
+    rng = random.Random(6)
+    base = [["w%d" % rng.randrange(10**5) for _ in range(120)] for _ in range(25)]
+    texts = [edited(b, n, rng) for b in base for n in (0, 0, 2, 4, 30)]
+    rows = [(k, " ".join(t)) for k, t in enumerate(texts)]
+    rows += rows[:40] * 3
+    docs = spark.createDataFrame(rows, "doc_id long, text string").repartition(6)
+    monkeypatch.setattr(common, "SIEVE_WORDS", 1)
+    assert sorted(r.doc_id for r in similar.keep_first(docs).collect()) == brute_kept(rows[: len(texts)])
