@@ -9,7 +9,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 
 from harvestgrid.llm import bpe, langid_crf, mixing, pii, similar
-from harvestgrid.llm.common import spool, table
+from harvestgrid.llm.common import TEXT_ROWS, spool, table
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -34,7 +34,8 @@ def mix(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token counts and digests of the encoded and of the decoded texts."""
-    return bpe.round_trip(docs)
+    # The digests are small and written here, so that the texts go to Python in small batches.
+    return spool(bpe.round_trip(docs), "coded", rows=TEXT_ROWS)
 
 
 STAGES = [

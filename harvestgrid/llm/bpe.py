@@ -23,7 +23,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import slices
+from .common import slices, worker_table
 
 #: White space of the tokenizer's pattern engine.
 _SPACE = r"\t-\r \x85\xa0  -     　"
@@ -81,7 +81,7 @@ class WordBpe:
         made = np.array([vocab[a + b] for a, b in pairs], dtype=np.int64)
         order = np.argsort(keys)
         self._keys, self._rank, self._made = keys[order], order, made[order]
-        self.known: dict[str, tuple[bytes, str]] = {}
+        self.known: dict[str | int, bytes] = {}
 
     def encode_words(self, words: list[str]) -> list[np.ndarray]:
         """Ids of each word, by merge rounds over all words at once."""
@@ -142,7 +142,7 @@ class WordBpe:
         return found
 
     def learn(self, pieces: set[str | int]) -> None:
-        """Encode what isn't known yet; known holds (ids as little-endian words, decoded text)."""
+        """Encode what isn't known yet; known holds ids as little-endian words."""
         if len(self.known) > WORDS_KEPT:
             self.known.clear()
         fresh = [p for p in pieces if p not in self.known]
@@ -150,30 +150,23 @@ class WordBpe:
         for at in range(0, len(words), 50_000):
             part = words[at : at + 50_000]
             for word, ids in zip(part, self.encode_words(part)):
-                self.known[word] = (ids.astype("<u4").tobytes(), " ".join(map(self.tokens.__getitem__, ids.tolist())))
+                self.known[word] = ids.astype("<u4").tobytes()
         for p in fresh:
             if not isinstance(p, str):
-                self.known[p] = (p.to_bytes(4, "little"), self.tokens[p])
+                self.known[p] = p.to_bytes(4, "little")
 
     def encode(self, text: str | None) -> np.ndarray:
         pieces = self.pieces(text)
         self.learn(set(pieces))
-        return np.frombuffer(b"".join(self.known[p][0] for p in pieces), dtype="<u4")
+        return np.frombuffer(b"".join(self.known[p] for p in pieces), dtype="<u4")
 
     def decode(self, ids) -> str:
         """Tokens joined by spaces; the vocabulary has no decoder of its own. Unknown ids are skipped."""
         return " ".join(self.tokens[int(i)] for i in ids if int(i) in self.tokens)
 
 
-_LOADED: dict[str, WordBpe] = {}
-
-
 def _worker_bpe(definition: bytes) -> WordBpe:
-    name = hashlib.sha256(definition).hexdigest()
-    if name not in _LOADED:
-        _LOADED.clear()
-        _LOADED[name] = WordBpe(definition)
-    return _LOADED[name]
+    return worker_table(f"bpe {hashlib.sha256(definition).hexdigest()}", lambda: WordBpe(definition))
 
 
 def _digests(shared):
@@ -186,9 +179,9 @@ def _digests(shared):
             bpe.learn(set().union(*texts))
             known = bpe.known
             for pieces in texts:
-                got = [known[p] for p in pieces]
-                ids = b"".join([g[0] for g in got])
-                rows.append((len(ids) // 4, sha(ids), sha(" ".join([g[1] for g in got]).encode())))
+                ids = b"".join([known[p] for p in pieces])
+                decoded = " ".join(map(bpe.tokens.__getitem__, np.frombuffer(ids, dtype="<u4").tolist()))
+                rows.append((len(ids) // 4, sha(ids), sha(decoded.encode())))
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), *(pa.array(c) for c in zip(*rows))], names=["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"]
             )
@@ -210,7 +203,7 @@ def _encode_batches(shared):
         for batch in slices(batches, 64):
             texts = [bpe.pieces(t) for t in batch.column(1).to_pylist()]
             bpe.learn(set().union(*texts))
-            ids = [np.frombuffer(b"".join(bpe.known[p][0] for p in x), dtype="<u4").astype(np.int32) for x in texts]
+            ids = [np.frombuffer(b"".join(bpe.known[p] for p in x), dtype="<u4").astype(np.int32) for x in texts]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(ids, type=pa.list_(pa.int32()))], names=["doc_id", "ids"])
 
     return run

@@ -5,8 +5,10 @@ from __future__ import annotations
 
 import tempfile
 import uuid
-from collections.abc import Callable
+from collections.abc import Callable, Iterator
+from contextlib import contextmanager
 from functools import reduce
+from typing import Any
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -16,6 +18,9 @@ from pyspark.sql import functions as F
 WORD_PATTERN = r"[^\x20\x09-\x0D]+"
 #: Most 64-bit words of a sieve: what it broadcasts is bounded, whatever the number of keys.
 SIEVE_WORDS = 1 << 20
+#: Rows of an Arrow batch where whole texts or sets go to Python and the result is written at once.
+TEXT_ROWS = 256
+_WORKER: dict[str, Any] = {}
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -51,16 +56,40 @@ def shared_dir(spark: SparkSession) -> str:
     return spark.sparkContext.getCheckpointDir().rstrip("/")
 
 
-def spool(df: DataFrame, tag: str = "t", codec: str = "zstd") -> DataFrame:
+@contextmanager
+def arrow_rows(spark: SparkSession, rows: int | None) -> Iterator[None]:
+    """What runs inside gets Arrow batches of at most ``rows`` rows; the session's own setting holds again afterwards."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    own = spark.conf.get(name)
+    if rows is None or 0 < int(own) <= rows:
+        yield
+        return
+    spark.conf.set(name, str(rows))
+    try:
+        yield
+    finally:
+        spark.conf.set(name, own)
+
+
+def worker_table(owner: str, make: Callable[[], Any]) -> Any:
+    """What a Python worker keeps between tasks for ``owner``, made at first use; the worker drops what it kept for another."""
+    if owner not in _WORKER:
+        _WORKER.clear()
+        _WORKER[owner] = make()
+    return _WORKER[owner]
+
+
+def spool(df: DataFrame, tag: str = "t", codec: str = "zstd", rows: int | None = None) -> DataFrame:
     """Write ``df`` once under the shared folder and return a scan of it.
 
     Cuts the lineage as checkpoint() does, survives lost executors, keeps
     columnar statistics (so that small tables are broadcast only after their
-    size is known) and evaluates the plan exactly once.
+    size is known) and evaluates the plan exactly once. ``rows`` bounds the Arrow batches meanwhile.
     """
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/{tag}-{uuid.uuid4().hex}"
-    df.write.option("compression", codec).parquet(path)
+    with arrow_rows(spark, rows):
+        df.write.option("compression", codec).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

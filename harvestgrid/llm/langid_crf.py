@@ -26,7 +26,7 @@ import regex
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import fold, slices, uniform
+from .common import fold, slices, uniform, worker_table
 
 _LETTERS = regex.compile(r"\p{L}+")
 UNKNOWN = "und"
@@ -223,15 +223,10 @@ def fit(docs: DataFrame, sample: int = SAMPLE, train_words: int = TRAIN_WORDS) -
     return train([(t, lang) for _, t, lang in rows], train_words=train_words)
 
 
-_KEPT: dict[str, dict] = {}
-
-
 def _predict_batches(shared, name: str):
     def run(batches):
         model = shared.value
-        if name not in _KEPT:
-            _KEPT.clear()
-        kept = _KEPT.setdefault(name, {})
+        kept = worker_table(f"langid {name}", dict)
 
         def label(held):
             for post in model.posteriors([w for _, w in held], kept):

@@ -34,7 +34,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import record_batch, sieve, slices, spool
+from .common import TEXT_ROWS, record_batch, sieve, slices, spool, worker_table
 from .simhash import components, kept_of, row_name, text_digest
 
 WIDTH, SIMILAR = 5, 0.8
@@ -100,6 +100,7 @@ def _signed(values) -> np.ndarray:
 
 
 def _marks(batches):
+    worker_table("similar", dict)  # keeps nothing, but tables of a stage before are dropped
     for batch in slices(batches, 1024):
         sets = [shingle_set(t) for t in batch.column(1).to_pylist()]
         keys, bands = pa.array(_signed([set_key(s) for s in sets])), [_signed(buckets(s)) for s in sets]
@@ -132,7 +133,7 @@ def _verified(pairs: DataFrame, sets: DataFrame) -> DataFrame:
 def _sets_of(texts: DataFrame, chosen: DataFrame) -> DataFrame:
     """fp, hashes, one row per set, of the texts whose row is ``chosen``, and of the few others that its sieve lets through."""
     found = sieve(chosen)(texts, F.xxhash64(row_name(F.col("doc_id")))).select("text").mapInArrow(_sets, "fp long, hashes array<long>")
-    found = spool(found.withColumn("at", F.monotonically_increasing_id()), "sets")
+    found = spool(found.withColumn("at", F.monotonically_increasing_id()), "sets", rows=TEXT_ROWS)
     twice = found.groupBy("fp").agg(F.count(F.lit(1)).alias("n"), F.min("at").alias("least")).where("n > 1").select("fp", "least")
     twice = spool(twice, "twice")  # equal rows that several tasks read
     if twice.take(1):
@@ -239,7 +240,7 @@ def candidates(members: DataFrame, large: DataFrame, form: str) -> DataFrame:
 def _groups(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(doc_id, fp, digest) of every row, and fp, root (smallest key reachable), component_id of every key."""
     texts = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("binary").alias("text"), text_digest().alias("digest"))
-    marks = spool(texts.mapInArrow(_marks, "doc_id long, fp long, bands array<long>, digest string, sim binary, size long"), "marks")
+    marks = spool(texts.mapInArrow(_marks, "doc_id long, fp long, bands array<long>, digest string, sim binary, size long"), "marks", rows=TEXT_ROWS)
     prints = marks.select("doc_id", "fp", "digest")
     row = F.xxhash64(row_name(F.col("doc_id")))
     firsts = spool(prints.groupBy("fp").agg(F.min("doc_id").alias("first_id"), F.min(row).alias("row")), "firsts")
@@ -284,7 +285,7 @@ def _groups(docs: DataFrame) -> tuple[DataFrame, DataFrame]:
             known = known.select("fp", "size").join(touched, "fp", "left_semi").join(alone, "fp", "left").withColumn("room", F.col("size") - F.coalesce("alone", F.lit(0))).drop("alone")
             known = spool(known.where(100 * F.col("room") >= round(100 * SIMILAR) * F.col("size")), "room")
             # The few keys left get wider fingerprints, from the sets at hand.
-            known = spool(known.join(near.mapInArrow(_wide, "fp long, sim binary").dropDuplicates(["fp"]), "fp"), "known")
+            known = spool(known.join(near.mapInArrow(_wide, "fp long, sim binary").dropDuplicates(["fp"]), "fp"), "known", rows=TEXT_ROWS)
     linked = firsts.join(node, firsts.fp == node.node).select("fp", "root", "first_id")
     smallest = linked.groupBy("root").agg(F.min("first_id").alias("least_id"))
     grouped = spool(linked.join(smallest, "root").select("fp", "root", "least_id"), "grouped")
